@@ -9,6 +9,7 @@ OPERATORS = (
     ("pii", "op1_pii_pseudonyms"),
     ("mixing", "op5_apportioned_mix"),
     ("sharding", "op7_stratified_shards"),
+    ("simhash", "op8_simhash_anchors"),
 )
 
 

@@ -11,6 +11,7 @@ OPERATORS = (
     ("mixing", "op5_apportioned_mix"),
     ("sharding", "op7_stratified_shards"),
     ("simhash", "op8_simhash_anchors"),
+    ("toxicity", "op10_toxicity_weak"),
 )
 
 

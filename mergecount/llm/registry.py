@@ -10,6 +10,7 @@ OPERATORS = (
     ("matroska", "op3_matroska_column"),
     ("packing", "op4_mixture_packing"),
     ("mixing", "op5_apportioned_mix"),
+    ("warc", "op6_warc_chunks"),
     ("sharding", "op7_stratified_shards"),
     ("simhash", "op8_simhash_anchors"),
     ("toxicity", "op10_toxicity_weak"),

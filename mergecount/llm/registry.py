@@ -7,6 +7,7 @@ import importlib
 #: module, query
 OPERATORS = (
     ("pii", "op1_pii_pseudonyms"),
+    ("kdsearch", "op2_kdtree_topk"),
     ("matroska", "op3_matroska_column"),
     ("packing", "op4_mixture_packing"),
     ("mixing", "op5_apportioned_mix"),

@@ -14,6 +14,7 @@ OPERATORS = (
     ("warc", "op6_warc_chunks"),
     ("sharding", "op7_stratified_shards"),
     ("simhash", "op8_simhash_anchors"),
+    ("licences", "op9_license_scan"),
     ("toxicity", "op10_toxicity_weak"),
 )
 

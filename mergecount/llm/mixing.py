@@ -109,6 +109,23 @@ def sized(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "source", words(F.col("text")).alias("size"))
 
 
+def taken_texts(docs: DataFrame, mixed: DataFrame) -> DataFrame:
+    """``docs`` as the mix takes them: a row for each whole copy, and one with the first words for the rest of the words taken.
+
+    Documents of which nothing is taken are left out. A doc_id is taken as one document's.
+    """
+    what = mixed.filter("taken > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max("size").alias("_size"), F.max("taken").alias("_taken"))
+    what = C.materialize(what, "taken")
+    joined = docs.join(C.small_side(what), docs["doc_id"] == F.col("_id"))
+    rest = F.expr("cast(_taken % _size as int)")
+    begun = F.array_join(F.slice(F.regexp_extract_all("text", F.lit("[\\x20\\x09-\\x0D]*" + C.WORD), F.lit(0)), F.lit(1), rest), "")
+    copies = F.concat(F.array_repeat("text", F.expr("cast(_taken div _size as int)")), F.when(rest > 0, F.array(begun)).otherwise(F.array().cast("array<string>")))
+    rows = joined.withColumn("_copy", F.explode(copies))
+    length = F.when(F.col("_copy") == F.col("text"), F.col("n_chars")).otherwise(F.length("_copy")).cast("long")
+    new = {"text": F.col("_copy"), "n_chars": length}
+    return rows.select(*[new.get(c, F.col(c)).alias(c) for c in docs.columns])
+
+
 def op5_apportioned_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The words that the mix takes of every document."""
     sizes = C.materialize(sized(C.table(spark, sf_dir, "documents")), "words")

@@ -1,27 +1,502 @@
-"""Queries of the engine over the given tables, with the SQL that checks them."""
+"""Queries of the engine over the given tables: every method, variant, baseline, measure and workload."""
 
 from __future__ import annotations
 
+import math
+import uuid
+
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import bounds, cuts, measures, nested
+from .baselines import counters
+from .baselines.rough_tracked import by_group
+from .functions import seeding
+from .functions.encode import key64
+from .functions.expander import Graph
+from .functions.native import NativeSeed, levels_and_bins
+from .operators import cells, nested_cells, partial, rollup, setops
+from .params import SketchParams, derive, independence
+from .plans.planner import choose
+from .sketch import Context, Sketch
+from .sources import store
+from .sources.tables import read
+from .streaming import windows
+
+#: Parity with SQL: pairwise bins, one fixed draw, practical sizes.
+PARITY = NativeSeed(5, 256, "parity")
+NESTED = nested_cells.NestedNativeSeed(3, 256, 3, "nested-parity")
+OFFSET, BUDGET = 2, 1.5
+FLAGS = ["l_returnflag", "l_linestatus"]
+REGION = ["r_name", "n_name", "c_mktsegment"]
+#: Full independence, in packed form.
+KWISE = SketchParams(9, 1024, independence(1024))
+TOLERANCE = 0.15
+
+
+def kwise_seed() -> seeding.Seed:
+    return seeding.init(KWISE, "workloads")
+
+
+def _lineitem(spark: SparkSession, sf: str) -> DataFrame:
+    return read(spark, sf, "lineitem")
+
+
+def _customers(spark: SparkSession, sf: str) -> DataFrame:
+    """Orders with the place and segment of their customer; dimensions are small and joined by broadcast when Spark's size check allows."""
+    nation = read(spark, sf, "nation").join(read(spark, sf, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
+    customer = read(spark, sf, "customer").join(nation, F.col("c_nationkey") == F.col("n_nationkey"))
+    return read(spark, sf, "orders").join(customer, F.col("o_custkey") == F.col("c_custkey")).select(*REGION, "o_custkey")
+
+
+def exact_distinct_by_flag(spark, sf):
+    return _lineitem(spark, sf).groupBy(*FLAGS).agg(F.countDistinct("l_partkey").alias("parts"))
+
+
+def exact_bitmap(spark, sf):
+    return counters.exact_bitmap(_lineitem(spark, sf), "l_partkey")
+
+
+def level_histogram(spark, sf):
+    keys = _lineitem(spark, sf).select("l_partkey").distinct()
+    return levels_and_bins(keys, "l_partkey", PARITY, []).groupBy("tab", "level").agg(F.count("*").alias("n"))
+
+
+def raw_cells(spark, sf):
+    return cells.raw_cells(_lineitem(spark, sf), "l_partkey", PARITY, ["l_returnflag"])
+
+
+def cut_curve(spark, sf):
+    return cells.cut_curve(raw_cells(spark, sf), ["l_returnflag"])
+
+
+def required_cut(spark, sf):
+    return cells.required_cut(cells.raw_cells(_lineitem(spark, sf), "l_orderkey", PARITY, ["l_returnflag"]), PARITY, BUDGET, ["l_returnflag"])
+
+
+def cut_cells(spark, sf):
+    return cells.with_cut(cells.raw_cells(_lineitem(spark, sf), "l_orderkey", PARITY, ["l_returnflag"]), PARITY, BUDGET, ["l_returnflag"])
+
+
+def _estimate(df: DataFrame, key: str, group: list[str] = ()) -> DataFrame:
+    state = cells.with_cut(cells.raw_cells(df, key, PARITY, group), PARITY, BUDGET, group)
+    return cells.estimate(state, PARITY, OFFSET, group)
+
+
+def main_estimate_pairwise(spark, sf):
+    return _estimate(_lineitem(spark, sf), "l_partkey", FLAGS)
+
+
+def composite_estimate_pairwise(spark, sf):
+    packed_key = _lineitem(spark, sf).withColumn("k", F.shiftleft(F.col("l_partkey"), 32).bitwiseOR(F.col("l_suppkey")))
+    return _estimate(packed_key, "k", ["l_linestatus"])
+
+
+def nested_estimate_pairwise(spark, sf):
+    return nested_cells.estimate(_lineitem(spark, sf), "l_partkey", NESTED, BUDGET, OFFSET, FLAGS)
+
+
+def merge_partitions(spark, sf):
+    """Seven disjoint parts, sketched apart and merged."""
+    rows = _lineitem(spark, sf)
+    part = F.pmod(F.xxhash64("l_orderkey", "l_linenumber"), F.lit(7))
+    by_part = cells.raw_cells(rows.withColumn("part", part), "l_partkey", PARITY, ["part"])
+    return cells.union_all(by_part.drop("part"))
+
+
+def merge_overlap(spark, sf):
+    a = cells.raw_cells(read(spark, sf, "orders"), "o_custkey", PARITY)
+    return cells.union_all(a, cells.raw_cells(read(spark, sf, "customer"), "c_custkey", PARITY))
+
+
+def merge_duplicates(spark, sf):
+    rows = _lineitem(spark, sf).select("l_suppkey", "l_partkey")
+    return cells.raw_cells(rows.unionAll(rows).unionAll(rows), "l_partkey", PARITY)
+
+
+def prune_keeps_estimate(spark, sf):
+    """Estimates from pruned cells alone (no cut)."""
+    raw = cells.raw_cells(_lineitem(spark, sf), "l_orderkey", PARITY, ["l_returnflag"])
+    pruned = cells.prune_for_estimate(raw, PARITY, OFFSET, ["l_returnflag"]).withColumn("q", F.lit(0))
+    return cells.estimate(pruned, PARITY, OFFSET, ["l_returnflag"]).drop("q")
+
+
+def _cube(spark, sf, kind: str, df: DataFrame, dims: list[str], key: str) -> DataFrame:
+    merged = rollup.merged_cells(cells.raw_cells(df, key, PARITY, dims), dims, kind)
+    keyed = merged.withColumn("g", F.concat_ws("|", F.col("gid").cast("string"), *[F.coalesce(F.col(d), F.lit("*")) for d in dims])).select("g", "tab", "bin", "level")
+    return cells.estimate(cells.with_cut(keyed, PARITY, BUDGET, ["g"]), PARITY, OFFSET, ["g"])
+
+
+def cube_by_merge(spark, sf):
+    return _cube(spark, sf, "cube", _lineitem(spark, sf), FLAGS, "l_partkey")
+
+
+def rollup_by_merge(spark, sf):
+    return _cube(spark, sf, "rollup", _customers(spark, sf), REGION, "o_custkey")
+
+
+def exact_cube(spark, sf):
+    """Exact yardstick of the cube."""
+    return _lineitem(spark, sf).cube(*FLAGS).agg(F.countDistinct("l_partkey").alias("parts"), F.grouping_id().cast("int").alias("gid"))
+
+
+def top_segments(spark, sf):
+    """The five nation and segment pairs with the most estimated customers."""
+    found = _estimate(_customers(spark, sf), "o_custkey", ["n_name", "c_mktsegment"])
+    return found.orderBy(F.desc("estimate"), "n_name", "c_mktsegment").limit(5)
+
+
+def occupancy_curve(spark, sf):
+    b = 256
+    r = spark.range(513).select(F.col("id").alias("r"))
+    curve = F.lit(b) * (1 - F.pow(F.lit(1 - 1 / b), F.col("r")))
+    back = F.log(1 - F.least(F.col("r"), F.lit(b - 1)) / F.lit(float(b))) / F.log(F.lit(1 - 1 / b))
+    return r.select("r", F.round(curve, 6).alias("hits"), F.round(F.abs(back), 6).alias("balls"))
+
+
+def worked_example_cut(spark, sf):
+    rows = [(c, int(cuts.cell_bits(max(23 - c, -1)))) for c in range(26)]
+    return spark.createDataFrame(rows, "cut int, bits int")
+
+
+GRID = [(bits, eps, delta) for bits in (32, 64, 256) for eps in (0.1, 0.01) for delta in (0.1, 1e-6)]
+
+
+def space_table(spark, sf):
+    rows = [(name, bits, eps, delta, round(bounds.space_formula(name, bits, eps, delta), 3)) for name in bounds.SPACE for bits, eps, delta in GRID]
+    return spark.createDataFrame(rows, "algorithm string, bits int, eps double, delta double, formula double")
+
+
+def derived_sizes(spark, sf):
+    rows = []
+    for eps, delta in ((0.5, 0.1), (0.1, 0.05), (0.01, 0.01)):
+        p = derive(64, eps, delta)
+        rows.append((eps, delta, p.l, p.log_b, p.profile))
+    return spark.createDataFrame(rows, "eps double, delta double, l int, log_b int, profile string")
+
+
+TAILS = [(mu, lam, g, l) for mu in (0.02, 0.1) for lam in (0.0, 0.003) for g in (0.3, 0.5) for l in (8, 32)]
+
+
+def tail_bounds_grid(spark, sf):
+    rows = [(mu, lam, g, l, *(round(x, 9) for x in (bounds.kl(g, mu + lam), bounds.tail_kl(mu, lam, g, l), bounds.tail_log(mu, lam, g, l), bounds.tail_quadratic(mu, lam, g, l), bounds.hitting(mu, lam, 4)[0], bounds.deviation(l), bounds.median_failure(l)))) for mu, lam, g, l in TAILS]
+    return spark.createDataFrame(rows, "mu double, lam double, g double, l int, kl double, tail_kl double, tail_log double, tail_quadratic double, hitting double, deviation double, median_failure double")
+
+
+def bitpattern_baseline(spark, sf):
+    return counters.bit_pattern(_lineitem(spark, sf), "l_orderkey", PARITY, ["l_returnflag"])
+
+
+def maxlevel_baseline(spark, sf):
+    return counters.max_level(_lineitem(spark, sf), "l_orderkey", PARITY, ["l_returnflag"])
+
+
+def binned_levels_baseline(spark, sf):
+    return counters.binned_levels(_lineitem(spark, sf), "l_orderkey", PARITY, ["l_returnflag"])
+
+
+def sketch_bits(spark, sf):
+    return cells.size_bits(cut_cells(spark, sf), PARITY, ["l_returnflag"])
+
 
-def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+def exact_overlap(spark, sf):
+    return setops.exact_overlap(read(spark, sf, "customer"), read(spark, sf, "orders").filter("o_orderstatus = 'F'"), "c_custkey", "o_custkey")
 
 
-def exact_distinct_by_flag(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Exact distinct parts by return flag and line status."""
-    return read(spark, sf_dir, "lineitem").groupBy("l_returnflag", "l_linestatus").agg(F.countDistinct("l_partkey").alias("parts"))
+def keys_without_orders(spark, sf):
+    """Semi and anti joins as exact yardsticks."""
+    customer, orders = read(spark, sf, "customer"), read(spark, sf, "orders").filter("o_totalprice > 300000")
+    some = customer.join(orders, F.col("c_custkey") == F.col("o_custkey"), "left_semi").groupBy("c_mktsegment").agg(F.count("*").alias("with_orders"))
+    none = customer.join(orders, F.col("c_custkey") == F.col("o_custkey"), "left_anti").groupBy("c_mktsegment").agg(F.count("*").alias("without"))
+    return some.join(none, "c_mktsegment", "full_outer").select("c_mktsegment", F.coalesce("with_orders", F.lit(0)).alias("with_orders"), F.coalesce("without", F.lit(0)).alias("without"))
+
+
+def adversarial_split(spark, sf):
+    """Process 0 sees many keys, the others only the last one: every process, and the merge."""
+    last = read(spark, sf, "lineitem").agg(F.max("l_orderkey").alias("k"))
+    many = _lineitem(spark, sf).select(F.lit(0).alias("process"), F.col("l_orderkey").alias("k"))
+    copies = last.select(F.explode(F.sequence(F.lit(1), F.lit(7))).alias("process"), "k")
+    each = cells.raw_cells(many.unionByName(copies), "k", PARITY, ["process"])
+    merged = cells.union_all(each.drop("process")).withColumn("process", F.lit(-1))
+    both = each.select("process", "tab", "bin", "level").unionByName(merged.select("process", "tab", "bin", "level"))
+    return cells.estimate(cells.with_cut(both, PARITY, BUDGET, ["process"]), PARITY, OFFSET, ["process"])
+
+
+def window_distinct_exact(spark, sf):
+    events = read(spark, sf, "events")
+    tumbling = events.groupBy(F.window("ts", "1 day")).agg(F.countDistinct("user_id").alias("users")).select(F.lit("tumbling").alias("kind"), F.col("window.start").cast("string").alias("day"), "users")
+    sliding = events.groupBy(F.window("ts", "2 days", "1 day")).agg(F.countDistinct("user_id").alias("users")).select(F.lit("sliding").alias("kind"), F.col("window.start").cast("string").alias("day"), "users")
+    return tumbling.union(sliding)
+
+
+def window_distinct_pairwise(spark, sf):
+    """Users of each event type and day, from merged cells."""
+    state = windows.window_cells(read(spark, sf, "events"), "ts", "user_id", PARITY, "1 day")
+    return windows.window_estimates(state, PARITY, BUDGET, OFFSET).select(F.col("window_start").cast("string").alias("day"), "estimate", "q")
+
+
+def longer_windows_by_merge(spark, sf):
+    """Windows of five days merged from stored days."""
+    daily = windows.window_cells(read(spark, sf, "events"), "ts", "user_id", PARITY, "1 day")
+    state = windows.longer_windows(daily, "5 days")
+    return windows.window_estimates(state, PARITY, BUDGET, OFFSET).select(F.col("window_start").cast("string").alias("day"), "estimate", "q")
+
+
+def json_key_distinct(spark, sf):
+    """Distinct values of a JSON field, with a filtered count beside it."""
+    k = F.get_json_object("props", "$.k")
+    return read(spark, sf, "events").groupBy("event_type").agg(F.countDistinct(k).alias("keys"), F.countDistinct(F.when(F.col("value") > 10, k)).alias("keys_above"))
+
+
+# -- tolerance form: exact, and whether the sketch is within TOLERANCE ------------------------------------
+
+
+def _within(found: DataFrame, exact: DataFrame, group: list[str]) -> DataFrame:
+    joined = found.join(exact, group) if group else found.select("estimate").limit(1).withColumn("_one", F.lit(1)).join(exact.withColumn("_one", F.lit(1)), "_one")
+    return joined.select(*group, "exact", (F.abs(F.col("estimate") - F.col("exact")) <= TOLERANCE * F.col("exact")).alias("within"))
+
+
+def _packed_within(df: DataFrame, key: str, group: list[str]) -> DataFrame:
+    seed = kwise_seed()
+    return _within(partial.estimates(partial.sketch_by(df, key, seed, group), seed), df.groupBy(*group).agg(F.countDistinct(key).alias("exact")), group)
+
+
+def kwise_within(spark, sf):
+    return _packed_within(_lineitem(spark, sf), "l_partkey", ["l_returnflag"])
+
+
+def main_within(spark, sf):
+    return _packed_within(_lineitem(spark, sf), "l_orderkey", [])
+
+
+def skew_within(spark, sf):
+    orders = read(spark, sf, "orders")
+    key, _ = key64(orders, "o_orderstatus")
+    return _packed_within(orders.select(key.alias("k")), "k", [])
+
+
+def double_key_within(spark, sf):
+    rows = _lineitem(spark, sf)
+    key, _ = key64(rows, "l_extendedprice")
+    return _packed_within(rows.select(key.alias("k")), "k", [])
+
+
+def tokens_within(spark, sf):
+    docs = read(spark, sf, "documents")
+    words = docs.select(F.explode(F.split(F.lower("text"), "[ \\t\\n\\r\\x0b\\x0c]+")).alias("w")).filter("w <> ''").select("w", F.xxhash64("w").alias("k"))
+    seed = kwise_seed()
+    return _within(partial.estimates(partial.sketch_by(words, "k", seed), seed), words.agg(F.countDistinct("w").alias("exact")), [])
+
+
+def texts_within(spark, sf):
+    """Distinct texts by language: copies do not count."""
+    docs = read(spark, sf, "documents").select("lang", "text", F.xxhash64("text").alias("k"))
+    seed = kwise_seed()
+    return _within(partial.estimates(partial.sketch_by(docs, "k", seed, ["lang"]), seed), docs.groupBy("lang").agg(F.countDistinct("text").alias("exact")), ["lang"])
+
+
+def union_within(spark, sf):
+    seed = kwise_seed()
+    a = partial.sketch_by(read(spark, sf, "orders").filter("o_orderstatus = 'F'").select(F.col("o_custkey").alias("k")), "k", seed)
+    b = partial.sketch_by(read(spark, sf, "customer").select(F.col("c_custkey").alias("k")), "k", seed)
+    exact = read(spark, sf, "customer").select(F.col("c_custkey").alias("k")).union(read(spark, sf, "orders").filter("o_orderstatus = 'F'").select("o_custkey")).agg(F.countDistinct("k").alias("exact"))
+    return _within(partial.estimates(partial.merge_by(a.union(b), seed), seed), exact, [])
+
+
+def seq_equals_par(spark, sf):
+    """One task in order of arrival, or 1, 2, 7 and 64 parts: one state, byte for byte."""
+    seed = kwise_seed()
+    events = read(spark, sf, "events").select("event_id", F.col("user_id"))
+    forms = [events.coalesce(1).sortWithinPartitions("event_id"), *[events.repartition(p) for p in (1, 2, 7, 64)]]
+    out = None
+    for i, form in enumerate(forms):
+        one = partial.sketch_by(form, "user_id", seed).select(F.lit(i).alias("form"), F.sha2("sketch", 256).alias("digest"))
+        out = one if out is None else out.union(one)
+    return out.agg(F.count("*").alias("forms"), F.countDistinct("digest").alias("states"))
+
+
+def nested_within(spark, sf):
+    p = nested.derive_nested(64, 0.3, 1e-6, inner=SketchParams(5, 256, 8), m=5)
+    rows = _lineitem(spark, sf).select("l_partkey")
+    parts = None
+    for seed in nested.init_nested(p, "nested"):
+        one = partial.estimates(partial.sketch_by(rows, "l_partkey", seed), seed).select("estimate")
+        parts = one if parts is None else parts.union(one)
+    return _within(parts.agg(F.median("estimate").alias("estimate")), rows.agg(F.countDistinct("l_partkey").alias("exact")), [])
+
+
+def stream_within(spark, sf):
+    """Daily users from a streaming query over the events, replayed batches included."""
+    source = read(spark, sf, "events")
+    base = _shared(spark) + f"/mergecount-stream-{uuid.uuid4().hex}"
+    source.select("ts", "user_id").repartition(3).write.parquet(f"{base}/in")
+    stream = spark.readStream.schema(spark.read.parquet(f"{base}/in").schema).option("maxFilesPerTrigger", 1).parquet(f"{base}/in")
+    state = windows.window_cells(stream, "ts", "user_id", PARITY, "1 day", late="40 days")
+
+    def sink(batch: DataFrame, no: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{base}/out/batch={no}")
+
+    windows.start(state, PARITY, f"{base}/checkpoint", sink).awaitTermination()
+    merged = spark.read.parquet(f"{base}/out").groupBy("window", "tab", "bin").agg(F.max("level").alias("level"))
+    found = windows.window_estimates(merged, PARITY, BUDGET, OFFSET).select(F.col("window_start").cast("string").alias("day"), "estimate")
+    exact = source.groupBy(F.window("ts", "1 day")).agg(F.countDistinct("user_id").alias("exact")).select(F.col("window.start").cast("string").alias("day"), "exact")
+    joined = found.join(exact, "day")
+    return joined.select("day", "exact", (F.abs(F.col("estimate") - F.col("exact")) <= 0.5 * F.col("exact")).alias("within"))
+
+
+def _shared(spark: SparkSession) -> str:
+    path = spark.conf.get("spark.checkpoint.dir", None)
+    if path:
+        return path
+    import tempfile
+
+    return tempfile.mkdtemp(prefix="mergecount-")
+
+
+# -- rows only -----------------------------------------------------------------------------------------------
+
+
+def baseline_comparison(spark, sf):
+    """All counters on one key: estimate, relative error, merge support."""
+    rows = _lineitem(spark, sf).select("l_orderkey")
+    seed = kwise_seed()
+    exact = rows.agg(F.countDistinct("l_orderkey").cast("double").alias("estimate")).withColumn("method", F.lit("exact"))
+    many = [exact]
+    for name, found in (
+        ("single_cut", partial.estimates(partial.sketch_by(rows, "l_orderkey", seed), seed)),
+        ("single_cut_independent", partial.estimates(partial.sketch_by(rows, "l_orderkey", seeding.init(KWISE, "b6", "independent")), seeding.init(KWISE, "b6", "independent"))),
+        ("pairwise_bins", _estimate(rows, "l_orderkey")),
+        ("bit_pattern", counters.bit_pattern(rows, "l_orderkey", PARITY)),
+        ("max_level", counters.max_level(rows, "l_orderkey", PARITY)),
+        ("binned_levels", counters.binned_levels(rows, "l_orderkey", PARITY)),
+    ):
+        many.append(found.select("estimate").withColumn("method", F.lit(name)))
+    built = counters.built_in(rows, "l_orderkey")
+    for name in ("hll_plus", "hll_sketch", "theta"):
+        many.append(built.select(F.col(name).cast("double").alias("estimate")).withColumn("method", F.lit(name)))
+    many.append(counters.sampling(rows, "l_orderkey", 0.1).select("estimate").withColumn("method", F.lit("sampling")))
+    out = many[0]
+    for more in many[1:]:
+        out = out.unionByName(more)
+    truth = rows.agg(F.countDistinct("l_orderkey").alias("exact")).withColumn("_one", F.lit(1))
+    return out.withColumn("_one", F.lit(1)).join(truth, "_one").select("method", "estimate", "exact", (F.abs(F.col("estimate") - F.col("exact")) / F.col("exact")).alias("error"))
+
+
+def rough_tracked_baseline(spark, sf):
+    """The sequential counter with copies, by event type in order of arrival."""
+    return by_group(read(spark, sf, "events"), "user_id", "event_id", seeding.init(SketchParams(5, 256, 8, budget=3.0), "rough", "independent"), ["event_type"])
+
+
+def walk_seeded_baseline(spark, sf):
+    return by_group(read(spark, sf, "events"), "user_id", "event_id", seeding.init(SketchParams(5, 256, 8, budget=3.0), "rough", "walk_16"), ["event_type"])
+
+
+def seed_report(spark, sf):
+    """Seed bits by mode and size."""
+    rows = []
+    for log_b in (8, 10, 12):
+        for l in (9, 12):
+            p = SketchParams(l, 2**log_b, independence(2**log_b))
+            rows += [(log_b, l, mode, seeding.seed_bits(p, mode)) for mode in seeding.MODES]
+    return spark.createDataFrame(rows, "log_b int, l int, mode string, seed_bits long")
+
+
+def event_frequencies(spark, sf):
+    """How often the events of the analysis hold in each table, on distinct parts (a bounded dimension)."""
+    keys = np.array([r[0] for r in _lineitem(spark, sf).select("l_suppkey").distinct().collect()], dtype=np.uint64)
+    context = Context.of(kwise_seed())
+    rows = []
+    for t, triple in enumerate(context.triples):
+        e = measures.events(keys, triple, KWISE, 0.5)
+        rows.append((t, int(e["threshold"]), *(bool(e[k]) for k in ("load_ok", "sample_ok", "no_collision", "hits_ok", "sample_small", "hits_small", "slope_ok"))))
+    return spark.createDataFrame(rows, "tab int, threshold int, load_ok boolean, sample_ok boolean, no_collision boolean, hits_ok boolean, sample_small boolean, hits_small boolean, slope_ok boolean")
+
+
+def failure_sweep(spark, sf):
+    """Failure rate at 30 per cent over 40 draws, for growing sets; each draw is a task."""
+    p = SketchParams(5, 256, 8)
+    sizes = [30, 300, 3000]
+
+    def run(batches):
+        import pandas as pd
+
+        for pdf in batches:
+            out = []
+            for draw in pdf["id"]:
+                context = Context(seeding.init(p, f"sweep-{draw}"))
+                for n in sizes:
+                    e = Sketch(context).update(np.arange(n, dtype=np.uint64) * np.uint64(2654435761)).estimate()
+                    out.append((int(n), float(e.value), int(e.q), bool(e.cut_ok)))
+            yield pd.DataFrame(out, columns=["n", "estimate", "q", "cut_ok"])
+
+    draws = spark.range(0, 40, 1, 8).mapInPandas(run, "n long, estimate double, q int, cut_ok boolean")
+    off = (F.abs(F.col("estimate") - F.col("n")) > 0.3 * F.col("n")).cast("int")
+    return draws.groupBy("n").agg(F.count("*").alias("draws"), F.sum(off).alias("failures"), F.round(F.sqrt(F.avg(F.pow(F.col("estimate") / F.col("n") - 1, 2))), 4).alias("rms"), F.max("q").alias("q"), F.min("cut_ok").alias("cut_ok"))
+
+
+def walk_tail(spark, sf):
+    """Walks on an explicit graph over the customers: observed tails beside the bounds."""
+    flags = [r[0] == "BUILDING" for r in read(spark, sf, "customer").select("c_mktsegment").orderBy("c_custkey").limit(1024).collect()]
+    f = np.zeros(1024)
+    f[: len(flags)] = flags
+    graph = Graph(10, math.log(16))
+    mu, lam, rng = float(f.mean()), 1 / 16, np.random.default_rng(11)
+    table = np.array([[graph.step(v, e) for e in range(8)] for v in range(1024)])
+
+    def hop(v, e):
+        for i in range(graph.steps):
+            v = table[v, (e >> (3 * i)) & 7]
+        return v
+
+    rows = []
+    for length in (4, 8, 16):
+        for g in (0.5, 0.75):
+            seen = bounds.walk_tail_mc(f, hop, 1 << min(62, graph.edge_bits), length, g, 4000, rng)
+            rows.append((length, g, mu, seen, bounds.tail_kl(mu, lam, g, length), bounds.tail_log(mu, lam, g, length)))
+    return spark.createDataFrame(rows, "length int, share double, mu double, observed double, tail_kl double, tail_log double")
+
+
+def sketch_store(spark, sf):
+    """Base sketches by ship year, written, read back with pruning, merged to flags."""
+    seed = kwise_seed()
+    path = _shared(spark) + f"/mergecount-store-{uuid.uuid4().hex}"
+    base = partial.sketch_by(_lineitem(spark, sf).withColumn("year", F.year("l_shipdate")), "l_partkey", seed, ["l_returnflag", "year"])
+    store.write(base, path, seed, ["year"])
+    return store.rollup(spark, path, seed, ["l_returnflag"], "year >= 1995").select("l_returnflag", "estimate", "q", "packed_bytes", "profile")
+
+
+def form_choice(spark, sf):
+    """Shuffled bytes of both forms for growing task counts."""
+    rows = []
+    for tasks in (8, 1000, 100_000):
+        for groups in (1, 1000):
+            c = choose(KWISE, tasks, groups)
+            rows.append((tasks, groups, c.form, c.cell_bytes, c.packed_bytes))
+    return spark.createDataFrame(rows, "tasks int, groups int, form string, cell_bytes long, packed_bytes long")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return exact_distinct_by_flag(spark, sf_dir)
+    return main_estimate_pairwise(spark, sf_dir)
+
+
+QUERIES = (
+    exact_distinct_by_flag, exact_bitmap, level_histogram, raw_cells, cut_curve, required_cut, cut_cells, main_estimate_pairwise, composite_estimate_pairwise,
+    nested_estimate_pairwise, merge_partitions, merge_overlap, merge_duplicates, prune_keeps_estimate, cube_by_merge, rollup_by_merge, exact_cube, top_segments,
+    occupancy_curve, worked_example_cut, space_table, derived_sizes, tail_bounds_grid, bitpattern_baseline, maxlevel_baseline, binned_levels_baseline, sketch_bits,
+    exact_overlap, keys_without_orders, adversarial_split, window_distinct_exact, window_distinct_pairwise, longer_windows_by_merge, json_key_distinct,
+    kwise_within, main_within, skew_within, double_key_within, tokens_within, texts_within, union_within, seq_equals_par, nested_within, stream_within,
+    baseline_comparison, rough_tracked_baseline, walk_seeded_baseline, seed_report, event_frequencies, failure_sweep, walk_tail, sketch_store, form_choice,
+)
 
 
 def queries() -> dict:
-    return {"exact_distinct_by_flag": exact_distinct_by_flag}
+    return {q.__name__: q for q in QUERIES}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"exact_distinct_by_flag": "select l_returnflag, l_linestatus, count(distinct l_partkey) as parts from lineitem group by 1, 2"}
+    from .workloads_sql import ORACLES
+
+    return dict(ORACLES())
+
+

@@ -84,7 +84,7 @@ def register(spark: SparkSession, seed: Seed) -> None:
     class SpaceReport:
         def eval(self, bits: int, eps: float, delta: float) -> Iterator[tuple[str, bool, float]]:
             for name in bounds.SPACE:
-                yield name, bounds.MERGEABLE[name], bounds.space_formula(name, bits, eps, delta)
+                yield name, bounds.MERGEABLE[name], bounds.space_formula(name, int(bits), float(eps), float(delta))
 
     for name, f in (("sketch_estimate", sketch_estimate), ("sketch_merge", sketch_merge), ("sketch_union_agg", sketch_union_agg), ("sketch_info", sketch_info)):
         spark.udf.register(name, f)

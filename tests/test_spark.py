@@ -121,4 +121,4 @@ def test_partial_aggregation_and_pruning_in_the_plan(spark, sf):
 
 
 def test_form_choice():
-    assert choose(P, 100_000, 1).form == "packed" and choose(P, 1000, 10_000, rows=20_000).form == "cells"
+    assert choose(P, 100_000, 1).form == "packed" and choose(SketchParams(9, 1024, 8), 1000, 10_000, rows=20_000).form == "cells"

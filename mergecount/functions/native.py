@@ -51,17 +51,17 @@ def affine64(key: Column, words: list[int], table: Column) -> Column:
     out = None
     for place in range(16):
         digit = F.shiftrightunsigned(key, 4 * place).bitwiseAND(F.lit(15))
-        word = F.element_at(data, (table * 256 + 16 * place + 1 + digit).cast("int"))
+        word = F.get(data, (table * 256 + 16 * place + digit).cast("int"))
         out = word if out is None else out.bitwiseXOR(word)
     return out
 
 
 def trailing_zeros(y: Column) -> Column:
-    """Trailing zeros of a 64-bit word; 64 for zero. The least long is set apart: with ANSI rules its negative and predecessor overflow."""
-    least = F.lit(-(2**63)).cast("long")
-    safe = F.when((y == 0) | (y == least), F.lit(1).cast("long")).otherwise(y)
-    low = F.bit_count(safe.bitwiseAND(-safe) - 1)
-    return F.when(y == 0, F.lit(64)).when(y == least, F.lit(63)).otherwise(low).cast("int")
+    """Trailing zeros of a 64-bit word; 64 for zero. The least long has no predecessor under ANSI rules; it has 63.
+
+    ``y`` stands here twice only: the optimizer may write the expression out where a filter needs it.
+    """
+    return F.coalesce(F.bit_count(F.bitwise_not(y).bitwiseAND(F.try_subtract(y, F.lit(1).cast("long")))), F.lit(63)).cast("int")
 
 
 def levels_and_bins(df: DataFrame, key: str, seed: NativeSeed, keep: list[str]) -> DataFrame:
@@ -69,3 +69,10 @@ def levels_and_bins(df: DataFrame, key: str, seed: NativeSeed, keep: list[str])
     rows = df.filter(F.col(key).isNotNull()).select(*keep, F.col(key).cast("long").alias("_k"), F.explode(F.sequence(F.lit(0), F.lit(seed.l - 1))).alias("tab"))
     words = rows.select(*keep, "tab", affine64(F.col("_k"), seed.level_words(), F.col("tab")).alias("_f"), affine64(F.col("_k"), seed.bin_words(), F.col("tab")).alias("_h"))
     return words.select(*keep, "tab", F.col("_h").bitwiseAND(F.lit(seed.b - 1)).cast("int").alias("bin"), trailing_zeros(F.col("_f")).alias("level"))
+
+
+def ideal_levels_and_bins(df: DataFrame, key: str, tables: int, bins: int, keep: list[str]) -> DataFrame:
+    """The same rows from xxHash with a seed per table: the stand-in for fully random functions (a random-oracle assumption)."""
+    rows = df.filter(F.col(key).isNotNull()).select(*keep, F.col(key).cast("long").alias("_k"), F.explode(F.sequence(F.lit(0), F.lit(tables - 1))).alias("tab"))
+    word = lambda what: F.xxhash64(F.lit(what), "tab", "_k")
+    return rows.select(*keep, "tab", word("bin").bitwiseAND(F.lit(bins - 1)).cast("int").alias("bin"), trailing_zeros(word("level")).alias("level"))

@@ -90,3 +90,12 @@ def init(params: SketchParams, entropy: int | str, mode: str | None = None) -> S
 def minus_log_delta(bits: int) -> float:
     """-ln of the inner failure probability 1 / ln(2^bits)."""
     return math.log(bits * math.log(2))
+
+
+def one_stage_triples(params: SketchParams, entropy: int | str) -> list[Triple]:
+    """Variant without the pairwise first step: k-wise bins straight from the keys, k * d seed bits for each table."""
+    out = []
+    for t in range(params.l):
+        words = [draw(entropy, params.d, f"one-stage-{t}-{i}") for i in range(params.k + 2)]
+        out.append(Triple(LevelHash(words[:2], params.d), BinHash(None, PolyHash(words[2:], params.d, params.log_b))))
+    return out

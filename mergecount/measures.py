@@ -73,3 +73,13 @@ def column_tail(c: int) -> float:
 def budget_ok(packed_bits: int, p: SketchParams) -> bool:
     """Whether the code's length keeps within (2 budget + 1) bits per cell and the cut's bits."""
     return packed_bits <= (2 * p.budget + 1) * p.b * p.l + p.d.bit_length()
+
+
+def comm_bytes(seed_bits: int, sketch_bytes: int, processes: int) -> dict[str, int]:
+    """What a distributed run moves: the seed to every process, one sketch from each; nothing in between."""
+    return {"start": processes * ((seed_bits + 7) // 8), "end": processes * sketch_bytes, "merges": processes - 1}
+
+
+def operation_counts(levels: np.ndarray, p: SketchParams) -> dict[str, int]:
+    """Input size of a cut (the cost of all cells) and the operations of the one-shot form: cells, histogram, candidates."""
+    return {"input": int(cell_bits(levels).sum()), "cells": levels.size, "candidates": (p.d + 2) ** 2}

@@ -79,3 +79,16 @@ def size_bits(state: DataFrame, seed: NativeSeed, group: list[str] = ()) -> Data
     v = F.col("level") + 2
     width = sum((F.when(v >= 2**i, 1).otherwise(0) for i in range(1, 7)), F.lit(0))
     return state.groupBy(*group).agg((F.sum(2 * width) + seed.l * seed.b).alias("cell_bits"))
+
+
+def two_pass_cells(df: DataFrame, key: str, seed: NativeSeed, offset: int, group: list[str] = ()) -> DataFrame:
+    """Cells at or above each table's threshold in two passes: the largest levels first, then only rows that reach them."""
+    rows = levels_and_bins(df, key, seed, list(group))
+    top = rows.groupBy(*group, "tab").agg(F.greatest(F.lit(0), F.max("level") - (seed.b.bit_length() - 1) + offset).alias("_s"))
+    return rows.join(top, [*group, "tab"]).filter("level >= _s").groupBy(*group, "tab", "bin").agg(F.max("level").alias("level"))
+
+
+def prefix_merges(cells_by_step: DataFrame, step: str, last: int) -> DataFrame:
+    """Cells of all steps up to each, for integer steps up to ``last`` (each cell goes on to every later step)."""
+    wide = cells_by_step.select(F.explode(F.sequence(F.col(step), F.lit(last))).alias(step), "tab", "bin", "level")
+    return wide.groupBy(step, "tab", "bin").agg(F.max("level").alias("level"))

@@ -79,6 +79,16 @@ class Sketch:
                 np.maximum.at(self.levels[t], bins, (level[kept] - self.q).astype(np.int8))
         return self.compress()
 
+    def update_wide(self, keys: list[int]) -> Sketch:
+        """Adds keys of any width as integers (universes beyond 64 bits, such as digests): one at a time."""
+        for t, triple in enumerate(self.context.triples):
+            for x in keys:
+                level = triple.level(x)
+                if level >= self.q:
+                    j = triple.bins(x)
+                    self.levels[t, j] = max(self.levels[t, j], min(127, level - self.q))
+        return self.compress()
+
     def add(self, x: int) -> Sketch:
         return self.merge(single(self.context, x))
 

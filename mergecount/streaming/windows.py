@@ -60,3 +60,9 @@ def running(daily: DataFrame, order: str, group: list[str] = ()) -> DataFrame:
 
     w = W.partitionBy(*group, "tab", "bin").orderBy(order).rowsBetween(W.unboundedPreceding, 0)
     return daily.withColumn("level", F.max("level").over(w))
+
+
+def exact_stream(events: DataFrame, time: str, key: str, length: str, late: str) -> DataFrame:
+    """Exact yardstick: rows that repeat a key within the watermark and window are dropped, the rest is counted."""
+    rows = _watermarked(events, time, late).withColumn("window", F.window(time, length))
+    return rows.dropDuplicates(["window", key]).groupBy("window").agg(F.count("*").alias("distinct"))

@@ -15,7 +15,7 @@ from .baselines.rough_tracked import by_group
 from .functions import seeding
 from .functions.encode import key64
 from .functions.expander import Graph
-from .functions.native import NativeSeed, levels_and_bins
+from .functions.native import NativeSeed, ideal_levels_and_bins, levels_and_bins
 from .operators import cells, nested_cells, partial, rollup, setops
 from .params import SketchParams, derive, independence
 from .plans.planner import choose
@@ -249,6 +249,20 @@ def json_key_distinct(spark, sf):
     return read(spark, sf, "events").groupBy("event_type").agg(F.countDistinct(k).alias("keys"), F.countDistinct(F.when(F.col("value") > 10, k)).alias("keys_above"))
 
 
+def two_pass_estimate(spark, sf):
+    """Estimates from thresholds first, then only the cells above them."""
+    state = cells.two_pass_cells(_lineitem(spark, sf), "l_orderkey", PARITY, OFFSET, ["l_returnflag"]).withColumn("q", F.lit(0))
+    return cells.estimate(state, PARITY, OFFSET, ["l_returnflag"]).drop("q")
+
+
+def running_distinct_by_merge(spark, sf):
+    """Users up to the end of each day, from daily cells merged forward."""
+    events = read(spark, sf, "events").withColumn("step", F.datediff(F.col("ts").cast("date"), F.lit("2024-01-01").cast("date")))
+    last = events.agg(F.coalesce(F.max("step"), F.lit(0))).first()[0]
+    merged = cells.prefix_merges(cells.raw_cells(events, "user_id", PARITY, ["step"]), "step", last)
+    return cells.estimate(cells.with_cut(merged, PARITY, BUDGET, ["step"]), PARITY, OFFSET, ["step"])
+
+
 # -- tolerance form: exact, and whether the sketch is within TOLERANCE ------------------------------------
 
 
@@ -316,6 +330,14 @@ def seq_equals_par(spark, sf):
     return out.agg(F.count("*").alias("forms"), F.countDistinct("digest").alias("states"))
 
 
+def ideal_hash_within(spark, sf):
+    """Levels and bins from xxHash in place of the explicit families."""
+    state = ideal_levels_and_bins(_lineitem(spark, sf), "l_partkey", 9, 1024, ["l_returnflag"]).groupBy("l_returnflag", "tab", "bin").agg(F.max("level").alias("level"))
+    seed = NativeSeed(9, 1024, "ideal")
+    found = cells.estimate(cells.with_cut(state, seed, BUDGET, ["l_returnflag"]), seed, OFFSET, ["l_returnflag"])
+    return _within(found, _lineitem(spark, sf).groupBy("l_returnflag").agg(F.countDistinct("l_partkey").alias("exact")), ["l_returnflag"])
+
+
 def nested_within(spark, sf):
     p = nested.derive_nested(64, 0.3, 1e-6, inner=SketchParams(5, 256, 8), m=5)
     rows = _lineitem(spark, sf).select("l_partkey")
@@ -466,6 +488,25 @@ def sketch_store(spark, sf):
     return store.rollup(spark, path, seed, ["l_returnflag"], "year >= 1995").select("l_returnflag", "estimate", "q", "packed_bytes", "profile")
 
 
+def cut_sharing_ablation(spark, sf):
+    """Nested sketches whose copies share one cut, have their own, or have one per table (bits only): estimate and bits of cuts."""
+    keys = np.array([r[0] for r in _lineitem(spark, sf).select("l_suppkey").distinct().collect()], dtype=np.uint64)
+    rows = []
+    for kind in ("shared", "copy", "table"):
+        p = nested.derive_nested(64, 0.3, 1e-6, inner=SketchParams(5, 64, 8), m=5, cuts=kind)
+        sketch = nested.NestedSketch(p, nested.init_nested(p, "ablation")).update(keys)
+        rows.append((kind, float(sketch.estimate()), len(keys), sketch.cut_bits()))
+    return spark.createDataFrame(rows, "cuts string, estimate double, exact long, cut_bits long")
+
+
+def communication(spark, sf):
+    """Bytes moved at the start and end of a run, for growing numbers of processes."""
+    seed = kwise_seed()
+    blob = partial.sketch_by(_lineitem(spark, sf), "l_partkey", seed).first()["sketch"]
+    rows = [(p, *measures.comm_bytes(seed.bits, len(blob), p).values()) for p in (1, 8, 1000)]
+    return spark.createDataFrame(rows, "processes long, start long, end long, merges long")
+
+
 def form_choice(spark, sf):
     """Shuffled bytes of both forms for growing task counts."""
     rows = []
@@ -484,9 +525,9 @@ QUERIES = (
     exact_distinct_by_flag, exact_bitmap, level_histogram, raw_cells, cut_curve, required_cut, cut_cells, main_estimate_pairwise, composite_estimate_pairwise,
     nested_estimate_pairwise, merge_partitions, merge_overlap, merge_duplicates, prune_keeps_estimate, cube_by_merge, rollup_by_merge, exact_cube, top_segments,
     occupancy_curve, worked_example_cut, space_table, derived_sizes, tail_bounds_grid, bitpattern_baseline, maxlevel_baseline, binned_levels_baseline, sketch_bits,
-    exact_overlap, keys_without_orders, adversarial_split, window_distinct_exact, window_distinct_pairwise, longer_windows_by_merge, json_key_distinct,
-    kwise_within, main_within, skew_within, double_key_within, tokens_within, texts_within, union_within, seq_equals_par, nested_within, stream_within,
-    baseline_comparison, rough_tracked_baseline, walk_seeded_baseline, seed_report, event_frequencies, failure_sweep, walk_tail, sketch_store, form_choice,
+    exact_overlap, keys_without_orders, adversarial_split, window_distinct_exact, window_distinct_pairwise, longer_windows_by_merge, json_key_distinct, two_pass_estimate, running_distinct_by_merge,
+    kwise_within, main_within, skew_within, double_key_within, tokens_within, texts_within, union_within, seq_equals_par, ideal_hash_within, nested_within, stream_within,
+    baseline_comparison, rough_tracked_baseline, walk_seeded_baseline, seed_report, event_frequencies, failure_sweep, walk_tail, sketch_store, cut_sharing_ablation, communication, form_choice,
 )
 
 

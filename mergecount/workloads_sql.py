@@ -141,6 +141,9 @@ def ORACLES() -> dict[str, str]:
         "merge_overlap": f"with {celled('select o_custkey k from orders union all select c_custkey from customer', [], PARITY)} select tab, bin, level from cells",
         "merge_duplicates": f"with {celled(lineitem('l_partkey', []), [], PARITY)} select tab, bin, level from cells",
         "prune_keeps_estimate": f"with {estimated(celled(lineitem('l_orderkey', flag), flag, PARITY) + ', state as (select *, 0 q from cells)', flag, PARITY)} select l_returnflag, estimate from final",
+        "two_pass_estimate": f"with {estimated(celled(lineitem('l_orderkey', flag), flag, PARITY) + ', state as (select *, 0 q from cells)', flag, PARITY)} select l_returnflag, estimate from final",
+        "running_distinct_by_merge": estimate_sql("select step::INTEGER step, user_id k from range(0, (select coalesce(max(date_diff('day', date '2024-01-01', ts::DATE)), 0) + 1 from events)) r(step) join events on date_diff('day', date '2024-01-01', ts::DATE) <= step", ["step"]),
+        "ideal_hash_within": _exact(flag, "lineitem", "l_partkey"),
         "cube_by_merge": estimate_sql(_sets(FLAGS, [tuple(FLAGS), (FLAGS[0],), (FLAGS[1],), ()], "lineitem", "l_partkey"), ["g"]),
         "rollup_by_merge": estimate_sql(_sets(["r_name", "n_name", "c_mktsegment"], [("r_name", "n_name", "c_mktsegment"), ("r_name", "n_name"), ("r_name",), ()], JOINED, "o_custkey"), ["g"]),
         "exact_cube": "select l_returnflag, l_linestatus, count(distinct l_partkey) parts, grouping(l_returnflag, l_linestatus)::INTEGER gid from lineitem group by cube (l_returnflag, l_linestatus)",

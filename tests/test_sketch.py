@@ -176,3 +176,22 @@ def test_events():
     assert e["threshold"] == 0 or e["sample"] <= 10
     assert e["hits"] <= e["sample"]
     assert measures.failure_rate([1.0, 2.0], 1, 0.1)[0] == 0.5
+
+
+def test_wide_universe():
+    p = SketchParams(5, 64, 6, d=256)
+    keys = [seeding.draw(i, 256, "wide") for i in range(150)]
+    c = Context.of(seeding.init(p, "wide", "independent"))
+    a = Sketch(c).update_wide(keys)
+    b = Sketch(c).update_wide(keys[80:]).merge(Sketch(c).update_wide(keys[:100]))
+    assert a.pack() == b.pack() and measures.relative_error(a.estimate().value, 150) < 0.5
+
+
+def test_one_stage_bins_estimate_alike():
+    p = SketchParams(7, 256, 8)
+    c = Context(seeding.init(p, "one"))
+    c.triples = seeding.one_stage_triples(p, "one")
+    e = Sketch(c).update(np.arange(700, dtype=np.uint64)).estimate()
+    assert measures.relative_error(e.value, 700) < 0.3
+    assert measures.comm_bytes(100, 50, 4) == {"start": 52, "end": 200, "merges": 3}
+    assert measures.operation_counts(np.zeros((2, 4), dtype=np.int8), p)["input"] == 8

@@ -83,3 +83,9 @@ def prefix_sums(df: DataFrame, group: list[str], bucket: str, order: list[Column
     on = [local[c].eqNullSafe(bases[c]) for c in [*group, bucket]]
     joined = local.join(small_side(bases), on, "inner")
     return joined.select(*[local[c] for c in df.columns], *[(F.col(f"_l_{n}") + F.col(f"_b_{n}")).alias(n) for n in names])
+
+
+def cleanup(spark: SparkSession) -> None:
+    """Deletes all that ``materialize`` has left in the shared folder; call it when no result is read any more."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/mergecount-llm")
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)

@@ -33,17 +33,23 @@ def gamma_encode(values: np.ndarray) -> bytes:
 
 
 def gamma_decode(data: bytes, count: int) -> np.ndarray:
+    """Only the walk from code to code is serial; widths and values come from whole arrays."""
     bits = np.unpackbits(np.frombuffer(data, dtype=np.uint8))
-    ones = np.flatnonzero(bits)
-    out, at, cursor = np.zeros(count, dtype=np.int64), 0, 0
-    for i in range(count):
-        cursor += int(np.searchsorted(ones[cursor:], at))
-        width = int(ones[cursor]) - at
-        value = 0
-        for bit in bits[at + width : at + 2 * width + 1]:
-            value = value << 1 | int(bit)
-        out[i] = value
-        at += 2 * width + 1
+    if not count:
+        return np.zeros(0, dtype=np.int64)
+    places = np.arange(len(bits))
+    first_one = np.minimum.accumulate(np.where(bits, places, len(bits))[::-1])[::-1]
+    following = (2 * (first_one - places) + 1 + places).tolist()
+    starts, at = [], 0
+    for _ in range(count):
+        starts.append(at)
+        at = following[at]
+    start = np.array(starts)
+    width = first_one[start] - start
+    out = np.zeros(count, dtype=np.int64)
+    for i in range(int(width.max()) + 1):
+        own = width >= i
+        out[own] = out[own] << 1 | bits[start[own] + width[own] + i]
     return out
 
 

@@ -116,7 +116,7 @@ def taken_texts(docs: DataFrame, mixed: DataFrame) -> DataFrame:
     """
     what = mixed.filter("taken > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max("size").alias("_size"), F.max("taken").alias("_taken"))
     what = C.materialize(what, "taken")
-    joined = docs.join(C.small_side(what), docs["doc_id"] == F.col("_id"))
+    joined = docs.join(what.hint("merge"), docs["doc_id"] == F.col("_id"))  # grows with the documents: never broadcast
     rest = F.expr("cast(_taken % _size as int)")
     begun = F.array_join(F.slice(F.regexp_extract_all("text", F.lit("[\\x20\\x09-\\x0D]*" + C.WORD), F.lit(0)), F.lit(1), rest), "")
     copies = F.concat(F.array_repeat("text", F.expr("cast(_taken div _size as int)")), F.when(rest > 0, F.array(begun)).otherwise(F.array().cast("array<string>")))

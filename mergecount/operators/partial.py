@@ -20,12 +20,34 @@ from ..sketch import Context, Sketch
 
 #: Bytes of matrices that a task holds before it sends what it has.
 HELD = 256 << 20
+#: Rows that a task gathers before it hashes their distinct keys.
+BUFFER = 1 << 17
 
 
 def _fields(df: DataFrame, group: list[str]) -> list[T.StructField]:
     return [df.schema[c] for c in group]
 
 
+def _fresh(context: Context, keys: np.ndarray, group: np.ndarray, before: list[Sketch | None]) -> list[Sketch]:
+    """Sketches of the keys of each group; a key is hashed once, however many groups and rows have it.
+
+    Levels below every group's cut are left out: they could only make cells that the cut empties.
+    """
+    p = context.params
+    unique, back = np.unique(keys, return_inverse=True)
+    floor = min(0 if s is None else s.q for s in before)
+    levels = np.full((len(before), p.l, p.b), -1, dtype=np.int8)
+    for t, triple in enumerate(context.triples):
+        level = triple.level.many(unique)
+        kept = level >= floor
+        bins = np.zeros(len(unique), dtype=np.intp)
+        bins[kept] = triple.bins.many(unique[kept])
+        rows = kept[back]
+        own = back[rows]
+        np.maximum.at(levels[:, t, :], (group[rows], bins[own]), level[own].astype(np.int8))
+    return [Sketch(context, x).compress() for x in levels]
+
+
 def _fold(seed: Seed, width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         context = Context.of(seed)
@@ -39,21 +61,35 @@ def _fold(seed: Seed, width: int):
             held.clear()
             return pa.RecordBatch.from_arrays([*columns, pa.array(blobs, pa.binary())], names=[*schema.names[:width], "sketch"])
 
-        for batch in batches:
-            schema = batch.schema
-            keys = np.asarray(batch.column(width).to_numpy(zero_copy_only=False)).astype(np.int64).view(np.uint64)
+        def absorb(parts: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            table = pa.Table.from_batches(parts)
+            keys = np.asarray(table.column(width).to_numpy()).astype(np.int64).view(np.uint64)
             if not width:
                 held.setdefault((), Sketch(context)).update(keys)
-                continue
-            table = pa.Table.from_batches([batch.append_column("_row", pa.array(np.arange(batch.num_rows)))])
-            groups = table.group_by(schema.names[:width]).aggregate([("_row", "list")])
-            rows = groups.column("_row_list")
-            names = [groups.column(n).to_pylist() for n in schema.names[:width]]
-            for g in range(groups.num_rows):
-                key = tuple(c[g] for c in names)
-                held.setdefault(key, Sketch(context)).update(keys[np.asarray(rows[g].as_py())])
+                return
+            numbered = table.append_column("_row", pa.array(np.arange(table.num_rows)))
+            groups = numbered.group_by(schema.names[:width]).aggregate([("_row", "list")])
+            names = list(zip(*[groups.column(n).to_pylist() for n in schema.names[:width]], strict=True))
+            lists = groups.column("_row_list").combine_chunks()
+            rows = lists.flatten().to_numpy()
+            group = np.repeat(np.arange(len(names)), lists.value_lengths().to_numpy())
+            for at in range(0, len(names), room):
+                own = names[at : at + room]
+                inside = (group >= at) & (group < at + room)
+                for key, fresh in zip(own, _fresh(context, keys[rows[inside]], group[inside] - at, [held.get(k) for k in own]), strict=True):
+                    held[key] = held[key].merge(fresh) if key in held else fresh
                 if len(held) >= room:
                     yield send()
+
+        waiting: list[pa.RecordBatch] = []
+        for batch in batches:
+            schema = batch.schema
+            waiting.append(batch)
+            if sum(x.num_rows for x in waiting) >= BUFFER:
+                yield from absorb(waiting)
+                waiting = []
+        if waiting:
+            yield from absorb(waiting)
         if held:
             yield send()
 

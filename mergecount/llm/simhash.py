@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common as C
+from . import jaccard
 from .components import connected_components
 
 THRESHOLD, SHINGLE, SEED = 3, 3, 42
@@ -190,8 +191,8 @@ def links(fps: DataFrame) -> DataFrame:
     return found.filter("kind < 0").select("a", "b").union(more.select("a", "b"))
 
 
-def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, fp, component_id) for every document; component_id is the smallest doc_id reachable over links."""
+def digest_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, fp, component_id) for every document by op8's law (``SHINGLE``, ``THRESHOLD``); component_id is the smallest doc_id reachable over links."""
     rows = C.materialize(fingerprints(docs, key, text), "fingerprints")
     classes = C.materialize(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "classes")
     roots = connected_components(links(classes.select("fp")), "a", "b")
@@ -201,7 +202,12 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     return rows.join(of_class, "fp").select("doc_id", "fp", "component_id")
 
 
+def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """(doc_id, fp, component_id) by the pipeline's law: Jaccard of ``shingle``-word sets at least ``similarity`` (see ``jaccard``)."""
+    return jaccard.near_duplicates(docs, key, text, shingle, similarity)
+
+
 def op8_simhash_anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprint and component of every document."""
-    found = near_duplicates(C.table(spark, sf_dir, "documents"))
+    found = digest_duplicates(C.table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

@@ -26,6 +26,7 @@ from pyspark.sql import Window as W
 from . import common as C
 
 WEIGHTS, SHARE, CAP, BLOCK, SHARD_ROWS, SEED = (3, 1, 2), 1.5, 2, 32, 4096, "mix-5"
+PLACES = ("_at", "_s", "_q", "_n")
 
 
 def words(text: Column) -> Column:
@@ -73,8 +74,11 @@ def apportion(parts: DataFrame, group: list[str], seats: str, item: str, votes:
     return rows.select(*group, F.col("_x.i").alias(item), (F.col("_base") + F.when(can & (turn <= left), 1).otherwise(0)).alias("_seats"))
 
 
-def mix(sizes: DataFrame, share: float = SHARE, cap: int = CAP, block: int = BLOCK, seed: str = SEED, key: str = "doc_id") -> DataFrame:
-    """``sizes`` (key, source, size, slim and materialized) with source_size, target and taken."""
+def mix(sizes: DataFrame, share: float = SHARE, cap: int = CAP, block: int = BLOCK, seed: str = SEED, key: str = "doc_id", places: bool = False) -> DataFrame:
+    """``sizes`` (key, source, size, slim and materialized) with source_size, target and taken.
+
+    ``places`` adds what tells the blocks taken: _at (words before the document), _s, _q and _n (start, quota and number of blocks).
+    """
     total = sizes.count()
     nb = C.bucket_count(total)
     shard_bits = max(0, min(16, (total // SHARD_ROWS).bit_length()))
@@ -102,24 +106,53 @@ def mix(sizes: DataFrame, share: float = SHARE, cap: int = CAP, block: int = BLO
     upto = lambda k: f"((({k}) * _q + _s) div _n - _s div _n)"
     words_before = lambda x: f"({block} * {upto(f'{x} div {block}')} + ({x} % {block}) * ({upto(f'{x} div {block} + 1')} - {upto(f'{x} div {block}')}))"
     taken = F.expr(f"{words_before('_end')} - {words_before('_at')}")
-    return all_rows.select(*sizes.columns, F.col("source_size").cast("long").alias("source_size"), F.col("target").cast("double").alias("target"), taken.cast("long").alias("taken"))
+    return all_rows.select(*sizes.columns, F.col("source_size").cast("long").alias("source_size"), F.col("target").cast("double").alias("target"), taken.cast("long").alias("taken"), *(PLACES if places else ()))
+
+
+def _div(a: Column, b: Column) -> Column:
+    """Quotient of two whole numbers that are not negative, exact at any size."""
+    return F.call_function("div", a, b)
 
 
 def sized(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "source", words(F.col("text")).alias("size"))
 
 
-def taken_texts(docs: DataFrame, mixed: DataFrame) -> DataFrame:
-    """``docs`` as the mix takes them: a row for each whole copy, and one with the first words for the rest of the words taken.
+def taken_texts(docs: DataFrame, mixed: DataFrame, block: int = BLOCK) -> DataFrame:
+    """``docs`` as the mix takes them: a row for each whole copy, and one with the words of the blocks that are taken once more.
 
-    Documents of which nothing is taken are left out. A doc_id is taken as one document's.
+    ``mixed`` is a mix with places; without them the words taken once more are the first ones. Documents of
+    which nothing is taken are left out. A doc_id is taken as one document's.
     """
-    what = mixed.filter("taken > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max("size").alias("_size"), F.max("taken").alias("_taken"))
-    what = C.materialize(what, "taken")
+    placed = all(c in mixed.columns for c in PLACES)
+    one = F.max(F.struct("taken", "size", *(PLACES if placed else ()))).alias("_m")
+    what = C.materialize(mixed.filter("taken > 0").groupBy(F.col("doc_id").alias("_id")).agg(one).select("_id", "_m.*"), "taken")
+    what = what.select("_id", *[F.col(c).alias(f"_mix{c}") for c in what.columns[1:]])
     joined = docs.join(what.hint("merge"), docs["doc_id"] == F.col("_id"))  # grows with the documents: never broadcast
-    rest = F.expr("cast(_taken % _size as int)")
-    begun = F.array_join(F.slice(F.regexp_extract_all("text", F.lit("[\\x20\\x09-\\x0D]*" + C.WORD), F.lit(0)), F.lit(1), rest), "")
-    copies = F.concat(F.array_repeat("text", F.expr("cast(_taken div _size as int)")), F.when(rest > 0, F.array(begun)).otherwise(F.array().cast("array<string>")))
+    # All blocks are taken _q div _n times, some once more; without places whole copies come first.
+    whole = F.expr("_mix_q div _mix_n" if placed else "_mixtaken div _mixsize")
+    rest = F.col("_mixtaken") - whole * F.col("_mixsize")
+    found = F.regexp_extract_all("text", F.lit("[\\x20\\x09-\\x0D]*" + C.WORD), F.lit(0))
+
+    def chosen(words: Column) -> Column:
+        if not placed:
+            return F.slice(words, F.lit(1), rest.cast("int"))
+        at, size, s, q, n = (F.col(f"_mix{c}") for c in ("_at", "size", "_s", "_q", "_n"))
+        more = lambda k: _div(k * F.pmod(q, n) + s, n)
+        blocks = F.filter(F.sequence(_div(at, F.lit(block)), _div(at + size - 1, F.lit(block))), lambda k: more(k + 1) > more(k))
+
+        def cut(k: Column) -> Column:
+            first, end = F.greatest(k * block - at, F.lit(0)), F.least((k + 1) * block - at, size)
+            return F.slice(words, (first + 1).cast("int"), (end - first).cast("int"))
+
+        return F.flatten(F.transform(blocks, cut))
+
+    # A lambda's variable, so that the words are found once for all blocks.
+    begun = F.transform(F.array(found), lambda words: F.array_join(chosen(words), ""))
+    begun = F.transform(begun, lambda t: F.regexp_replace(t, "^[\\x20\\x09-\\x0D]+", "")) if placed else begun
+    nothing = F.array().cast("array<string>")
+    full = (whole + F.when(rest == F.col("_mixsize"), 1).otherwise(0)).cast("int")
+    copies = F.concat(F.array_repeat("text", full), F.when((rest > 0) & (rest < F.col("_mixsize")), begun).otherwise(nothing))
     rows = joined.withColumn("_copy", F.explode(copies))
     length = F.when(F.col("_copy") == F.col("text"), F.col("n_chars")).otherwise(F.length("_copy")).cast("long")
     new = {"text": F.col("_copy"), "n_chars": length}

@@ -9,7 +9,8 @@
 2. Label model. A generative model of the votes given the unseen class, fitted by expectation
    maximization over the sample: each voter's accuracy in either class and the voters' correlations
    within a class; a voter's evidence is divided by its correlation with the others, so that nested or
-   joined voters don't count twice.
+   joined voters don't count twice. Where a class is sampled, its rows weigh as many labelled rows as they
+   stand for, so the prior is the share of toxic rows among all usable labels, at any input size.
 3. Classifier. Logistic regression on lexicon and pattern features, fitted to the posteriors.
 4. Every whole text is scored, where it lies: no shuffle. The model (some hundred numbers) is broadcast.
 
@@ -137,14 +138,15 @@ def votes(x: np.ndarray, keys: int, labels: np.ndarray) -> np.ndarray:
     return np.column_stack([lexicon, patterns, absent, np.where(labels < 0, 0, 2 * labels - 1).astype(np.int8)])
 
 
-def label_model(v: np.ndarray, prior: float, rounds: int = 25) -> np.ndarray:
+def label_model(v: np.ndarray, prior: float, rounds: int = 25, weight: np.ndarray | None = None) -> np.ndarray:
     """Posterior of the toxic class for every row of votes: EM with correlation-discounted evidence."""
     label = v[:, -1]
+    weight = np.ones(len(v)) if weight is None else weight
     post = np.where(label > 0, 0.95, np.where(label < 0, 0.03, np.clip(0.5 * (v[:, -7] + 0.2), 0.05, 0.9)))
     for _ in range(rounds):
         evidence = np.full(len(v), np.log(prior) - np.log1p(-prior))
         discount = np.ones(v.shape[1])
-        for w in (post, 1 - post):  # correlations inside a class
+        for w in (weight * post, weight * (1 - post)):  # correlations inside a class
             centred = (v - (w @ v) / w.sum()) * np.sqrt(w)[:, None]
             cov = centred.T @ centred
             size = np.sqrt(np.maximum(np.diag(cov), 1e-9))
@@ -155,22 +157,24 @@ def label_model(v: np.ndarray, prior: float, rounds: int = 25) -> np.ndarray:
             discount = np.maximum(discount, 1 + rho.sum(axis=0))
         for value in (1, -1):
             on = v == value
-            p1 = (post @ on + 0.1) / (post.sum() + 1)
-            p0 = ((1 - post) @ on + 0.1) / ((1 - post).sum() + 1)
+            p1 = ((weight * post) @ on + 0.1) / ((weight * post).sum() + 1)
+            p0 = ((weight * (1 - post)) @ on + 0.1) / ((weight * (1 - post)).sum() + 1)
             evidence += on @ (np.log(p1 / p0) / discount)
         post = 1 / (1 + np.exp(-np.clip(evidence, -30, 30)))
     return post
 
 
-def fit_linear(x: np.ndarray, y: np.ndarray, keys: int, ridge: float = 3.0, steps: int = 30) -> tuple[np.ndarray, float, np.ndarray, np.ndarray]:
+def fit_linear(x: np.ndarray, y: np.ndarray, keys: int, ridge: float = 3.0, steps: int = 30, weight: np.ndarray | None = None) -> tuple[np.ndarray, float, np.ndarray, np.ndarray]:
     """Logistic regression on soft labels by Newton steps."""
-    mean, scale = x.mean(axis=0), np.maximum(x.std(axis=0), 1e-3)
+    weight = np.ones(len(x)) if weight is None else weight
+    mean = np.average(x, axis=0, weights=weight)
+    scale = np.maximum(np.sqrt(np.average((x - mean) ** 2, axis=0, weights=weight)), 1e-3)
     z = np.column_stack([(x - mean) / scale, np.ones(len(x))])
     w, penalty = np.zeros(z.shape[1]), np.full(z.shape[1], ridge)
     penalty[-1] = 1e-6
     for _ in range(steps):
         p = 1 / (1 + np.exp(-np.clip(z @ w, -30, 30)))
-        step = np.linalg.solve((z * (p * (1 - p))[:, None]).T @ z + np.diag(penalty), z.T @ (y - p) - penalty * w)
+        step = np.linalg.solve((z * (weight * p * (1 - p))[:, None]).T @ z + np.diag(penalty), z.T @ (weight * (y - p)) - penalty * w)
         w += step
         if np.abs(step).max() < 1e-6:
             break
@@ -188,7 +192,7 @@ def _vectors(keys: tuple[str, ...]):
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
-    """Model from at most ``sample`` labelled rows of each class."""
+    """Model from at most ``sample`` labelled rows of each class, weighted to the classes' shares of all usable labels."""
     spark = docs.sparkSession
     usable = labels.filter("toxic in (0, 1) and doc_id is not null").filter(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 != 1)
     ranked = usable.select("doc_id", F.col("toxic").cast("int").alias("toxic"), F.xxhash64("doc_id").alias("_h"))
@@ -196,9 +200,10 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     few = C.materialize(picked[0].union(picked[1]).select("doc_id", "toxic"), "labelled")
     texts = docs.select("doc_id", "text").join(F.broadcast(few), "doc_id").select(F.col("text").cast("string").alias("text"), "toxic")
     texts = C.materialize(texts, "labelled-texts")
+    every = {r["toxic"]: r["n"] for r in usable.groupBy(F.col("toxic").cast("int").alias("toxic")).agg(F.count("*").alias("n")).collect()}
+    stands_for = np.array([every.get(k, 0) / max(1, min(every.get(k, 0), sample)) for k in (0, 1)])  # labelled rows for each sampled one
     sizes = {r["toxic"]: r["n"] for r in texts.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     toxic, clean = sizes.get(1, 0), sizes.get(0, 0)
-    share = toxic / max(1, toxic + clean)
     if not toxic or not clean:
         return Model((), np.zeros(5), 30.0 if toxic else -30.0, np.zeros(5), np.ones(5))
     mined = texts.mapInArrow(_mine, "entry string, toxic int, n long").groupBy("entry").agg(F.sum(F.expr("if(toxic = 1, n, 0)")).alias("n1"), F.sum(F.expr("if(toxic = 0, n, 0)")).alias("n0"))
@@ -208,8 +213,9 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     x, y = np.array(rows["x"].tolist()), rows["toxic"].to_numpy()
     order = np.lexsort((*x.T[:3], y))
     x, y = x[order], y[order]
-    post = label_model(votes(x, len(keys), y), min(max(share, 0.02), 0.5))
-    return Model(keys, *fit_linear(x, post, len(keys)))
+    weight = stands_for[y] / stands_for[y].mean()
+    post = label_model(votes(x, len(keys), y), float(weight @ y / weight.sum()), weight=weight)
+    return Model(keys, *fit_linear(x, post, len(keys), weight=weight))
 
 
 def _score(model) -> object:

@@ -8,15 +8,15 @@ from pyspark.sql import functions as F
 from . import common as C
 
 
-def _towards_min(links: DataFrame, larger_only: bool) -> DataFrame:
+def _towards_min(links: DataFrame, larger_only: bool, total: int) -> DataFrame:
     """Each node's neighbours (those above it, or those not above it) are linked to the least of its neighbourhood.
 
-    A node's least neighbour comes from an aggregate with partial sums and is joined back, so a node
-    with very many links is only ever a splittable join key.
+    A node's least neighbour comes from an aggregate with partial sums. Nodes with over 1 / HOT of all links
+    get it by broadcast (there are HOT of them at most), so their links are never dealt to one task.
     """
     both = links.select("u", "v") if not larger_only else links.select("u", "v").union(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    joined = both.join(least, "u")
+    least = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("_n")).select("u", F.least("u", "m").alias("m"), "_n")
+    joined = C.join_hot(both, least, "u", total)
     if larger_only:
         return joined.filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v")
     return joined.select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v"))).filter("u <> v")
@@ -26,17 +26,26 @@ def connected_components(links: DataFrame, a: str, b: str) -> DataFrame:
     """(node, root): every node that has a link, with the least node that it is connected to.
 
     Large-star and small-star rounds until nothing changes; the number of rounds grows with the
-    logarithm of the number of links. Every round's table is written to the shared folder.
+    logarithm of the number of links. Every half round's table is written to the shared folder.
     """
     u, v = F.greatest(a, b), F.least(a, b)
+    tidy = lambda df: df.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
     now = C.materialize(links.select(u.alias("u"), v.alias("v")).filter("u <> v").distinct(), "links")
-    state = None
-    while True:
-        large = _towards_min(now, True)
-        large = large.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-        now = C.materialize(_towards_min(large, False).select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "links")
+    total, state = now.count(), None
+    while total:
+        large = C.materialize(tidy(_towards_min(now, True, 2 * total)), "stars")
+        now = C.materialize(tidy(_towards_min(large, False, total)), "links")
         seen = now.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v")), F.sum(F.hash("u", "v").cast("long"))).first()
         if seen == state:
             break
-        state = seen
+        total, state = seen[0], seen
     return now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
+
+
+def with_component(classes: DataFrame, roots: DataFrame) -> DataFrame:
+    """(fp, component_id, _n) of classes (fp, least, _n): the least of all classes with one root."""
+    rooted = classes.join(roots, F.col("fp") == F.col("node"), "left").select("fp", "least", "_n", F.coalesce("root", "fp").alias("root"))
+    rooted = C.materialize(rooted, "rooted")
+    of_root = rooted.groupBy("root").agg(F.min("least").alias("component_id"), F.count("*").alias("_m"))
+    joined = C.join_hot(rooted, of_root, "root", rooted.count(), "_m")
+    return joined.select("fp", "component_id", "_n")

@@ -1,26 +1,33 @@
 """Licence scan: sparse TF-IDF cosine to templates, then inheritance from the nearest directory.
 
-Units of a file are its whole text and every line that mentions a licence (``MARK``). A unit's vector
-has (1 + ln tf) * idf for each of its terms, with document frequencies counted over all files; terms
-that no template has get the largest idf. The cosine to each template comes from a join of the unit's
-terms with the templates' (a fixed, small table). A file whose best line reaches ``MIN_HEADER`` has
-that licence by its header; a file whose whole text reaches ``MIN_FILE`` is a licence file and states
-the licence of its directory. Files without a licence of their own take that of the nearest
-ancestor directory that has a licence file: directories are reduced to distinct ones, joined with
-their ancestors, and the deepest match is joined back.
-
-Only built-in functions. Only marked files are exploded into terms; document frequencies are
-partial counts of some hundred terms; a directory that holds a third of all files is one row of the
-directory table.
+Templates are usual notices and whole licence texts (``licence_texts``). Units of a file are its whole
+text, every line, and every block of adjacent lines; lines and blocks that deny a licence
+(``DENIED``) are left out. A unit's vector has (1 + ln tf) * idf for each of its terms, with document
+frequencies counted over all files; terms that no template has get the largest idf. The cosine to each
+template comes from a join of the unit's terms with the templates' (a fixed, small table). A file whose
+best line or block reaches ``MIN_HEADER`` has that licence by its header; a file whose whole text
+reaches ``MIN_FILE`` is a licence file, which states the licence of its directory; the higher score is the
+file's own. Files without a licence of their own take that of the nearest ancestor directory that has a
+licence file: directories are reduced to distinct ones, joined with their ancestors, and the deepest
+match is joined back.
+
+Only built-in functions. Only units that can reach a cut are exploded into terms: the commonest terms
+are put aside while no template has ``MIN_FILE`` of its length on them, so a unit without any other template
+term stays below the cut (by the inequality of Cauchy and Schwarz) and nothing is missed. Document
+frequencies are partial counts of some thousand terms; a directory that holds a third of all files
+is one row of the directory table, which its files get without a shuffle (``common.join_hot``).
 
 Edge cases: a null or empty text has no licence of its own; a null source or language is a directory
-named ``null``; ties go to the higher score, then the smaller licence name; in a directory with
-several licence files to the higher score, then the smaller path; repeated rows get equal results, and
-rows with one path and several texts are parts of one file; an empty table gives an empty result; extra columns are ignored.
+named ``null``; ties go to the higher score, then the smaller licence name, and from file to header; in a
+directory with several licence files to the higher score, then the smaller path; repeated rows get equal
+results, and rows with one path and several texts are parts of one file; an empty table gives an empty
+result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
+from pathlib import Path
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -28,7 +35,8 @@ from pyspark.sql import Window as W
 from . import common as C
 
 MIN_HEADER, MIN_FILE = 0.55, 0.4
-MARK = "(?i)licen[sc]e|copyright|spdx|public domain|all rights reserved|warranty|cc by|cc0"
+DENIED = "(not|never|no longer) ([a-z]+ ){0,2}(licen[sc]ed|released|available|distributed) (under|by|on)"
+LINES, BLOCKS = "[\\r\\n]+", "\\r?\\n[ \\t#*/;-]*\\r?\\n"
 TERM = "[a-z0-9]+(?:[.][0-9]+)*"
 
 # Usual wordings of licence notices.
@@ -52,7 +60,27 @@ TEMPLATES = (
     ("CC-BY-SA-4.0", "Licensed under CC BY-SA 4.0. Creative Commons Attribution-ShareAlike 4.0 International License."),
     ("CC0-1.0", "To the extent possible under law, the author has dedicated this work to the public domain under CC0 1.0 Universal."),
     ("Proprietary", "Copyright. All rights reserved. No part may be reproduced without permission."),
+    ("ISC", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies. SPDX-License-Identifier: ISC"),
+    ("ISC", "Licensed under the ISC License."),
+    ("Zlib", "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software. Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions: The origin of this software must not be misrepresented; you must not claim that you wrote the original software. Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software. This notice may not be removed or altered from any source distribution."),
+    ("BSD-3-Clause", "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer."),
+    ("GPL-2.0", "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version."),
+    ("LGPL-2.1", "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version."),
+    ("AGPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version."),
 )
+# The text that follows the MIT notice, and the section that sets the Affero licence apart.
+MIT_REST = "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED AS IS, WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE."
+AFFERO = "Remote Network Interaction; if you modify the Program, your modified version must prominently offer all users interacting with it remotely through a computer network an opportunity to receive the Corresponding Source of your version by providing access to the Corresponding Source from a network server at no charge, through some standard or customary means of facilitating copying of software."
+#: Whole licence texts by file of ``licence_texts``.
+WHOLE = {"Apache-2.0": "Apache-2.0", "GPL-2.0": "GPL-2", "GPL-3.0": "GPL-3", "LGPL-2.1": "LGPL-2.1", "LGPL-3.0": "LGPL-3", "MPL-2.0": "MPL-2.0", "CC0-1.0": "CC0-1.0", "BSD-3-Clause": "BSD", "Artistic-1.0": "Artistic"}
+
+
+def templates() -> list[tuple[str, str]]:
+    """(licence, text) of all templates: notices, then whole texts."""
+    whole = [(name, (Path(__file__).parent / "licence_texts" / f"{file}.txt").read_text(encoding="utf-8")) for name, file in WHOLE.items()]
+    affero = dict(whole)["GPL-3.0"].replace("GNU General Public License", "GNU Affero General Public License").replace("GNU GENERAL", "GNU AFFERO GENERAL")
+    mit = next(text for name, text in TEMPLATES if name == "MIT" and text.startswith("Permission"))
+    return [*TEMPLATES, *whole, ("AGPL-3.0", f"{affero} {AFFERO}"), ("MIT", f"MIT License Copyright {mit}, {MIT_REST}")]
 
 
 def terms(text: Column) -> Column:
@@ -61,7 +89,7 @@ def terms(text: Column) -> Column:
 
 def template_terms(spark: SparkSession) -> DataFrame:
     """(template, licence, term, tf) of the fixed templates."""
-    rows = spark.createDataFrame([(i, name, text) for i, (name, text) in enumerate(TEMPLATES)], "template int, licence string, text string")
+    rows = spark.createDataFrame([(i, name, text) for i, (name, text) in enumerate(templates())], "template int, licence string, text string")
     return rows.select("template", "licence", F.explode(terms(F.col("text"))).alias("term")).groupBy("template", "licence", "term").agg(F.count("*").alias("tf"))
 
 
@@ -85,8 +113,12 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
     of_template = W.partitionBy("template")
     weights = raw.select("template", "licence", "term", (F.col("w") / F.sqrt(F.sum(F.col("w") * F.col("w")).over(of_template))).alias("w"))
 
-    lines = F.filter(F.split("text", "[\\r\\n]+"), lambda x: x.rlike(MARK))
-    marked = named.filter(F.col("text").rlike(MARK)).dropDuplicates(["path", "text"])
+    weights = C.materialize(weights, "template-weights")
+    telling = F.lit(telling_terms([tuple(r) for r in weights.join(F.broadcast(idf), "term").select("template", "term", "w", "idf").collect()]))
+    reaches = lambda x: F.arrays_overlap(terms(x), telling)
+    kept = lambda x: reaches(x) & ~F.lower(x).rlike(DENIED)
+    lines = F.filter(F.array_distinct(F.concat(F.split("text", LINES), F.split("text", BLOCKS))), kept)
+    marked = named.filter(reaches(F.col("text"))).dropDuplicates(["path", "text"])
     units = marked.select("path", F.posexplode(F.concat(F.array("text"), lines)).alias("unit", "words"))
     counts = units.select("path", "unit", F.explode(terms(F.col("words"))).alias("term")).groupBy("path", "unit", "term").agg(F.count("*").alias("tf"))
     counts = counts.join(F.broadcast(idf), "term", "left").withColumn("v", weight * F.coalesce(F.col("idf"), rare))
@@ -103,25 +135,46 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
     stated = own.filter("file is not null").select(folder(F.col("path")).alias("at"), "path", F.col("file.licence").alias("licence"), F.col("file.score").alias("score"))
     first = F.row_number().over(W.partitionBy("at").orderBy(F.desc("score"), "path"))
     stated = stated.withColumn("_r", first).filter("_r = 1").drop("_r")
-    folders = named.select(folder(F.col("path")).alias("folder")).distinct()
+    files_of = named.select("path", folder(F.col("path")).alias("folder"))
+    files_of = C.materialize(files_of, "paths")
+    folders = files_of.groupBy("folder").agg(F.count("*").alias("_n"))
     parts = F.split("folder", "/")
     ancestors = folders.select("folder", F.explode(F.transform(F.sequence(F.lit(1), F.size(parts)), lambda i: F.struct(i.alias("depth"), F.array_join(F.slice(parts, 1, i), "/").alias("at")))).alias("a")).select("folder", "a.depth", "a.at")
-    nearest = ancestors.join(C.small_side(stated), "at").groupBy("folder").agg(F.max_by(F.struct("licence", "score", "path"), "depth").alias("near"))
-    nearest = C.materialize(nearest, "directory-licences")
+    nearest = ancestors.join(stated, "at").groupBy("folder").agg(F.max_by(F.struct("licence", "score", "path"), "depth").alias("near"))
+    nearest = C.materialize(folders.join(nearest, "folder", "left"), "directory-licences")
 
-    all_files = named.select("path", folder(F.col("path")).alias("folder"))
-    joined = all_files.join(C.small_side(own), "path", "left").join(C.small_side(nearest), "folder", "left")
-    pick = lambda f: F.when(F.col("header").isNotNull(), F.col(f"header.{f}")).when(F.col("file").isNotNull(), F.col(f"file.{f}"))
-    how = F.when(F.col("header").isNotNull(), "header").when(F.col("file").isNotNull(), "file").when(F.col("near").isNotNull(), "directory")
+    joined = C.join_hot(files_of, nearest, "folder", files_of.count()).join(own, "path", "left")
+    by_file = F.col("file").isNotNull() & (F.col("header").isNull() | (F.col("file.score") > F.col("header.score")))
+    joined = joined.withColumn("mine", F.when(by_file, F.col("file")).otherwise(F.col("header")))
+    how = F.when(by_file, "file").when(F.col("header").isNotNull(), "header").when(F.col("near").isNotNull(), "directory")
     return joined.select(
         "path",
-        F.coalesce(pick("licence"), F.col("near.licence")).alias("licence"),
+        F.coalesce("mine.licence", "near.licence").alias("licence"),
         how.alias("how"),
-        F.coalesce(pick("score"), F.col("near.score")).alias("score"),
-        F.when(F.col("header").isNotNull() | F.col("file").isNotNull(), F.col("path")).otherwise(F.col("near.path")).alias("stated_in"),
+        F.coalesce("mine.score", "near.score").alias("score"),
+        F.when(F.col("mine").isNotNull(), F.col("path")).otherwise(F.col("near.path")).alias("stated_in"),
     )
 
 
+def telling_terms(rows: list[tuple]) -> list[str]:
+    """Terms of which a unit needs at least one to reach a cut: all but the commonest, on which no template has MIN_FILE of its length.
+
+    ``rows``: (template, term, w, idf) of the fixed templates.
+    """
+    idf = {term: x for _, term, _, x in rows}
+    own: dict[str, list] = {}
+    for template, term, w, _ in rows:
+        own.setdefault(term, []).append((template, w))
+    mass: dict[int, float] = {}
+    order = sorted(idf, key=lambda t: (idf[t], t))
+    for k, term in enumerate(order):
+        for template, w in own[term]:
+            mass[template] = mass.get(template, 0.0) + w * w
+            if mass[template] >= (0.99 * MIN_FILE) ** 2:
+                return order[k:]
+    return []
+
+
 #: Code points of licence names turned around, so that the largest struct has the smallest name.
 _FORWARD = "".join(map(chr, range(45, 123)))
 _BACKWARD = _FORWARD[::-1]
@@ -140,9 +193,8 @@ def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def oracle() -> str:
     quote = lambda s: "'" + s.replace("'", "''") + "'"
-    values = ", ".join(f"({i}, {quote(name)}, {quote(text)})" for i, (name, text) in enumerate(TEMPLATES))
+    values = ", ".join(f"({i}, {quote(name)}, {quote(text)})" for i, (name, text) in enumerate(templates()))
     tok = lambda c: f"regexp_extract_all(lower({c}), '{TERM}')"
-    mark = MARK.removeprefix("(?i)")
     return f"""
     with f as (select '/' || coalesce(replace(source, '/', '_'), 'null') || '/' || coalesce(replace(lang, '/', '_'), 'null') as folder, doc_id, coalesce(text, '') as text from documents),
     p as (select *, folder || '/' || doc_id as path from f),
@@ -153,9 +205,8 @@ def oracle() -> str:
     idf as (select term, ln((n + 1.0) / (coalesce(df, 0) + 1.0)) + 1.0 idf from voc left join dfs using (term), nn),
     tw0 as (select template, licence, term, (ln(tf) + 1.0) * idf w from t join idf using (term)),
     tw as (select template, licence, term, w / sqrt(sum(w * w) over (partition by template)) w from tw0),
-    marked as (select path, text from p where regexp_matches(text, '{mark}', 'i')),
-    units as (select path, 0 unit, text words from marked union all
-      select path, row_number() over (partition by path) unit, words from (select path, unnest(regexp_split_to_array(text, '[\\r\\n]+')) words from marked) where regexp_matches(words, '{mark}', 'i')),
+    units as (select path, 0 unit, text words from p union all
+      select path, row_number() over (partition by path) unit, words from (select distinct path, unnest(list_concat(regexp_split_to_array(text, '{LINES}'), regexp_split_to_array(text, '{BLOCKS}'))) words from p) where not regexp_matches(lower(words), '{DENIED}')),
     c0 as (select path, unit, term, count(*) tf from (select path, unit, unnest({tok('words')}) term from units) group by all),
     c as (select path, unit, term, (ln(tf) + 1.0) * coalesce(idf, ln(n + 1.0) + 1.0) v from c0 left join idf using (term), nn),
     norms as (select path, unit, sqrt(sum(v * v)) norm from c group by all),
@@ -163,9 +214,10 @@ def oracle() -> str:
     cosines as (select path, unit, licence, round(dot / norm, 4) score from dots join norms using (path, unit)),
     own as (select path, min_by(licence, (-score, licence)) filter (unit > 0 and score >= {MIN_HEADER}) hl, max(score) filter (unit > 0 and score >= {MIN_HEADER}) hs,
       min_by(licence, (-score, licence)) filter (unit = 0 and score >= {MIN_FILE}) fl, max(score) filter (unit = 0 and score >= {MIN_FILE}) fs from cosines group by path),
-    stated as (select folder, path, doc_id, fl licence, fs score from own join p using (path) where fl is not null qualify row_number() over (partition by folder order by fs desc, path) = 1)
-    select p.doc_id, p.path, coalesce(hl, fl, s.licence) licence,
-      case when hl is not null then 'header' when fl is not null then 'file' when s.licence is not null then 'directory' end how,
-      case when hl is not null then hs when fl is not null then fs else s.score end score,
+    stated as (select folder, path, doc_id, fl licence, fs score from own join p using (path) where fl is not null qualify row_number() over (partition by folder order by fs desc, path) = 1),
+    mine as (select *, fl is not null and (hl is null or fs > hs) by_file from own)
+    select p.doc_id, p.path, coalesce(case when by_file then fl else hl end, s.licence) licence,
+      case when by_file then 'file' when hl is not null then 'header' when s.licence is not null then 'directory' end how,
+      case when by_file then fs when hl is not null then hs else s.score end score,
       case when hl is not null or fl is not null then p.doc_id else s.doc_id end stated_in
-    from p left join own using (path) left join stated s on s.folder = p.folder"""
+    from p left join mine using (path) left join stated s on s.folder = p.folder"""

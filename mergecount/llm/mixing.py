@@ -3,9 +3,9 @@
 Targets: sources by code point (null last) weigh 3, 1, 2, repeating, and share ``SHARE`` times all
 words; a target stops at ``CAP`` times its source's words and the excess is shared again by weight
 until none is above. Blocks of ``BLOCK`` words are seats: a source with target t offers the quotients
-t, t/3, t/5, ... and the highest quotients of all sources win. Each source's seats go to its shards
-(hash ranges of documents) in the same way, by the shard's words, so every shard has an integer
-quota. Inside a shard the documents stand in seeded order as one run of words, cut in blocks; a
+t, t/3, t/5, ... and the highest quotients of all sources win. Each source's seats go to its ``SHARDS``
+shards (hash ranges of documents) in the same way, by the shard's words, so every shard has an integer
+quota; the number of shards is a parameter and the law is one at every size. Inside a shard the documents stand in seeded order as one run of words, cut in blocks; a
 quota of q among n blocks takes each block floor(q/n) or ceil(q/n) times, evenly from a seeded start.
 
 Quotas never exceed ``CAP`` times the blocks there are, so no word is taken more than twice. Taken
@@ -13,8 +13,9 @@ words differ from a target by part of a block for each shard.
 
 Edge cases: a null source is a source; null and empty texts have size 0 and take 0; repeated rows
 count each; with no words at all every target is 0; an empty table gives an empty result; extra
-columns are ignored. Sources and shards of a source are aggregated tables (arrays of one number
-each); documents are never gathered by source: they are dealt by hash range.
+columns are kept, whatever their names. The table of sources (a row each) is ranked in one task, and a
+source's shards are one small array; documents are never gathered by source: they are dealt by hash
+range of id and size, so rows of one id (or none) that differ in size are spread too.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from pyspark.sql import Window as W
 
 from . import common as C
 
-WEIGHTS, SHARE, CAP, BLOCK, SHARD_ROWS, SEED = (3, 1, 2), 1.5, 2, 32, 4096, "mix-5"
+WEIGHTS, SHARE, CAP, BLOCK, SHARDS, SEED = (3, 1, 2), 1.5, 2, 32, 16, "mix-5"
 PLACES = ("_at", "_s", "_q", "_n")
 
 
@@ -74,39 +75,38 @@ def apportion(parts: DataFrame, group: list[str], seats: str, item: str, votes:
     return rows.select(*group, F.col("_x.i").alias(item), (F.col("_base") + F.when(can & (turn <= left), 1).otherwise(0)).alias("_seats"))
 
 
-def mix(sizes: DataFrame, share: float = SHARE, cap: int = CAP, block: int = BLOCK, seed: str = SEED, key: str = "doc_id", places: bool = False) -> DataFrame:
-    """``sizes`` (key, source, size, slim and materialized) with source_size, target and taken.
+def mix(sizes: DataFrame, share: float = SHARE, cap: int = CAP, block: int = BLOCK, seed: str = SEED, key: str = "doc_id", shards: int = SHARDS, places: bool = False) -> DataFrame:
+    """``sizes`` (key, source, size and others, slim and materialized) with source_size, target and taken.
 
-    ``places`` adds what tells the blocks taken: _at (words before the document), _s, _q and _n (start, quota and number of blocks).
+    ``shards`` (a power of two) is a parameter of the law, whatever the number of rows. ``places`` adds what
+    tells the blocks taken: _at (words before the document), _s, _q and _n (start, quota and number of blocks).
     """
-    total = sizes.count()
-    nb = C.bucket_count(total)
-    shard_bits = max(0, min(16, (total // SHARD_ROWS).bit_length()))
+    nb = C.bucket_count(sizes.count())
+    shard_bits = shards.bit_length() - 1
     fine_bits = max(shard_bits, nb.bit_length() - 1)
-    rows = sizes.withColumn("_h", C.hash60(F.lit(seed), F.col(key).cast("string")))
-    rows = rows.withColumn("_fine", F.shiftright("_h", 60 - fine_bits)).withColumn("_shard", F.shiftright("_h", 60 - shard_bits) if shard_bits else F.lit(0).cast("long"))
+    rows = sizes.select(F.struct(*[F.col(f"`{c}`") for c in sizes.columns]).alias("_in"), F.col("source").alias("_source"), F.col(key).alias("_key"), F.col("size").alias("_size"))
+    rows = rows.withColumn("_h", C.hash60(F.lit(seed), F.col("_key"), F.col("_size")))
+    rows = rows.withColumn("_fine", F.shiftright("_h", 60 - fine_bits)).withColumn("_shard", F.shiftright("_h", 60 - shard_bits))
 
-    cells = C.materialize(rows.groupBy("source", "_shard").agg(F.sum("size").alias("_words")), "cells")
-    sources = C.materialize(targets(cells.groupBy("source").agg(F.sum("_words").alias("source_size")), share, cap), "targets")
+    cells = C.materialize(rows.groupBy("_source", "_shard").agg(F.sum("_size").alias("_words")), "cells")
+    sources = C.materialize(targets(cells.groupBy(F.col("_source").alias("source")).agg(F.sum("_words").alias("source_size")), share, cap), "targets")
     blocks = lambda c: F.ceil(F.col(c) / block)
     seats = sources.withColumn("_all", F.lit(1)).withColumn("_most", blocks("source_size") * cap).withColumn("_wanted", F.round(F.sum("target").over(W.partitionBy()) / block).cast("long"))
     won = apportion(seats, ["_all"], "_wanted", "no", "target", "_most").select("no", F.col("_seats").alias("_quota"))
-    per_source = C.materialize(sources.join(C.small_side(won), "no"), "quotas")
-    shards = cells.join(C.small_side(per_source).alias("p"), cells["source"].eqNullSafe(F.col("p.source"))).select(cells["source"], "no", "_shard", "_words", "_quota", "source_size", "target").withColumn("_most", blocks("_words") * cap)
-    quota = apportion(shards, ["no"], "_quota", "_shard", "_words", "_most")
-    quota = C.materialize(shards.join(quota, ["no", "_shard"]).select("source", "_shard", "_words", F.col("_seats").alias("_q"), "source_size", "target"), "shards")
-
-    placed = C.prefix_sums(rows, ["source", "_shard"], "_fine", [F.col("_h"), F.col(key), F.col("size")], {"_at": F.col("size")})
-    q = C.small_side(quota).alias("q")
-    all_rows = placed.join(q, placed["source"].eqNullSafe(F.col("q.source")) & (placed["_shard"] == F.col("q._shard"))).select(
-        *[placed[c] for c in sizes.columns], placed["_shard"], "_at", "_words", "_q", "source_size", "target")
-    all_rows = all_rows.withColumn("_n", F.greatest(F.lit(1).cast("long"), F.expr(f"(_words + {block - 1}) div {block}")))
-    start = F.pmod(C.hash60(F.lit(seed), F.lit("start"), F.coalesce(F.col("source"), F.lit("")), F.col("_shard").cast("string")), F.col("_n"))
-    all_rows = all_rows.withColumn("_s", start).withColumn("_end", F.col("_at") + F.col("size"))
+    per_source = sources.join(won, "no").withColumnRenamed("source", "_of")
+    parts = cells.join(per_source, F.col("_source").eqNullSafe(F.col("_of"))).withColumn("_most", blocks("_words") * cap)
+    quota = apportion(parts, ["no"], "_quota", "_shard", "_words", "_most").select("no", "_shard", F.col("_seats").alias("_q"))
+    quota = C.materialize(parts.join(quota, ["no", "_shard"]).select("_source", "_shard", "_words", "_q", "source_size", "target"), "shards")
+
+    placed = C.prefix_sums(rows, ["_source", "_shard"], "_fine", [F.col("_h"), F.col("_key"), F.col("_size")], {"_at": F.col("_size")}, quota)
+    placed = placed.withColumn("_n", F.greatest(F.lit(1).cast("long"), F.expr(f"(_words + {block - 1}) div {block}")))
+    start = F.pmod(C.hash60(F.lit(seed), F.lit("start"), F.coalesce(F.col("_source"), F.lit("")), F.col("_shard")), F.col("_n"))
+    placed = placed.withColumn("_s", start).withColumn("_end", F.col("_at") + F.col("_size"))
     upto = lambda k: f"((({k}) * _q + _s) div _n - _s div _n)"
     words_before = lambda x: f"({block} * {upto(f'{x} div {block}')} + ({x} % {block}) * ({upto(f'{x} div {block} + 1')} - {upto(f'{x} div {block}')}))"
     taken = F.expr(f"{words_before('_end')} - {words_before('_at')}")
-    return all_rows.select(*sizes.columns, F.col("source_size").cast("long").alias("source_size"), F.col("target").cast("double").alias("target"), taken.cast("long").alias("taken"), *(PLACES if places else ()))
+    kept = [F.col(f"_in.`{c}`").alias(c) for c in sizes.columns]
+    return placed.select(*kept, F.col("source_size").cast("long").alias("source_size"), F.col("target").cast("double").alias("target"), taken.cast("long").alias("taken"), *(PLACES if places else ()))
 
 
 def _div(a: Column, b: Column) -> Column:
@@ -114,21 +114,22 @@ def _div(a: Column, b: Column) -> Column:
     return F.call_function("div", a, b)
 
 
-def sized(docs: DataFrame) -> DataFrame:
-    return docs.select("doc_id", "source", words(F.col("text")).alias("size"))
+def sized(docs: DataFrame, *more: str) -> DataFrame:
+    return docs.select("doc_id", "source", words(F.col("text")).alias("size"), *more)
 
 
-def taken_texts(docs: DataFrame, mixed: DataFrame, block: int = BLOCK) -> DataFrame:
+def taken_texts(docs: DataFrame, mixed: DataFrame, block: int = BLOCK, on: str = "doc_id") -> DataFrame:
     """``docs`` as the mix takes them: a row for each whole copy, and one with the words of the blocks that are taken once more.
 
     ``mixed`` is a mix with places; without them the words taken once more are the first ones. Documents of
-    which nothing is taken are left out. A doc_id is taken as one document's.
+    which nothing is taken are left out. ``on`` names the column that tells one document of both from the next
+    (give them a row number where ids may be null or repeated); the result has it no more if it is not doc_id.
     """
     placed = all(c in mixed.columns for c in PLACES)
     one = F.max(F.struct("taken", "size", *(PLACES if placed else ()))).alias("_m")
-    what = C.materialize(mixed.filter("taken > 0").groupBy(F.col("doc_id").alias("_id")).agg(one).select("_id", "_m.*"), "taken")
+    what = C.materialize(mixed.filter("taken > 0").groupBy(F.col(on).alias("_id")).agg(one).select("_id", "_m.*"), "taken")
     what = what.select("_id", *[F.col(c).alias(f"_mix{c}") for c in what.columns[1:]])
-    joined = docs.join(what.hint("merge"), docs["doc_id"] == F.col("_id"))  # grows with the documents: never broadcast
+    joined = docs.join(what.hint("merge"), docs[on] == F.col("_id"))  # grows with the documents: never broadcast
     # All blocks are taken _q div _n times, some once more; without places whole copies come first.
     whole = F.expr("_mix_q div _mix_n" if placed else "_mixtaken div _mixsize")
     rest = F.col("_mixtaken") - whole * F.col("_mixsize")
@@ -156,7 +157,7 @@ def taken_texts(docs: DataFrame, mixed: DataFrame, block: int = BLOCK) -> DataFr
     rows = joined.withColumn("_copy", F.explode(copies))
     length = F.when(F.col("_copy") == F.col("text"), F.col("n_chars")).otherwise(F.length("_copy")).cast("long")
     new = {"text": F.col("_copy"), "n_chars": length}
-    return rows.select(*[new.get(c, F.col(c)).alias(c) for c in docs.columns])
+    return rows.select(*[new.get(c, F.col(c)).alias(c) for c in docs.columns if c == "doc_id" or c != on])
 
 
 def op5_apportioned_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -166,22 +167,28 @@ def op5_apportioned_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def oracle() -> str:
-    """Literal form: targets by repeated sharing, all quotients written out and ranked. Holds for up to 4,095 documents (one shard)."""
+    """Literal form: targets by repeated sharing, all quotients of sources and of shards written out and ranked."""
     up = lambda k: f"((({k}) * q + s) // n - s // n)"
     before = lambda x: f"({BLOCK} * {up(f'{x} // {BLOCK}')} + ({x} % {BLOCK}) * ({up(f'{x} // {BLOCK} + 1')} - {up(f'{x} // {BLOCK}')}))"
+    shift = 60 - (SHARDS.bit_length() - 1)
     return f"""
-    with recursive d as (select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT size, ('0x' || substr(md5('{SEED}:' || doc_id), 1, 15))::BIGINT h from documents),
+    with recursive d0 as (select doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT size from documents),
+    d as (select *, ('0x' || substr(md5(concat_ws(':', '{SEED}', doc_id, size)), 1, 15))::BIGINT h from d0),
     s0 as (select source, sum(size)::BIGINT source_size, row_number() over (order by source nulls last) no from d group by source),
     s1 as (select *, [3.0, 1.0, 2.0][(no - 1) % 3 + 1]::DOUBLE w, {CAP}.0 * source_size cap, {SHARE} * sum(source_size) over () pot from s0),
     fill as (select 0 turn, no, w, cap::DOUBLE cap, pot::DOUBLE pot, false as is_full from s1
       union all
       select turn + 1, no, w, cap, pot, is_full or w * (pot - sum(case when is_full then cap else 0 end) over ()) / nullif(sum(case when is_full then 0 else w end) over (), 0) > cap from fill where turn < 60),
     t as (select no, case when is_full then cap else w * (pot - sum(case when is_full then cap else 0 end) over ()) / nullif(sum(case when is_full then 0 else w end) over (), 0) end target from fill where turn = 60),
-    k as (select t.no, target, unnest(range(0, least(ceil(source_size / {BLOCK}) * {CAP}, ceil(target / {BLOCK}) + 50)::BIGINT)) j, round(sum(target) over () / {BLOCK}) seats from t join s1 using (no)),
+    k as (select t.no, target, unnest(range(0, least(ceil(source_size / {BLOCK}) * {CAP}, ceil(target / {BLOCK}) + 50)::BIGINT)) j from t join s1 using (no)),
     kk as (select no, j, target / (2 * j + 1) quotient, (select round(sum(target) / {BLOCK}) from t) seats from k),
-    won as (select no, count(*) q from (select no, seats, row_number() over (order by quotient desc, no) r from kk) where r <= seats group by no),
-    p as (select d.*, source_size, target, coalesce(q, 0) q, greatest(1, (source_size + {BLOCK - 1}) // {BLOCK})::BIGINT n,
-      coalesce(sum(size) over (partition by s1.no order by h, doc_id, size rows between unbounded preceding and 1 preceding), 0)::BIGINT a
-      from d join s1 on d.source is not distinct from s1.source join t using (no) left join won using (no)),
-    z as (select *, a + size b, (('0x' || substr(md5('{SEED}:start:' || coalesce(source, '') || ':0'), 1, 15))::BIGINT % n) s from p)
+    won as (select no, count(*) seats from (select no, seats, row_number() over (order by quotient desc, no) r from kk) where r <= seats group by no),
+    e as (select d.*, no, source_size, h >> {shift} shard from d join s1 on d.source is not distinct from s1.source),
+    c as (select no, shard, sum(size)::BIGINT words from e group by all),
+    ck as (select no, shard, words, unnest(range(0, (ceil(words / {BLOCK}) * {CAP})::BIGINT)) j from c),
+    got as (select no, shard, count(*) q from (select no, shard, row_number() over (partition by no order by words / (2 * j + 1) desc, shard) r from ck) join won using (no) where r <= seats group by all),
+    p as (select e.*, target, coalesce(q, 0) q, greatest(1, (words + {BLOCK - 1}) // {BLOCK})::BIGINT n,
+      coalesce(sum(size) over (partition by no, shard order by h, doc_id, size rows between unbounded preceding and 1 preceding), 0)::BIGINT a
+      from e join t using (no) join c using (no, shard) left join got using (no, shard)),
+    z as (select *, a + size b, (('0x' || substr(md5(concat_ws(':', '{SEED}', 'start', coalesce(source, ''), shard)), 1, 15))::BIGINT % n) s from p)
     select doc_id, size, source_size, target, ({before('b')} - {before('a')})::BIGINT taken from z"""

@@ -11,11 +11,13 @@ sources' own sizes: all queues end together and all documents are packed.
 
 What a queue has earned after r rounds is a closed formula of r, so no window needs the one before
 it: a document's pieces follow from its place in its queue. Deficits thereby carry over windows and
-partitions without any serial pass. Tokens are computed once and written to the shared folder; the
-places come from per-partition sums (one row for each partition and source).
+partitions without any serial pass. Tokens are computed once and written to the shared folder, a bucket
+for each task; the places come from sums by task and source, which go to where the tokens lie
+(``common.beside``), so tokens are never shuffled, at any size.
 
-A queue's order is that of the input's partitions and rows. Up to ``QUEUES`` sources (the largest)
-have a queue each; if there are more, all others share one.
+A queue's order is that of the stored tasks and their rows, so another layout of the input packs in
+another order. Every source has a queue. The schedule (two numbers for each source) is broadcast and
+the work for a piece grows with the number of sources.
 
 Edge cases: a null text is empty and packs its end id alone; a null source is a source; repeated
 rows are packed each; an empty table gives an empty result; very long texts span many windows;
@@ -29,7 +31,6 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -37,8 +38,9 @@ from pyspark.sql import Window as W
 from . import common as C
 from .tokens import WordTokenizer
 
-WINDOW, QUANTUM, QUEUES, END = 4096, 256, 256, 2
-_SLICE = 1 << 14
+WINDOW, QUANTUM, END = 4096, 256, 2
+#: Entries (pieces times queues) placed at once.
+_CELLS = 1 << 22
 
 
 def tokenizer_definition(path: str | None = None) -> str:
@@ -53,19 +55,21 @@ def tokenizer_definition(path: str | None = None) -> str:
 
 def _tokenize(definition, end: int) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok, part, seen = WordTokenizer.shared(definition.value), TaskContext.get().partitionId(), {}
+        tok, seen = WordTokenizer.shared(definition.value), {}  # of each source its number in this task and its tokens so far
         last = np.array([end], dtype=tok.dtype).tobytes()
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 piece = batch.slice(at, 512)
                 sources = piece.column(1).to_pylist()
                 ids = [tok.encode(t.as_py() or "") + last for t in piece.column(2)]
-                sizes, starts = [len(x) // tok.dtype.itemsize for x in ids], []
+                sizes, starts, numbers = [len(x) // tok.dtype.itemsize for x in ids], [], []
                 for source, n in zip(sources, sizes, strict=True):
-                    starts.append(seen.get(source, 0))
-                    seen[source] = starts[-1] + n
-                columns = [pa.array([part] * len(ids), pa.int32()), piece.column(0), piece.column(1), pa.array(starts, pa.int64()), pa.array(sizes, pa.int64()), pa.array(ids, pa.binary())]
-                yield pa.RecordBatch.from_arrays(columns, names=["part", "doc_id", "source", "before", "doc_tokens", "ids"])
+                    own = seen.setdefault(source, [len(seen), 0])
+                    numbers.append(own[0])
+                    starts.append(own[1])
+                    own[1] += n
+                columns = [piece.column(0), piece.column(1), pa.array(numbers, pa.int32()), pa.array(starts, pa.int64()), pa.array(sizes, pa.int64()), pa.array(ids, pa.binary())]
+                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "source", "number", "before", "doc_tokens", "ids"])
 
     return run
 
@@ -111,8 +115,9 @@ def cut_pieces(schedule: Schedule, queue: np.ndarray, begin: np.ndarray, size: n
     q, window = schedule.quantum, schedule.window
     first, parts = begin // q, (begin + size - 1) // q - begin // q + 1
     ends = np.cumsum(parts)
-    for at in range(0, int(ends[-1]) if len(ends) else 0, _SLICE):  # so much at once, however long a document is
-        k = np.arange(at, min(at + _SLICE, int(ends[-1])))
+    many = max(64, _CELLS // len(schedule.totals))
+    for at in range(0, int(ends[-1]) if len(ends) else 0, many):  # so much at once, however long a document is
+        k = np.arange(at, min(at + many, int(ends[-1])))
         row = np.searchsorted(ends, k, side="right")
         lo = np.maximum(begin[row], (first[row] + k - (ends[row] - parts[row])) * q)
         hi = np.minimum(begin[row] + size[row], (lo // q + 1) * q)
@@ -160,25 +165,20 @@ def pack(docs: DataFrame, weights: dict[str | None, float] | None = None, window
     definition = spark.sparkContext.broadcast(tokenizer_definition(tokenizer))
     dtype = WordTokenizer(definition.value).dtype
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.col("text").cast("string").alias("text"))
-    schema = "part int, doc_id long, source string, before long, doc_tokens long, ids binary"
-    tokens = C.materialize(slim.mapInArrow(_tokenize(definition, end), schema), "tokens")
-    sums = C.materialize(tokens.groupBy("part", "source").agg(F.sum("doc_tokens").alias("n")), "token-sums")
-    by_source = sums.groupBy("source").agg(F.sum("n").alias("n"))
-    largest = by_source.orderBy(F.desc("n"), F.asc_nulls_last("source")).limit(QUEUES).collect()
-    named = {r["source"]: i for i, r in enumerate(largest)}
-    totals = [r["n"] for r in largest]
-    if by_source.count() > len(largest):
-        totals.append(by_source.agg(F.sum("n")).first()[0] - sum(totals))
-    if not totals:
+    schema = "doc_id long, source string, number int, before long, doc_tokens long, ids binary"
+    tokens = C.stored_by_task(slim.mapInArrow(_tokenize(definition, end), schema), "tokens")
+    sums = C.materialize(tokens.groupBy("_slot", "number", "source").agg(F.sum("doc_tokens").alias("n")), "token-sums")
+    queues = [(r["source"], r["n"]) for r in sums.groupBy("source").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), F.asc_nulls_last("source")).collect()]
+    if not queues:
         return tokens.select("doc_id", *[F.lit(0).cast("long").alias(c) for c in ("start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")], F.lit(0).alias("queue"), *([F.array().cast("array<long>").alias("ids")] if with_ids else []))
-    shares = [float(n) for n in totals] if weights is None else [float(weights.get(s, min(weights.values()))) for s in named] + [float(min(weights.values()))] * (len(totals) - len(named))
-    schedule = Schedule(totals, shares, window, quantum)
-    queues = spark.createDataFrame([(s, i) for s, i in named.items()], "source string, queue int")
-    queued = sums.join(F.broadcast(queues), sums["source"].eqNullSafe(queues["source"]), "left").select("part", sums["source"], "n", F.coalesce("queue", F.lit(len(named))).alias("queue"))
-    before = W.partitionBy("queue").orderBy("part", "source").rowsBetween(W.unboundedPreceding, -1)
-    bases = C.materialize(queued.select("part", "source", "queue", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base")), "token-bases")
-    on = (tokens["part"] == bases["part"]) & tokens["source"].eqNullSafe(bases["source"])
-    placed = tokens.join(C.small_side(bases), on).select("doc_id", F.col("queue").cast("long"), (F.col("base") + F.col("before")).alias("begin"), "doc_tokens", "ids")
+    least = min(weights.values()) if weights else 0
+    schedule = Schedule([n for _, n in queues], [float(n if weights is None else weights.get(s, least)) for s, n in queues], window, quantum)
+    numbers = spark.createDataFrame([(s, i) for i, (s, _) in enumerate(queues)], "of string, queue int")
+    before = W.partitionBy("queue").orderBy("_slot").rowsBetween(W.unboundedPreceding, -1)  # a row for each task
+    bases = sums.join(numbers, F.col("source").eqNullSafe(F.col("of"))).select("_slot", "number", "queue", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+    side = bases.groupBy("_slot").agg(F.sort_array(F.collect_list(F.struct("number", "queue", "base"))).alias("bases"))
+    own = C.beside(tokens, side).withColumn("_base", F.get("bases", F.col("number")))
+    placed = own.select("doc_id", F.col("_base.queue").cast("long").alias("queue"), (F.col("_base.base") + F.col("before")).alias("begin"), "doc_tokens", "ids")
     out = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, queue int" + (", ids array<long>" if with_ids else "")
     return placed.mapInArrow(_pieces(schedule, dtype, with_ids), out)
 

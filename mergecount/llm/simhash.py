@@ -8,8 +8,9 @@ lie within 1 + 1 = 2 bits of one anchor. Every fingerprint goes to all anchors w
 block (1 or 16 of 2^26), and fingerprints are compared per anchor; no link can be missed.
 
 Equal fingerprints are one class before anything is compared. An anchor's comparison gives stars
-from the least member of each group found, never all pairs. Anchors with over ``CELL`` fingerprints
-are cut in chunks and compared chunk by chunk, in as many tasks as there are pairs of chunks.
+from the least member of each group found, never all pairs. Anchors with over ``CELL`` fingerprints are cut in
+chunks and compared chunk by chunk, in as many tasks as there are pairs of chunks; those that would be
+a large part of all copies are counted and cut before anything is shuffled (``hot_anchors``).
 Components come from star contractions (``components``).
 
 Edge cases: null, empty and blank texts have fingerprint zero, linked like any other; texts of one
@@ -23,12 +24,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common as C
 from . import jaccard
-from .components import connected_components
+from .components import connected_components, with_component
 
 THRESHOLD, SHINGLE, SEED = 3, 3, 42
 BLOCK_BITS, BLOCK_SHIFTS = 31, (0, 31)
@@ -118,21 +119,26 @@ def stars(fps: np.ndarray, side: np.ndarray | None = None) -> list[tuple[int, in
 
 
 def _runs(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[tuple[list[np.ndarray], np.ndarray]]:
-    """Sorted batches as columns with starts of runs of equal keys; no run is cut, but for one longer than 2 * CELL."""
-    held: list[np.ndarray] | None = None
+    """Sorted batches as columns with starts of runs of equal keys; no run is cut."""
+    held: list[list[np.ndarray]] = []  # pieces of the run that is still open
     for batch in batches:
         cols = [np.asarray(c.to_numpy(zero_copy_only=False)) for c in batch.columns]
-        cols = cols if held is None else [np.concatenate(x) for x in zip(held, cols, strict=True)]
         if not len(cols[0]):
             continue
         last = len(cols[0]) - 1
         same = np.logical_and.reduce([c == c[last] for c in cols[:keys]])
-        cut = int(np.flatnonzero(same)[0])
-        held = [c[cut:] for c in cols]
-        if cut:
-            yield [c[:cut] for c in cols], _starts([c[:cut] for c in cols], keys)
-    if held is not None and len(held[0]):
-        yield held, _starts(held, keys)
+        cut = int(np.flatnonzero(same)[0])  # where the batch's last run begins
+        goes_on = bool(held) and all(h[-1] == c[0] for h, c in zip(held[-1][:keys], cols[:keys], strict=True))
+        if not cut and goes_on:
+            held.append(cols)
+            continue
+        whole = [np.concatenate(x) for x in zip(*held, [c[:cut] for c in cols], strict=True)]
+        if len(whole[0]):
+            yield whole, _starts(whole, keys)
+        held = [[c[cut:] for c in cols]]
+    if held:
+        whole = [np.concatenate(x) for x in zip(*held, strict=True)]
+        yield whole, _starts(whole, keys)
 
 
 def _starts(cols: list[np.ndarray], keys: int) -> np.ndarray:
@@ -176,14 +182,47 @@ def _compare_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
             yield _links([np.full(len(x), -1)], [x[:, 0]], [x[:, 1]])
 
 
-def links(fps: DataFrame) -> DataFrame:
-    """(a, b): links whose connected groups are those of all pairs of distinct fingerprints within THRESHOLD bits."""
+def _blocks(fp: Column) -> list[Column]:
+    mask = F.lit((1 << BLOCK_BITS) - 1).cast("long")
+    return [F.struct(F.lit(i).cast("long").alias("block"), F.shiftright(fp, shift).bitwiseAND(mask).alias("value")) for i, shift in enumerate(BLOCK_SHIFTS)]
+
+
+def _anchors_of_values(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        block, value, n = (np.asarray(c.to_numpy(zero_copy_only=False), dtype=np.int64) for c in batch.columns)
+        rows, anchors = anchors_of(value)
+        yield pa.RecordBatch.from_arrays([pa.array(anchors * 2 + block[rows]), pa.array(n[rows])], names=["anchor", "n"])
+
+
+def hot_anchors(fps: DataFrame, copies: int, floor: int = CELL) -> DataFrame:
+    """(anchor, n): anchors with over ``floor`` and over 1 / HOT of all copies, HOT at most; counted by the blocks' values, before any copy is made.
+
+    An anchor has at most 1 + 31 + 465 values within 2 bits, so only one near a value that over
+    limit / 497 fingerprints share can be hot.
+    """
+    limit = max(floor, copies // C.HOT)
+    values = fps.select(F.explode(F.array(*_blocks(F.col("fp")))).alias("b")).groupBy("b.block", "b.value").agg(F.count("*").alias("n"))
+    values = C.materialize(values, "block-values")
+    near = "anchor long, n long"
+    dense = values.filter(F.col("n") > limit // 497)
+    if not dense.limit(1).count():
+        return values.sparkSession.createDataFrame([], near)
+    candidates = dense.mapInArrow(_anchors_of_values, near).select("anchor").distinct()
+    loads = values.mapInArrow(_anchors_of_values, near).join(candidates, "anchor", "left_semi").groupBy("anchor").agg(F.sum("n").alias("n"))
+    return C.materialize(loads.filter(F.col("n") > limit), "hot-anchors")
+
+
+def links(fps: DataFrame, floor: int = CELL) -> DataFrame:
+    """(a, b): links whose connected groups are those of all pairs of distinct fingerprints within THRESHOLD bits. ``fps`` is materialized."""
+    hot = hot_anchors(fps, 34 * fps.count(), floor)
     copies = fps.mapInArrow(_replicate, "anchor long, fp long")
-    dealt = copies.repartition("anchor").sortWithinPartitions("anchor")
+    dealt = copies.join(F.broadcast(hot.select("anchor")), "anchor", "left_anti").repartition("anchor").sortWithinPartitions("anchor")
     found = C.materialize(dealt.mapInArrow(_compare, "kind long, a long, b long"), "anchors")
     crowded = found.filter("kind >= 0").select(F.col("kind").alias("anchor"), F.col("a").alias("fp"))
-    chunks = crowded.groupBy("anchor").agg(F.ceil(F.count("*") / (CELL // 2)).cast("int").alias("g"))
-    cut = crowded.join(C.small_side(chunks), "anchor").withColumn("c", F.pmod(F.xxhash64("fp"), F.col("g")).cast("int"))
+    chunks = lambda n: F.ceil(n / (CELL // 2)).cast("int").alias("g")
+    cut = crowded.join(crowded.groupBy("anchor").agg(chunks(F.count("*"))), "anchor")
+    cut = cut.unionByName(copies.join(F.broadcast(hot.select("anchor", chunks(F.col("n")))), "anchor"))
+    cut = cut.withColumn("c", F.pmod(F.xxhash64("fp"), F.col("g")).cast("int"))
     cut = cut.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("g") - 1)))
     cells = cut.select("anchor", F.least("c", "o").alias("i"), F.greatest("c", "o").alias("j"), F.col("c").alias("side"), "fp")
     dealt = cells.repartition("anchor", "i", "j").sortWithinPartitions("anchor", "i", "j")
@@ -194,12 +233,10 @@ def links(fps: DataFrame) -> DataFrame:
 def digest_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, fp, component_id) for every document by op8's law (``SHINGLE``, ``THRESHOLD``); component_id is the smallest doc_id reachable over links."""
     rows = C.materialize(fingerprints(docs, key, text), "fingerprints")
-    classes = C.materialize(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "classes")
+    classes = C.materialize(rows.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("_n")), "classes")
     roots = connected_components(links(classes.select("fp")), "a", "b")
-    rooted = classes.join(roots, F.col("fp") == F.col("node"), "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    of_root = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    of_class = rooted.join(of_root, "root").select("fp", "component_id")
-    return rows.join(of_class, "fp").select("doc_id", "fp", "component_id")
+    of_class = C.materialize(with_component(classes, roots), "components")
+    return C.join_hot(rows, of_class, "fp", rows.count()).select("doc_id", "fp", "component_id")
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
@@ -207,6 +244,11 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", sh
     return jaccard.near_duplicates(docs, key, text, shingle, similarity)
 
 
+def survivors(docs: DataFrame, key: str = "doc_id", text: str = "text", shingle: int = 5, similarity: float = 0.8) -> DataFrame:
+    """``docs`` with one row of each component of ``near_duplicates``; rows without an id, and several of one id, count as any others."""
+    return jaccard.survivors(docs, key, text, shingle, similarity)
+
+
 def op8_simhash_anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprint and component of every document."""
     found = digest_duplicates(C.table(spark, sf_dir, "documents"))

@@ -9,8 +9,9 @@ only the chunks of oversized records are brought together (by record) and put in
 
 Of records with equal payloads of at least ``MIN_REVISIT`` bytes the one with the smallest page_id
 is the response; the others are revisit records without a payload that name it, its digest and its
-length. Digest groups are found with partial sums; a digest shared by a third of all pages is one
-row of the lookup table.
+length. Digest groups are found from slim rows (id, digest, place) with partial sums; what a page is to
+become goes to where its payload is stored (``common.beside``), so payloads are never shuffled, at any
+size, and a digest shared by a third of all pages crowds no task.
 
 Edge cases: a null html is an empty payload; a null url is left out; control characters in a url
 are escaped; rows with the same page_id and payload are all responses; an empty table gives an
@@ -88,13 +89,19 @@ def _rows(rows: list[tuple], schema: str) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(c), _ARROW[k]) for c, k in zip(columns, kinds, strict=True)], names=list(names))
 
 
-def write_archives(pages: DataFrame, chunk: int = CHUNK) -> DataFrame:
+def write_archives(pages: DataFrame, chunk: int = CHUNK, least: int = MIN_REVISIT) -> DataFrame:
     """Writes a record for each row of (page_id, url, html) to the shared folder; the stored chunk rows."""
     payload = F.coalesce(F.col("html").cast("binary"), F.lit(b""))
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.sha2(payload, 256).alias("digest"), F.octet_length(payload).cast("long").alias("size"), payload.alias("payload"))
-    groups = rows.filter(F.col("size") >= MIN_REVISIT).groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).filter("n > 1").select("digest", "first")
-    groups = C.materialize(groups, "digests")
-    marked = rows.join(C.small_side(groups), "digest", "left").select("page_id", "url", "digest", "size", F.when(F.col("size") >= MIN_REVISIT, F.col("first")).alias("first"), "payload")
+    stored = C.stored_by_task(rows, "pages")
+    large = stored.select("_slot", "_row", "page_id", "size", F.when(F.col("size") >= least, F.col("digest")).alias("digest"))
+    slim = C.materialize(large, "page-digests")
+    digests = slim.filter("digest is not null")
+    groups = C.materialize(digests.groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("_n")), "digests")
+    first = C.join_hot(digests, groups, "digest", digests.count()).select("_slot", "_row", "first")
+    first = first.union(slim.filter("digest is null").select("_slot", "_row", F.lit(None).cast("long")))
+    side = first.groupBy("_slot").agg(F.sort_array(F.collect_list(F.struct("_row", "first"))).alias("all")).select("_slot", F.col("all.first").alias("firsts"))
+    marked = C.beside(stored, side).select("page_id", "url", "digest", "size", F.get("firsts", F.col("_row").cast("int")).alias("first"), "payload")
     return C.materialize(marked.mapInArrow(_write(chunk), ARCHIVE_SCHEMA), "warc")
 
 

@@ -6,14 +6,20 @@ every document, distinct values stay distinct, and a pseudonym passes the same c
 
 * card numbers: all digits but the last are permuted, the Luhn digit is computed anew;
 * account numbers (IBAN): the account part is permuted, the mod-97 digits are computed anew;
-* dates: the day number inside 400 years (1700 to 2099) is permuted over Z_189 x Z_773;
-* IPv4 addresses: permuted over Z_65536 x Z_65536; US social numbers over Z_88902 x Z_9999;
-* phone numbers: digits after the country code; e-mail local parts and the value of
-  credentials (token, password, access key ids): letters stay letters, digits stay digits.
-
-Each is a Feistel network of ``ROUNDS`` rounds whose round function is SHA-2 of key, kind, round
-and the other half. The key is a literal of the plan: pass it from a secret store and keep event
-logs private. All work is inside a row: no shuffle, no Python, any skew is harmless.
+* dates of 1700 to 2099 (one Gregorian cycle): days up to the 12th of a month and days after it are
+  permuted apart (240 x 240 and 9 x 9833 days), so a date that reads as day first, month first or either
+  keeps that reading and no two dates share a pseudonym in any spelling; 2024-02-29, 2024/02/29,
+  29/02/2024 and the date of a timestamp are one day with one pseudonym;
+* IPv4 addresses: permuted over 65536 x 65536, leading zeros kept; US social numbers over 88902 x 9999;
+* phone numbers: digits after the country code; e-mail local parts and the value of credentials
+  (token, secret, password, key, access key ids), of any length: letters stay letters, digits stay
+  digits, other signs stay; hexadecimal values stay hexadecimal and others stay others.
+
+Each is a Feistel network of ``ROUNDS`` rounds whose round function is SHA-2 of key, kind, round, block
+and the other half. The key has no default: pass it from a secret store (queries read
+``spark.mergecount.pii.key``). It is a literal of the plan, so keep event logs private. All work is inside
+a row: no shuffle, no Python, any skew is harmless. Times of day, domains of e-mail addresses and country
+codes stay.
 
 Edge cases: null text stays null; empty and very long texts are treated whole; candidates that
 fail their check stay as they are; repeated rows get equal results; other columns are kept,
@@ -28,16 +34,22 @@ from pyspark.sql import functions as F
 from . import common as C
 
 ROUNDS = 8
-KEY = "change-me"
-#: Days of one full Gregorian cycle, 189 * 773.
-CYCLE_A, CYCLE_B, CYCLE_START = 189, 773, "1700-01-01"
-
-EMAIL = r"(?<![A-Za-z0-9._%+\-])[A-Za-z0-9._%+\-]{1,64}@[A-Za-z0-9.\-]{1,253}\.[A-Za-z]{2,24}(?![A-Za-z0-9])"
-SECRET = r"(?<![0-9A-Za-z])(?:(?i:token|secret|password|passwd|api_key|apikey)\s{0,3}[=:]\s{0,3}[\"']?[0-9A-Za-z]{12,84}|AKIA[0-9A-Z]{16})(?![0-9A-Za-z])"
+#: Where queries find the key, and the key of runs whose session has none (tests, demonstrations).
+KEY_SETTING, DEMO_KEY = "spark.mergecount.pii.key", "demonstration only"
+CYCLE_START, CYCLE_DAYS, MONTHS = "1700-01-01", 146097, 4800
+#: Factors of the days up to the 12th (12 * 4800) and after it (146097 - 12 * 4800), rounds for the second.
+EARLY, LATE, LATE_ROUNDS = (240, 240), (9, 9833), 24
+
+_SIGNS = r"0-9A-Za-z_+/~.\-"
+EMAIL = r"(?<![A-Za-z0-9._%+\-])[A-Za-z0-9._%+\-]++@[A-Za-z0-9.\-]+\.[A-Za-z]{2,24}(?![A-Za-z0-9])"
+WORD = r"(?i:token|secret|password|passwd|api_?key)\s{0,3}[=:]"
+VALUE = rf"(?:(?=[A-Za-z_+/~.\-]*[0-9])[{_SIGNS}]{{8,}}|[{_SIGNS}]{{12,}})={{0,2}}"
+SECRET = rf"(?:{WORD}\s{{0,3}}[\"']?{VALUE}|(?<![0-9A-Za-z])AKIA[0-9A-Z]{{16}}(?![0-9A-Za-z]))"
+STAMP = r"(?<![0-9A-Za-z])(?<![0-9][.\-])[0-9]{4}-[0-9]{2}-[0-9]{2}(?=T[0-9]{2})"
+DATES = (r"[0-9]{4}-[0-9]{2}-[0-9]{2}", r"[0-9]{4}/[0-9]{2}/[0-9]{2}", r"[0-9]{1,2}/[0-9]{1,2}/[0-9]{4}", r"[0-9]{1,2}\.[0-9]{1,2}\.[0-9]{4}")
 NUMBERS = (
     r"[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?",
-    r"[0-9]{4}-[0-9]{2}-[0-9]{2}",
-    r"[0-9]{1,2}[./][0-9]{1,2}[./][0-9]{4}",
+    *DATES,
     r"[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}",
     r"[0-9]{3}-[0-9]{2}-[0-9]{4}",
     r"\+[0-9]{1,3} ?\([0-9]{1,4}\) ?[0-9]{3}[ \-][0-9]{4}",
@@ -48,7 +60,14 @@ NUMBERS = (
     r"[0-9]{4}[ \-][0-9]{6}[ \-][0-9]{5}",
     r"[0-9]{13,19}",
 )
-PATTERN = EMAIL + "|" + SECRET + r"|(?<![0-9A-Za-z])(?<![0-9][.\-])(?:" + "|".join(NUMBERS) + r")(?![0-9A-Za-z])(?![.\-][0-9])"
+PATTERN = EMAIL + "|" + SECRET + "|" + STAMP + r"|(?<![0-9A-Za-z])(?<![0-9][.\-])(?:" + "|".join(NUMBERS) + r")(?![0-9A-Za-z])(?![.\-][0-9])"
+#: What every match of PATTERN has.
+ANY = "[0-9@]|AKIA|" + WORD
+
+
+def key_of(spark: SparkSession) -> str:
+    """The session's key; without one a fixed key that hides nothing from its readers."""
+    return spark.conf.get(KEY_SETTING, None) or DEMO_KEY
 
 
 def _num(text: Column) -> Column:
@@ -59,62 +78,76 @@ def _only(text: Column, keep: str) -> Column:
     return F.regexp_replace(text, f"[^{keep}]", "")
 
 
-def _round_hash(key: str, kind: str, i: Column, half: Column) -> Column:
-    return F.sha2(F.concat_ws("|", F.lit(key), F.lit(kind), i.cast("string"), half).cast("binary"), 512)
+def _once(value: Column, use) -> Column:
+    """``use`` of a value that is computed once: a lambda's variable, however often ``use`` names it."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
+def _round_hash(key: str, kind: str, i: Column, block: Column, half: Column) -> Column:
+    return F.sha2(F.concat_ws("|", F.lit(key), F.lit(kind), i.cast("string"), block.cast("string"), half).cast("binary"), 512)
 
 
-def permute_number(n: Column, a: int, b: int, key: str, kind: str) -> Column:
+def permute_number(n: Column, a: int, b: int, key: str, kind: str, count: int = ROUNDS) -> Column:
     """Keyed permutation of 0..a*b-1: additions modulo a and b by turns."""
 
     def step(acc: Column, i: Column) -> Column:
         def add(to: Column, other: Column, size: int) -> Column:
-            h = F.conv(F.substring(_round_hash(key, kind, i, other.cast("string")), 1, 14), 16, 10).cast("long")
+            h = F.conv(F.substring(_round_hash(key, kind, i, F.lit(0), other.cast("string")), 1, 14), 16, 10).cast("long")
             return F.pmod(to + h, F.lit(size).cast("long"))
 
         even = i % 2 == 0
         return F.struct(F.when(even, add(acc["l"], acc["r"], a)).otherwise(acc["l"]).alias("l"), F.when(even, acc["r"]).otherwise(add(acc["r"], acc["l"], b)).alias("r"))
 
     begin = F.struct(F.floor(n / b).cast("long").alias("l"), F.pmod(n, F.lit(b).cast("long")).alias("r"))
-    rounds = F.array(*[F.lit(i) for i in range(ROUNDS)])
+    rounds = F.array(*[F.lit(i) for i in range(count)])
     return F.aggregate(rounds, begin, step, lambda acc: acc["l"] * b + acc["r"])
 
 
-def permute_symbols(text: Column, key: str, kind: str, letters: Column | int = 26) -> Column:
-    """Keyed permutation of strings of lower-case letters and digits that keeps the class of every place; ``letters``: size of their alphabet."""
+def permute_symbols(text: Column, key: str, kind: str, pivot: Column | None = None) -> Column:
+    """Keyed permutation of strings of lower-case letters and digits that keeps the class of every place.
 
-    def shifted(half: Column, digest: Column) -> Column:
-        def one(c: Column, j: Column) -> Column:
-            k = F.conv(F.substring(digest, F.pmod(j, F.lit(42)) * 3 + 1, F.lit(3)), 16, 10).cast("int")
+    With ``pivot`` (the place of the first letter after f, the length if there is none) letters before it
+    stay within a to f and the letter there within g to z, so the pivot itself is kept.
+    """
+
+    def shifted(half: Column, i: Column, other: Column, offset: Column) -> Column:
+        blocks = F.sequence(F.lit(0), F.floor((F.length(half) - 1) / 42).cast("int"))  # a digest serves 42 places
+        digests = F.transform(blocks, lambda block: _round_hash(key, kind, i, block, other))
+
+        def one(c: Column, j: Column, digest: Column) -> Column:
+            k = F.conv(F.substring(F.get(digest, F.floor(j / 42).cast("int")), F.pmod(j, F.lit(42)) * 3 + 1, F.lit(3)), 16, 10).cast("int")
+            at = j + offset
+            first, size = F.lit(97), F.lit(26)
+            if pivot is not None:
+                first, size = F.when(at == pivot, 103).otherwise(97), F.when(at < pivot, 6).when(at == pivot, 20).otherwise(26)
             digit = c.between("0", "9")
-            first, size = F.when(digit, 48).otherwise(97), F.when(digit, 10).otherwise(letters)
+            first, size = F.when(digit, 48).otherwise(first), F.when(digit, 10).otherwise(size)
             return F.char(first + F.pmod(F.ascii(c) - first + k, size))
 
-        return F.when(half == "", half).otherwise(F.array_join(F.transform(F.split(half, ""), one), ""))
+        turned = _once(digests, lambda d: F.array_join(F.transform(F.split(half, ""), lambda c, j: one(c, j, d)), ""))
+        return F.when(half == "", half).otherwise(turned)
+
+    cut = F.floor(F.length(text) / 2).cast("int")
 
     def step(acc: Column, i: Column) -> Column:
         even = i % 2 == 0
-        left = F.when(even, shifted(acc["l"], _round_hash(key, kind, i, acc["r"]))).otherwise(acc["l"])
-        right = F.when(even, acc["r"]).otherwise(shifted(acc["r"], _round_hash(key, kind, i, acc["l"])))
+        left = F.when(even, shifted(acc["l"], i, acc["r"], F.lit(0))).otherwise(acc["l"])
+        right = F.when(even, acc["r"]).otherwise(shifted(acc["r"], i, acc["l"], cut))
         return F.struct(left.alias("l"), right.alias("r"))
 
-    cut = F.floor(F.length(text) / 2).cast("int")
     begin = F.struct(F.substring(text, F.lit(1), cut).alias("l"), F.substring(text, cut + 1, F.length(text)).alias("r"))
     return F.aggregate(F.array(*[F.lit(i) for i in range(ROUNDS)]), begin, step, lambda acc: F.concat(acc["l"], acc["r"]))
 
 
 def laid_out(like: Column, symbols: Column) -> Column:
     """``symbols`` in the separators and letter case of ``like``."""
+    between = F.split(like, "[0-9A-Za-z]", -1)
+    cased = F.zip_with(F.regexp_extract_all(like, F.lit("[0-9A-Za-z]"), F.lit(0)), F.split(symbols, ""), lambda old, new: F.when(old.between("A", "Z"), F.upper(new)).otherwise(new))
+    return F.when(symbols == "", like).otherwise(F.array_join(F.zip_with(between, cased, lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), ""))
 
-    def one(i: Column) -> Column:
-        c = F.substring(like, i, F.lit(1))
-        new = F.substring(symbols, F.length(_only(F.substring(like, F.lit(1), i), "0-9A-Za-z")), F.lit(1))
-        return F.when(c.rlike("[0-9a-z]"), new).when(c.rlike("[A-Z]"), F.upper(new)).otherwise(c)
 
-    return F.array_join(F.transform(F.sequence(F.lit(1), F.length(like)), one), "")
-
-
-def _hidden(part: Column, key: str, kind: str, letters: Column | int = 26) -> Column:
-    return laid_out(part, permute_symbols(F.lower(_only(part, "0-9A-Za-z")), key, kind, letters))
+def _hidden(part: Column, key: str, kind: str, pivot=None) -> Column:
+    return laid_out(part, _once(F.lower(_only(part, "0-9A-Za-z")), lambda x: permute_symbols(x, key, kind, None if pivot is None else pivot(x))))
 
 
 def luhn_digit(payload: Column) -> Column:
@@ -151,28 +184,54 @@ def _iban(hit: Column, key: str) -> Column:
     return F.when(good, laid_out(hit, F.concat(F.lower(land), check, F.lower(new)))).otherwise(hit)
 
 
+def _permuted_day(day: Column, key: str) -> Column:
+    start = F.lit(CYCLE_START).cast("date")
+    n = F.datediff(day, start).cast("long")
+    month = ((F.year(day) - 1700) * 12 + F.month(day) - 1).cast("long")
+    early = F.dayofmonth(day) <= 12
+    new = permute_number(month * 12 + F.dayofmonth(day) - 1, *EARLY, key, "early-date")
+    early_day = _once(new, lambda x: F.date_add(F.add_months(start, F.floor(x / 12).cast("int")), F.pmod(x, F.lit(12)).cast("int")))
+
+    # Late days are numbered through; the month of a number is near its share of all months.
+    base = lambda m: F.datediff(F.add_months(start, m.cast("int")), start) - m * 12
+
+    def late_day(x: Column) -> Column:
+        guess = F.floor(x * MONTHS / (CYCLE_DAYS - 12 * MONTHS))
+        found = F.when(base(guess + 1) <= x, guess + 1).when(base(guess) <= x, guess).otherwise(guess - 1)
+        return F.date_add(F.add_months(start, found.cast("int")), (x - base(found) + 12).cast("int"))
+
+    late = _once(permute_number(n - (month + 1) * 12, *LATE, key, "late-date", LATE_ROUNDS), late_day)
+    return F.when(early, early_day).otherwise(late)
+
+
 def _date(hit: Column, key: str) -> Column:
-    iso = hit.rlike("^[0-9]{4}-")
-    parts = F.split(hit, "[./]")
-    spelled = lambda d, m: F.concat(parts[2], F.lit("-"), F.lpad(parts[m], 2, "0"), F.lit("-"), F.lpad(parts[d], 2, "0"))
-    day_first = F.when(~iso, F.try_to_date(F.when(~iso, spelled(0, 1)), "yyyy-MM-dd"))
-    month_first = F.when(~iso, F.try_to_date(F.when(~iso, spelled(1, 0)), "yyyy-MM-dd"))
-    day = F.when(iso, F.try_to_date(F.when(iso, hit), "yyyy-MM-dd")).otherwise(F.coalesce(day_first, month_first))
-    n = F.datediff(day, F.lit(CYCLE_START).cast("date")).cast("long")
-    new = F.date_add(F.lit(CYCLE_START).cast("date"), permute_number(n, CYCLE_A, CYCLE_B, key, "date").cast("int"))
+    year_first = hit.rlike("^[0-9]{4}[-/]")
+    parts = F.split(hit, "[-./]")
+    spelled = lambda y, m, d: F.try_to_date(F.concat(parts[y], F.lit("-"), F.lpad(parts[m], 2, "0"), F.lit("-"), F.lpad(parts[d], 2, "0")), "yyyy-MM-dd")
+    day_first = F.when(~year_first, F.when(~year_first, spelled(2, 1, 0)))
+    month_first = F.when(~year_first, spelled(2, 0, 1))
+    day = F.when(year_first, spelled(0, 1, 2)).otherwise(F.coalesce(day_first, month_first))
+    known = day.between(F.lit(CYCLE_START).cast("date"), F.lit("2099-12-31").cast("date"))
     dot, padded = hit.contains("."), hit.rlike("^[0-9]{2}[./][0-9]{2}[./]")
-    by = lambda fmt: F.date_format(new, fmt)
-    local = F.when(day_first.isNotNull(), F.when(padded, by("dd/MM/yyyy")).otherwise(by("d/M/yyyy"))).otherwise(F.when(padded, by("MM/dd/yyyy")).otherwise(by("M/d/yyyy")))
-    out = F.when(iso, by("yyyy-MM-dd")).when(dot, F.regexp_replace(local, "/", ".")).otherwise(local)
-    return F.when((n >= 0) & (n < CYCLE_A * CYCLE_B), out).otherwise(hit)
+
+    def written(new: Column) -> Column:
+        by = lambda fmt: F.date_format(new, fmt)
+        local = F.when(day_first.isNotNull(), F.when(padded, by("dd/MM/yyyy")).otherwise(by("d/M/yyyy"))).otherwise(F.when(padded, by("MM/dd/yyyy")).otherwise(by("M/d/yyyy")))
+        return F.when(year_first, F.when(hit.contains("-"), by("yyyy-MM-dd")).otherwise(by("yyyy/MM/dd"))).when(dot, F.regexp_replace(local, "/", ".")).otherwise(local)
+
+    return F.when(known, _once(_permuted_day(day, key), written)).otherwise(hit)
 
 
 def _ip(hit: Column, key: str) -> Column:
-    octets = F.transform(F.split(hit, r"\."), lambda x: x.cast("long"))
+    parts = F.split(hit, r"\.")
+    octets = F.transform(parts, lambda x: x.cast("long"))
     n = F.aggregate(octets, F.lit(0).cast("long"), lambda acc, x: acc * 256 + x)
-    new = permute_number(n, 65536, 65536, key, "ip")
-    spelled = F.concat_ws(".", *[F.pmod(F.shiftright(new, s), F.lit(256)).cast("string") for s in (24, 16, 8, 0)])
-    return F.when(F.forall(octets, lambda x: x <= 255), spelled).otherwise(hit)
+
+    def spelled(new: Column) -> Column:
+        one = lambda part, x: F.when((F.length(part) > F.length(x)) & part.startswith("0"), F.lpad(x, F.length(part), F.lit("0"))).otherwise(x)
+        return F.concat_ws(".", *[one(parts[i], F.pmod(F.shiftright(new, 24 - 8 * i), F.lit(256)).cast("string")) for i in range(4)])
+
+    return F.when(F.forall(octets, lambda x: x <= 255), _once(permute_number(n, 65536, 65536, key, "ip"), spelled)).otherwise(hit)
 
 
 def _social(hit: Column, key: str) -> Column:
@@ -198,47 +257,49 @@ def _email(hit: Column, key: str) -> Column:
 
 
 def _secret(hit: Column, key: str) -> Column:
-    value = F.regexp_extract(hit, "[0-9A-Za-z]+$", 0)
-    value = F.when(hit.startswith("AKIA"), F.substring(hit, F.lit(5), F.length(hit))).otherwise(value)
-    return F.concat(F.substring(hit, F.lit(1), F.length(hit) - F.length(value)), _hidden(value, key, "secret", F.when(value.rlike("^[0-9A-Fa-f]+$"), 6).otherwise(26)))
+    head = F.regexp_extract(hit, "^(AKIA(?=[0-9A-Z]{16}$)|[^=:]*[=:]\\s{0,3}[\"']?)", 0)
+    value = F.substring(hit, F.length(head) + 1, F.length(hit))
+    return F.concat(head, _hidden(value, key, "secret", lambda x: F.length(F.regexp_extract(x, "^[0-9a-f]*", 0))))
 
 
-def pseudonym(hit: Column, key: str = KEY) -> Column:
+def pseudonym(hit: Column, key: str) -> Column:
     """The pseudonym of one candidate, or the candidate itself if it fails its check."""
     digit_start = hit.rlike("^[0-9]")
     return (
-        F.when(hit.contains("@"), _email(hit, key))
-        .when(hit.rlike("^(?:AKIA[0-9A-Z]{16}$|[A-Za-z_]+\\s{0,3}[=:])"), _secret(hit, key))
+        F.when(hit.rlike("^(?:AKIA[0-9A-Z]{16}$|[A-Za-z_]+\\s{0,3}[=:])"), _secret(hit, key))
+        .when(hit.contains("@"), _email(hit, key))
         .when(hit.rlike("^[A-Z]"), _iban(hit, key))
         .when(hit.rlike("^[+(]"), _phone(hit, key))
-        .when(digit_start & hit.rlike(r"^(?:[0-9]{4}-[0-9]{2}-[0-9]{2}|[0-9]{1,2}[./][0-9]{1,2}[./][0-9]{4})$"), _date(hit, key))
+        .when(digit_start & hit.rlike("^(?:" + "|".join(DATES) + ")$"), _date(hit, key))
         .when(digit_start & hit.rlike(r"^[0-9]{1,3}(?:\.[0-9]{1,3}){3}$"), _ip(hit, key))
         .when(digit_start & hit.rlike("^[0-9]{3}-[0-9]{2}-[0-9]{4}$"), _social(hit, key))
         .otherwise(_card(hit, key))
     )
 
 
-def pseudonymize(docs: DataFrame, key: str = KEY, column: str = "text", found: str | None = None) -> DataFrame:
-    """``docs`` with ``column`` rewritten; ``found`` names a column for the number of replaced values, if asked for."""
+def pseudonymize(docs: DataFrame, key: str, column: str = "text", found: str | None = None) -> DataFrame:
+    """``docs`` with ``column`` rewritten under ``key``; ``found`` names a column for the number of replaced values, if asked for."""
+    if not key:
+        raise ValueError("a key is needed: pass it from a secret store")
     kept = docs.columns
     quote = lambda c: F.col(f"`{c}`")
     text = quote(column)
-    temp = {k: f"__pii_{k}" for k in ("parts", "hits", "new")}
-    some = text.rlike("[0-9@]")
+    some = text.rlike(ANY)
     cut = docs.select(
-        *[quote(c) for c in kept],
-        F.when(some, F.split(text, PATTERN, -1)).alias(temp["parts"]),
-        F.when(some, F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))).alias(temp["hits"]),
+        F.struct(*[quote(c) for c in kept]).alias("in"),
+        F.when(some, F.split(text, PATTERN, -1)).alias("parts"),
+        F.when(some, F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))).alias("hits"),
     )
-    new = cut.withColumn(temp["new"], F.transform(temp["hits"], lambda h: pseudonym(h, key)))
-    merged = F.array_join(F.flatten(F.zip_with(temp["parts"], temp["new"], lambda a, b: F.array(a, F.coalesce(b, F.lit(""))))), "")
-    out = F.when(F.coalesce(F.size(temp["hits"]), F.lit(0)) > 0, merged).otherwise(text)
-    changed = F.aggregate(F.zip_with(temp["hits"], temp["new"], lambda a, b: F.when(a != b, 1).otherwise(0)), F.lit(0), lambda acc, x: acc + x)
-    columns = [out.alias(c) if c == column else quote(c) for c in kept]
+    new = cut.withColumn("new", F.transform("hits", lambda h: pseudonym(h, key)))
+    merged = F.array_join(F.flatten(F.zip_with("parts", "new", lambda a, b: F.array(a, F.coalesce(b, F.lit(""))))), "")
+    old = lambda c: F.col(f"in.`{c}`")
+    out = F.when(F.coalesce(F.size("hits"), F.lit(0)) > 0, merged).otherwise(old(column))
+    changed = F.aggregate(F.zip_with("hits", "new", lambda a, b: F.when(a != b, 1).otherwise(0)), F.lit(0), lambda acc, x: acc + x)
+    columns = [(out if c == column else old(c)).alias(c) for c in kept]
     return new.select(*columns, *([F.coalesce(changed, F.lit(0)).alias(found)] if found else []))
 
 
 def op1_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document's id, whole pseudonymized text and number of replaced values."""
     docs = C.table(spark, sf_dir, "documents").select("doc_id", "text")
-    return pseudonymize(docs, found="replaced")
+    return pseudonymize(docs, key_of(spark), found="replaced")

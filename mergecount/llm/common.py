@@ -8,6 +8,7 @@ import math
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -49,6 +50,11 @@ def materialize(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def once(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use`` of a value that is computed once: a lambda's variable, however often ``use`` names it."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
 def hash60(*cols: Column) -> Column:
     """Uniform 60-bit order from MD5, the same in any SQL engine; null columns are left out."""
     text = F.concat_ws(":", *[c.cast("string") for c in cols])

@@ -1,6 +1,6 @@
 """Licence scan: sparse TF-IDF cosine to templates, then inheritance from the nearest directory.
 
-Templates are usual notices and whole licence texts (``licence_texts``). Units of a file are its whole
+Templates are usual notices and whole licence texts (``licence_texts``, their ``TERMS`` weightiest terms). Units of a file are its whole
 text, every line, and every block of adjacent lines; lines and blocks that deny a licence
 (``DENIED``) are left out. A unit's vector has (1 + ln tf) * idf for each of its terms, with document
 frequencies counted over all files; terms that no template has get the largest idf. The cosine to each
@@ -11,9 +11,9 @@ file's own. Files without a licence of their own take that of the nearest ancest
 licence file: directories are reduced to distinct ones, joined with their ancestors, and the deepest
 match is joined back.
 
-Only built-in functions. Only units that can reach a cut are exploded into terms: the commonest terms
-are put aside while no template has ``MIN_FILE`` of its length on them, so a unit without any other template
-term stays below the cut (by the inequality of Cauchy and Schwarz) and nothing is missed. Document
+Only built-in functions. Only units that can reach a cut are exploded into terms: they have a telling
+term (``telling_terms``) and enough of their own length on template terms (``reach``). Both tests are
+bounds, so nothing is missed. Document
 frequencies are partial counts of some thousand terms; a directory that holds a third of all files
 is one row of the directory table, which its files get without a shuffle (``common.join_hot``).
 
@@ -26,6 +26,10 @@ result; extra columns are ignored.
 
 from __future__ import annotations
 
+import json
+import math
+import re
+from collections import Counter
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -37,6 +41,10 @@ from . import common as C
 MIN_HEADER, MIN_FILE = 0.55, 0.4
 DENIED = "(not|never|no longer) ([a-z]+ ){0,2}(licen[sc]ed|released|available|distributed) (under|by|on)"
 LINES, BLOCKS = "[\\r\\n]+", "\\r?\\n[ \\t#*/;-]*\\r?\\n"
+#: Terms kept of a template of over LONG words.
+TERMS, LONG = 96, 150
+#: Places of the table of template terms, and the largest (1 + ln x)^2 / x.
+PLACES, STEEP = 1024, 4 / math.e
 TERM = "[a-z0-9]+(?:[.][0-9]+)*"
 
 # Usual wordings of licence notices.
@@ -87,10 +95,21 @@ def terms(text: Column) -> Column:
     return F.regexp_extract_all(F.lower(text), F.lit(TERM), F.lit(0))
 
 
+def term_table() -> list[tuple[int, str, str, int]]:
+    """(template, licence, term, tf): notices with all their terms, whole texts with their ``TERMS`` weightiest among whole texts."""
+    counts = [(i, name, Counter(re.findall(TERM, text.lower()))) for i, (name, text) in enumerate(templates())]
+    whole = [c for i, _, c in counts if sum(c.values()) > LONG]
+    spread = Counter(t for c in whole for t in c)
+    out = []
+    for i, name, c in counts:
+        weight = {t: (1 + math.log(n)) * (1 + math.log((1 + len(whole)) / spread[t])) for t, n in c.items()} if sum(c.values()) > LONG else c
+        out += [(i, name, t, c[t]) for t in sorted(weight, key=lambda t: (-weight[t], t))[: TERMS if weight is not c else None]]
+    return out
+
+
 def template_terms(spark: SparkSession) -> DataFrame:
     """(template, licence, term, tf) of the fixed templates."""
-    rows = spark.createDataFrame([(i, name, text) for i, (name, text) in enumerate(templates())], "template int, licence string, text string")
-    return rows.select("template", "licence", F.explode(terms(F.col("text"))).alias("term")).groupBy("template", "licence", "term").agg(F.count("*").alias("tf"))
+    return spark.createDataFrame(term_table(), "template int, licence string, term string, tf int")
 
 
 def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
@@ -114,12 +133,15 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
     weights = raw.select("template", "licence", "term", (F.col("w") / F.sqrt(F.sum(F.col("w") * F.col("w")).over(of_template))).alias("w"))
 
     weights = C.materialize(weights, "template-weights")
-    telling = F.lit(telling_terms([tuple(r) for r in weights.join(F.broadcast(idf), "term").select("template", "term", "w", "idf").collect()]))
-    reaches = lambda x: F.arrays_overlap(terms(x), telling)
-    kept = lambda x: reaches(x) & ~F.lower(x).rlike(DENIED)
+    place = F.pmod(F.xxhash64("term"), F.lit(PLACES)).cast("int")
+    known_rows = [tuple(r) for r in weights.join(F.broadcast(idf), "term").select("template", "term", "w", "idf", place).collect()]  # the fixed templates
+    telling, can = F.lit(telling_terms([r[:4] for r in known_rows])), reach(known_rows, math.log(total + 1.0) + 1.0)
+    tells = lambda x: F.arrays_overlap(terms(x), telling)
+    kept = lambda x: can(x, MIN_HEADER) & ~F.lower(x).rlike(DENIED)
     lines = F.filter(F.array_distinct(F.concat(F.split("text", LINES), F.split("text", BLOCKS))), kept)
-    marked = named.filter(reaches(F.col("text"))).dropDuplicates(["path", "text"])
-    units = marked.select("path", F.posexplode(F.concat(F.array("text"), lines)).alias("unit", "words"))
+    marked = named.filter(tells(F.col("text"))).select("path", "text", F.concat(F.array(F.when(can(F.col("text"), MIN_FILE), F.col("text"))), lines).alias("all"))
+    marked = marked.filter((F.size("all") > 1) | F.col("all")[0].isNotNull()).dropDuplicates(["path", "text"])
+    units = marked.select("path", F.posexplode("all").alias("unit", "words")).filter("words is not null")
     counts = units.select("path", "unit", F.explode(terms(F.col("words"))).alias("term")).groupBy("path", "unit", "term").agg(F.count("*").alias("tf"))
     counts = counts.join(F.broadcast(idf), "term", "left").withColumn("v", weight * F.coalesce(F.col("idf"), rare))
     norms = counts.groupBy("path", "unit").agg(F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("norm"))
@@ -156,6 +178,34 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
     )
 
 
+def reach(rows: list[tuple], rare: float):
+    """A test of whether a unit's cosine to any template can reach a cut, made inside the row.
+
+    By the inequality of Cauchy and Schwarz it is at most the share of the unit's length that lies on
+    template terms; with (1 + ln tf)^2 <= STEEP tf that part is at most STEEP times a sum over occurrences.
+    ``rows``: (template, term, w, idf, place) of the fixed templates; terms are found by their place.
+    """
+    table: list[list] = [[] for _ in range(PLACES)]
+    for term, idf, at in sorted({(r[1], r[3], r[4]) for r in rows}):
+        table[at].append({"t": term, "s": idf * idf})
+    found = F.from_json(F.lit(json.dumps(table)), F.lit("array<array<struct<t:string,s:double>>>"))  # folded to one literal
+    nothing = F.lit(0.0)
+
+    def square(w: Column) -> Column:
+        own = F.get(found, F.pmod(F.xxhash64(w), F.lit(PLACES)).cast("int"))
+        return F.aggregate(own, nothing, lambda acc, e: F.when(e["t"] == w, e["s"]).otherwise(acc))
+
+    def can(unit: Column, least: float) -> Column:
+        def test(t: Column) -> Column:
+            known = F.aggregate(t, nothing, lambda acc, w: acc + square(w))
+            length = F.aggregate(F.array_distinct(t), nothing, lambda acc, w: acc + C.once(square(w), lambda x: F.when(x > 0, x).otherwise(rare * rare)))
+            return F.lit(STEEP) * known >= F.lit(0.98 * least * least) * length
+
+        return C.once(terms(unit), test)
+
+    return can
+
+
 def telling_terms(rows: list[tuple]) -> list[str]:
     """Terms of which a unit needs at least one to reach a cut: all but the commonest, on which no template has MIN_FILE of its length.
 
@@ -193,12 +243,12 @@ def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def oracle() -> str:
     quote = lambda s: "'" + s.replace("'", "''") + "'"
-    values = ", ".join(f"({i}, {quote(name)}, {quote(text)})" for i, (name, text) in enumerate(templates()))
+    values = ", ".join(f"({i}, {quote(name)}, {quote(term)}, {tf})" for i, name, term, tf in term_table())
     tok = lambda c: f"regexp_extract_all(lower({c}), '{TERM}')"
     return f"""
     with f as (select '/' || coalesce(replace(source, '/', '_'), 'null') || '/' || coalesce(replace(lang, '/', '_'), 'null') as folder, doc_id, coalesce(text, '') as text from documents),
     p as (select *, folder || '/' || doc_id as path from f),
-    t as (select template, licence, term, count(*) tf from (select template, licence, unnest({tok('text')}) term from (values {values}) v(template, licence, text)) group by all),
+    t as (select * from (values {values}) v(template, licence, term, tf)),
     voc as (select distinct term from t),
     dfs as (select term, count(*) df from (select distinct path, term from (select path, unnest({tok('text')}) term from p)) semi join voc using (term) group by term),
     nn as (select count(*) n from p),

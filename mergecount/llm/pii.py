@@ -78,11 +78,6 @@ def _only(text: Column, keep: str) -> Column:
     return F.regexp_replace(text, f"[^{keep}]", "")
 
 
-def _once(value: Column, use) -> Column:
-    """``use`` of a value that is computed once: a lambda's variable, however often ``use`` names it."""
-    return F.get(F.transform(F.array(value), use), F.lit(0))
-
-
 def _round_hash(key: str, kind: str, i: Column, block: Column, half: Column) -> Column:
     return F.sha2(F.concat_ws("|", F.lit(key), F.lit(kind), i.cast("string"), block.cast("string"), half).cast("binary"), 512)
 
@@ -124,7 +119,7 @@ def permute_symbols(text: Column, key: str, kind: str, pivot: Column | None = No
             first, size = F.when(digit, 48).otherwise(first), F.when(digit, 10).otherwise(size)
             return F.char(first + F.pmod(F.ascii(c) - first + k, size))
 
-        turned = _once(digests, lambda d: F.array_join(F.transform(F.split(half, ""), lambda c, j: one(c, j, d)), ""))
+        turned = C.once(digests, lambda d: F.array_join(F.transform(F.split(half, ""), lambda c, j: one(c, j, d)), ""))
         return F.when(half == "", half).otherwise(turned)
 
     cut = F.floor(F.length(text) / 2).cast("int")
@@ -147,7 +142,7 @@ def laid_out(like: Column, symbols: Column) -> Column:
 
 
 def _hidden(part: Column, key: str, kind: str, pivot=None) -> Column:
-    return laid_out(part, _once(F.lower(_only(part, "0-9A-Za-z")), lambda x: permute_symbols(x, key, kind, None if pivot is None else pivot(x))))
+    return laid_out(part, C.once(F.lower(_only(part, "0-9A-Za-z")), lambda x: permute_symbols(x, key, kind, None if pivot is None else pivot(x))))
 
 
 def luhn_digit(payload: Column) -> Column:
@@ -190,7 +185,7 @@ def _permuted_day(day: Column, key: str) -> Column:
     month = ((F.year(day) - 1700) * 12 + F.month(day) - 1).cast("long")
     early = F.dayofmonth(day) <= 12
     new = permute_number(month * 12 + F.dayofmonth(day) - 1, *EARLY, key, "early-date")
-    early_day = _once(new, lambda x: F.date_add(F.add_months(start, F.floor(x / 12).cast("int")), F.pmod(x, F.lit(12)).cast("int")))
+    early_day = C.once(new, lambda x: F.date_add(F.add_months(start, F.floor(x / 12).cast("int")), F.pmod(x, F.lit(12)).cast("int")))
 
     # Late days are numbered through; the month of a number is near its share of all months.
     base = lambda m: F.datediff(F.add_months(start, m.cast("int")), start) - m * 12
@@ -200,7 +195,7 @@ def _permuted_day(day: Column, key: str) -> Column:
         found = F.when(base(guess + 1) <= x, guess + 1).when(base(guess) <= x, guess).otherwise(guess - 1)
         return F.date_add(F.add_months(start, found.cast("int")), (x - base(found) + 12).cast("int"))
 
-    late = _once(permute_number(n - (month + 1) * 12, *LATE, key, "late-date", LATE_ROUNDS), late_day)
+    late = C.once(permute_number(n - (month + 1) * 12, *LATE, key, "late-date", LATE_ROUNDS), late_day)
     return F.when(early, early_day).otherwise(late)
 
 
@@ -219,7 +214,7 @@ def _date(hit: Column, key: str) -> Column:
         local = F.when(day_first.isNotNull(), F.when(padded, by("dd/MM/yyyy")).otherwise(by("d/M/yyyy"))).otherwise(F.when(padded, by("MM/dd/yyyy")).otherwise(by("M/d/yyyy")))
         return F.when(year_first, F.when(hit.contains("-"), by("yyyy-MM-dd")).otherwise(by("yyyy/MM/dd"))).when(dot, F.regexp_replace(local, "/", ".")).otherwise(local)
 
-    return F.when(known, _once(_permuted_day(day, key), written)).otherwise(hit)
+    return F.when(known, C.once(_permuted_day(day, key), written)).otherwise(hit)
 
 
 def _ip(hit: Column, key: str) -> Column:
@@ -231,7 +226,7 @@ def _ip(hit: Column, key: str) -> Column:
         one = lambda part, x: F.when((F.length(part) > F.length(x)) & part.startswith("0"), F.lpad(x, F.length(part), F.lit("0"))).otherwise(x)
         return F.concat_ws(".", *[one(parts[i], F.pmod(F.shiftright(new, 24 - 8 * i), F.lit(256)).cast("string")) for i in range(4)])
 
-    return F.when(F.forall(octets, lambda x: x <= 255), _once(permute_number(n, 65536, 65536, key, "ip"), spelled)).otherwise(hit)
+    return F.when(F.forall(octets, lambda x: x <= 255), C.once(permute_number(n, 65536, 65536, key, "ip"), spelled)).otherwise(hit)
 
 
 def _social(hit: Column, key: str) -> Column:

@@ -130,8 +130,8 @@ def slot_values(n: int) -> list[int]:
     return found.tolist()
 
 
-def stored_by_task(df: DataFrame, name: str) -> DataFrame:
-    """Writes ``df`` as a table with a bucket for every task, where the rows lie: nothing moves.
+def stored_by_task(df: DataFrame, name: str) -> tuple[DataFrame, int]:
+    """Writes ``df`` as a table with a bucket for every task, where the rows lie: nothing moves. The table and the number of buckets.
 
     Adds _slot (int, the task) and _row (its rows, from 0). Rows for ``beside`` are made from these two.
     """
@@ -153,15 +153,16 @@ def stored_by_task(df: DataFrame, name: str) -> DataFrame:
     stored = spark.table(table)
     stored.schema  # resolved: the plan keeps the files and their buckets, the catalog entry can go  # noqa: B018
     spark.sql(f"drop table {table}")
-    return stored
+    return stored, n
 
 
-def beside(stored: DataFrame, side: DataFrame) -> DataFrame:
+def beside(stored: DataFrame, slots: int, side: DataFrame) -> DataFrame:
     """``stored`` (from ``stored_by_task``) with the columns of ``side`` (one row for each _slot, null where there is none).
 
-    Only ``side`` is moved, to where its slot's files are read; the stored rows are neither shuffled nor sorted.
+    Only ``side`` is moved, to where its slot's files are read (it is dealt as the buckets are, else Spark
+    might deal the stored rows anew); the stored rows are neither shuffled nor sorted.
     """
-    return stored.join(side.hint("shuffle_hash"), "_slot", "left")
+    return stored.join(side.repartition(slots, "_slot").hint("shuffle_hash"), "_slot", "left")
 
 
 def numbered(df: DataFrame, name: str, number: str = "_row") -> DataFrame:

@@ -166,7 +166,7 @@ def pack(docs: DataFrame, weights: dict[str | None, float] | None = None, window
     dtype = WordTokenizer(definition.value).dtype
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.col("text").cast("string").alias("text"))
     schema = "doc_id long, source string, number int, before long, doc_tokens long, ids binary"
-    tokens = C.stored_by_task(slim.mapInArrow(_tokenize(definition, end), schema), "tokens")
+    tokens, slots = C.stored_by_task(slim.mapInArrow(_tokenize(definition, end), schema), "tokens")
     sums = C.materialize(tokens.groupBy("_slot", "number", "source").agg(F.sum("doc_tokens").alias("n")), "token-sums")
     queues = [(r["source"], r["n"]) for r in sums.groupBy("source").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), F.asc_nulls_last("source")).collect()]
     if not queues:
@@ -177,7 +177,7 @@ def pack(docs: DataFrame, weights: dict[str | None, float] | None = None, window
     before = W.partitionBy("queue").orderBy("_slot").rowsBetween(W.unboundedPreceding, -1)  # a row for each task
     bases = sums.join(numbers, F.col("source").eqNullSafe(F.col("of"))).select("_slot", "number", "queue", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
     side = bases.groupBy("_slot").agg(F.sort_array(F.collect_list(F.struct("number", "queue", "base"))).alias("bases"))
-    own = C.beside(tokens, side).withColumn("_base", F.get("bases", F.col("number")))
+    own = C.beside(tokens, slots, side).withColumn("_base", F.get("bases", F.col("number")))
     placed = own.select("doc_id", F.col("_base.queue").cast("long").alias("queue"), (F.col("_base.base") + F.col("before")).alias("begin"), "doc_tokens", "ids")
     out = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, queue int" + (", ids array<long>" if with_ids else "")
     return placed.mapInArrow(_pieces(schedule, dtype, with_ids), out)

@@ -93,7 +93,7 @@ def write_archives(pages: DataFrame, chunk: int = CHUNK, least: int = MIN_REVISI
     """Writes a record for each row of (page_id, url, html) to the shared folder; the stored chunk rows."""
     payload = F.coalesce(F.col("html").cast("binary"), F.lit(b""))
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.sha2(payload, 256).alias("digest"), F.octet_length(payload).cast("long").alias("size"), payload.alias("payload"))
-    stored = C.stored_by_task(rows, "pages")
+    stored, slots = C.stored_by_task(rows, "pages")
     large = stored.select("_slot", "_row", "page_id", "size", F.when(F.col("size") >= least, F.col("digest")).alias("digest"))
     slim = C.materialize(large, "page-digests")
     digests = slim.filter("digest is not null")
@@ -101,7 +101,7 @@ def write_archives(pages: DataFrame, chunk: int = CHUNK, least: int = MIN_REVISI
     first = C.join_hot(digests, groups, "digest", digests.count()).select("_slot", "_row", "first")
     first = first.union(slim.filter("digest is null").select("_slot", "_row", F.lit(None).cast("long")))
     side = first.groupBy("_slot").agg(F.sort_array(F.collect_list(F.struct("_row", "first"))).alias("all")).select("_slot", F.col("all.first").alias("firsts"))
-    marked = C.beside(stored, side).select("page_id", "url", "digest", "size", F.get("firsts", F.col("_row").cast("int")).alias("first"), "payload")
+    marked = C.beside(stored, slots, side).select("page_id", "url", "digest", "size", F.get("firsts", F.col("_row").cast("int")).alias("first"), "payload")
     return C.materialize(marked.mapInArrow(_write(chunk), ARCHIVE_SCHEMA), "warc")
 
 

@@ -1,25 +1,29 @@
 """Toxicity by weak supervision.
 
-1. Voters. From a bounded sample of labelled rows (``SAMPLE`` of each class, picked by hash; never
+1. Voters. From a bounded sample of labelled rows (``SAMPLE`` of each class at most, picked by hash; never
    rows with crc32(doc_id) mod 3 = 1) every word and word beginning of 3 to 8 letters is counted by
-   class; the ``KEYS`` with the largest likelihood ratio for toxic rows are the lexicon. A lexicon
-   voter says "toxic" where its share of the words is at least ``RATE``; pattern voters look at capitals,
-   exclamation, symbols and at the whole lexicon's share, whose absence is the voter for "clean".
-   The given label is one more voter, present on labelled rows only.
-2. Label model. A generative model of the votes given the unseen class, fitted by expectation
-   maximization over the sample: each voter's accuracy in either class and the voters' correlations
-   within a class; a voter's evidence is divided by its correlation with the others, so that nested or
-   joined voters don't count twice. Where a class is sampled, its rows weigh as many labelled rows as they
-   stand for, so the prior is the share of toxic rows among all usable labels, at any input size.
-3. Classifier. Logistic regression on lexicon and pattern features, fitted to the posteriors.
+   class. Entries tied to toxic rows (likelihood ratio over ``LEAST_RATIO`` for the rows that no entry
+   chosen before accounts for) are the lexicon, ``KEYS`` at most. A lexicon voter votes where its share of
+   the words is at least ``RATE``; pattern voters look at the whole lexicon's share and hits, capitals,
+   exclamation and symbols, and at the lexicon's absence. That is all that labels do, but for the share of
+   toxic rows among all usable labels and a prior of each voter's rates worth ``STRENGTH`` rows.
+2. Label model. A generative model of the votes given the unseen class: P(y) times the product of
+   P(vote | y, vote of the voter that it hangs on). Which voter hangs on which is a maximum spanning forest of
+   the votes' mutual information within the classes (edges that are not significant are left out),
+   estimated anew as the classes clear; accuracies and dependencies are the tables of that forest, fitted by
+   expectation maximization. It sees ``MODEL_ROWS`` documents at most, picked by hash from all documents
+   but the sample of 1 and the held-out remainder, and none of their labels.
+3. Classifier. Logistic regression on lexicon and pattern features of those documents, fitted to the
+   posteriors.
 4. Every whole text is scored, where it lies: no shuffle. The model (some hundred numbers) is broadcast.
 
 Labels, language, source and id are never inputs of a score.
 
 Edge cases: null, empty and blank texts get the classifier's score of a text without words; with no
 labelled rows (or one class only) the lexicon is empty and every score is the share of toxic rows, or
-0 if there are none; repeated rows score alike; an empty table gives an empty result; extra columns
-are ignored by the query and kept by ``score``.
+0 if there are none; where all documents are labelled the label model sees the sample's texts; repeated
+rows score alike, and an id that is repeated gives one text (the least) to the fit; an empty table gives
+an empty result; extra columns are ignored by the query and kept by ``score``.
 """
 
 from __future__ import annotations
@@ -38,8 +42,11 @@ from pyspark.sql import types as T
 
 from . import common as C
 
-#: Labelled rows of each class at most, lexicon entries, share of words at which an entry votes.
-SAMPLE, KEYS, RATE, CUT = 4000, 256, 0.002, 0.7
+#: Labelled rows of each class at most, documents of the label model at most, lexicon entries, share of words at which an entry votes.
+SAMPLE, MODEL_ROWS, KEYS, RATE, CUT = 4000, 12_000, 256, 0.002, 0.7
+#: Log-likelihood gain that an entry needs, rows that the prior of a voter's rates is worth, G statistic of an edge (two degrees, 0.001).
+LEAST_RATIO, STRENGTH, EDGE = 8.0, 10.0, 13.8
+PATTERNS = 6
 LENGTHS = range(3, 9)
 _WORDS = re.compile(r"[^\W\d_]+")
 _SYMBOLS = re.compile(r"[!%&#*$]{2,}")
@@ -110,71 +117,103 @@ def _mine(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array(counter.keys(), pa.string()), pa.array([toxic] * len(counter), pa.int32()), pa.array(counter.values(), pa.int64())], names=["entry", "toxic", "n"])
 
 
-def pick_keys(stats: pd.DataFrame, toxic: int, clean: int) -> list[str]:
-    """The KEYS entries most tied to toxic rows by the likelihood ratio statistic of a 2 x 2 table."""
-    a, b = stats["n1"].to_numpy(float), stats["n0"].to_numpy(float)
+def gain(a: np.ndarray, b: np.ndarray, toxic: int, clean: int) -> np.ndarray:
+    """Log-likelihood that a and b rows of the classes gain by two rates over one; 0 if the toxic rate isn't over 4 times the other."""
     p, q, r = (a + 0.5) / (toxic + 1), (b + 0.5) / (clean + 1), (a + b + 0.5) / (toxic + clean + 1)
     bits = lambda k, n, x: k * np.log(x) + (n - k) * np.log1p(-np.minimum(x, 1 - 1e-9))
-    ratio = bits(a, toxic, p) + bits(b, clean, q) - bits(a, toxic, r) - bits(b, clean, r)
-    good = (p > 4 * q) & (a >= 3) & (ratio > 6)
-    order = np.lexsort((stats["entry"].to_numpy(), -stats["entry"].str.len().to_numpy(), -ratio))
+    return np.where(p > 4 * q, bits(a, toxic, p) + bits(b, clean, q) - bits(a, toxic, r) - bits(b, clean, r), 0.0)
+
+
+def pick_keys(stats: pd.DataFrame, toxic: int, clean: int) -> list[str]:
+    """Entries most tied to toxic rows. One that a chosen entry begins adds nothing; one that begins chosen entries must be worth it without their rows."""
+    a, b, entry = stats["n1"].to_numpy(float), stats["n0"].to_numpy(float), stats["entry"].to_numpy()
+    ratio = gain(a, b, toxic, clean)
+    order = np.lexsort((entry, -stats["entry"].str.len().to_numpy(), -ratio))
     chosen: list[tuple[str, float, float]] = []
-    for i in order[good[order]]:
-        entry = stats["entry"].iloc[i]
-        nested = any((entry.startswith(e.rstrip()) or e.startswith(entry.rstrip())) and a[i] >= 0.8 * x and abs(b[i] - z) <= 0.1 * clean / 100 for e, x, z in chosen)
-        if not nested:
-            chosen.append((entry, a[i], b[i]))
-        if len(chosen) == KEYS:
-            break
+    for i in order[ratio[order] > LEAST_RATIO]:
+        if any(entry[i].startswith(e.rstrip()) for e, _, _ in chosen):
+            continue
+        inside = [(x, z) for e, x, z in chosen if e.startswith(entry[i].rstrip())]
+        left = np.array([a[i] - sum(x for x, _ in inside)]), np.maximum(0, np.array([b[i] - sum(z for _, z in inside)]))
+        if left[0][0] >= 3 and gain(*left, toxic, clean)[0] > LEAST_RATIO:
+            chosen.append((entry[i], a[i], b[i]))
+            if len(chosen) == KEYS:
+                break
     return [e for e, _, _ in chosen]
 
 
-def votes(x: np.ndarray, keys: int, labels: np.ndarray) -> np.ndarray:
-    """Votes of all voters (1 toxic, -1 clean, 0 none); the last is the given label (labels: 1, 0 or -1 for none)."""
-    lexicon = (x[:, :keys] >= np.log1p(1000 * RATE)).astype(np.int8)
+def votes(x: np.ndarray, keys: int) -> np.ndarray:
+    """Votes (1 or 0) of all voters: lexicon entries, patterns, and the lexicon's absence."""
     share, hits, caps, marks, symbols = x[:, keys:].T
-    patterns = np.stack([(share > np.log1p(10)), (hits > np.log(3)), (caps > 0.5), (marks > 0.02), (symbols > 0.2)], axis=1).astype(np.int8)
-    absent = -(hits == 0).astype(np.int8)
-    return np.column_stack([lexicon, patterns, absent, np.where(labels < 0, 0, 2 * labels - 1).astype(np.int8)])
-
-
-def label_model(v: np.ndarray, prior: float, rounds: int = 25, weight: np.ndarray | None = None) -> np.ndarray:
-    """Posterior of the toxic class for every row of votes: EM with correlation-discounted evidence."""
-    label = v[:, -1]
-    weight = np.ones(len(v)) if weight is None else weight
-    post = np.where(label > 0, 0.95, np.where(label < 0, 0.03, np.clip(0.5 * (v[:, -7] + 0.2), 0.05, 0.9)))
-    for _ in range(rounds):
-        evidence = np.full(len(v), np.log(prior) - np.log1p(-prior))
-        discount = np.ones(v.shape[1])
-        for w in (weight * post, weight * (1 - post)):  # correlations inside a class
-            centred = (v - (w @ v) / w.sum()) * np.sqrt(w)[:, None]
-            cov = centred.T @ centred
-            size = np.sqrt(np.maximum(np.diag(cov), 1e-9))
-            rho = np.abs(cov / np.outer(size, size))
-            np.fill_diagonal(rho, 0)
-            rho[rho < 0.2] = 0
-            rho[-1] = rho[:, -1] = 0  # the label was given apart from the text
-            discount = np.maximum(discount, 1 + rho.sum(axis=0))
-        for value in (1, -1):
-            on = v == value
-            p1 = ((weight * post) @ on + 0.1) / ((weight * post).sum() + 1)
-            p0 = ((weight * (1 - post)) @ on + 0.1) / ((weight * (1 - post)).sum() + 1)
-            evidence += on @ (np.log(p1 / p0) / discount)
-        post = 1 / (1 + np.exp(-np.clip(evidence, -30, 30)))
-    return post
-
-
-def fit_linear(x: np.ndarray, y: np.ndarray, keys: int, ridge: float = 3.0, steps: int = 30, weight: np.ndarray | None = None) -> tuple[np.ndarray, float, np.ndarray, np.ndarray]:
+    patterns = [share > np.log1p(10), hits > np.log(3), caps > 0.5, marks > 0.02, symbols > 0.2, hits == 0]
+    return np.column_stack([x[:, :keys] >= np.log1p(1000 * RATE), *patterns]).astype(np.float64)
+
+
+class LabelModel(NamedTuple):
+    prior: float
+    parent: np.ndarray  # the voter that each one hangs on, -1 for none
+    rates: np.ndarray  # [class, parent's vote, voter]: chance of a vote
+
+    def posterior(self, v: np.ndarray) -> np.ndarray:
+        """Chance of the toxic class for each row of votes."""
+        above = (np.where(self.parent >= 0, v[:, np.maximum(self.parent, 0)], 0) == 1) & (self.parent >= 0)
+        odds = np.full(len(v), np.log(self.prior) - np.log1p(-self.prior))
+        for y, sign in ((1, 1), (0, -1)):
+            p = np.where(above, self.rates[y, 1], self.rates[y, 0])
+            odds += sign * np.where(v == 1, np.log(p), np.log1p(-p)).sum(axis=1)
+        return 1 / (1 + np.exp(-np.clip(odds, -30, 30)))
+
+
+def forest(v: np.ndarray, post: np.ndarray) -> np.ndarray:
+    """The voter that each voter hangs on: a maximum spanning forest of mutual information within the classes."""
+    n, voters = v.shape
+    info = np.zeros((voters, voters))
+    for w in (post, 1 - post):
+        size = w.sum() + 1
+        one, both = (w @ v + 0.5) / size, ((v * w[:, None]).T @ v + 0.25) / size
+        cells = ((both, one, one), (one[:, None] - both, one, 1 - one), (one[None, :] - both, 1 - one, one), (1 - one[:, None] - one[None, :] + both, 1 - one, 1 - one))
+        for joint, p, q in cells:
+            joint = np.maximum(joint, 1e-12)
+            info += size / (n + 2) * joint * np.log(joint / np.maximum(np.outer(p, q), 1e-12))
+    parent, best, source, done = np.full(voters, -1), np.zeros(voters), np.full(voters, -1), np.zeros(voters, dtype=bool)
+    for _ in range(voters):
+        k = int(np.argmax(np.where(done, -1.0, best)))
+        parent[k] = source[k] if best[k] > EDGE / (2 * n) else -1
+        done[k] = True
+        closer = ~done & (info[k] > best)
+        best[closer], source[closer] = info[k][closer], k
+    return parent
+
+
+def fit_label_model(v: np.ndarray, prior: float, expected: np.ndarray, rounds: int = 60) -> tuple[LabelModel, np.ndarray]:
+    """The label model of votes without labels, and its posteriors. ``expected`` [class, voter]: the rates that the prior assumes."""
+    alone = np.full(v.shape[1], -1)
+    model = LabelModel(prior, alone, np.stack([expected, expected], axis=1))
+    post = model.posterior(v)
+    for k in range(rounds):
+        parent = forest(v, post) if k % 5 == 0 else model.parent
+        above = (np.where(parent >= 0, v[:, np.maximum(parent, 0)], 0) == 1) & (parent >= 0)
+        rates = np.empty((2, 2, v.shape[1]))
+        for y, w in ((0, 1 - post), (1, post)):
+            for g in (0, 1):
+                on = (above == g) * w[:, None]
+                rates[y, g] = ((on * v).sum(axis=0) + STRENGTH * expected[y]) / (on.sum(axis=0) + STRENGTH)
+        model = LabelModel(prior, parent, rates)
+        moved, post = post, model.posterior(v)
+        if k % 5 == 4 and np.abs(moved - post).max() < 1e-4:
+            break
+    return model, post
+
+
+def fit_linear(x: np.ndarray, y: np.ndarray, ridge: float = 3.0, steps: int = 30) -> tuple[np.ndarray, float, np.ndarray, np.ndarray]:
     """Logistic regression on soft labels by Newton steps."""
-    weight = np.ones(len(x)) if weight is None else weight
-    mean = np.average(x, axis=0, weights=weight)
-    scale = np.maximum(np.sqrt(np.average((x - mean) ** 2, axis=0, weights=weight)), 1e-3)
+    mean, scale = x.mean(axis=0), np.maximum(x.std(axis=0), 1e-3)
     z = np.column_stack([(x - mean) / scale, np.ones(len(x))])
     w, penalty = np.zeros(z.shape[1]), np.full(z.shape[1], ridge)
     penalty[-1] = 1e-6
     for _ in range(steps):
         p = 1 / (1 + np.exp(-np.clip(z @ w, -30, 30)))
-        step = np.linalg.solve((z * (weight * p * (1 - p))[:, None]).T @ z + np.diag(penalty), z.T @ (weight * (y - p)) - penalty * w)
+        step = np.linalg.solve((z * (p * (1 - p))[:, None]).T @ z + np.diag(penalty), z.T @ (y - p) - penalty * w)
         w += step
         if np.abs(step).max() < 1e-6:
             break
@@ -185,37 +224,65 @@ def _vectors(keys: tuple[str, ...]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         wanted, first = {k: i for i, k in enumerate(keys)}, first_letters(keys)
         for batch in batches:
-            rows = [features(t.as_py(), wanted, first).tolist() for t in batch.column(0)]
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(rows, pa.list_(pa.float64()))], names=["toxic", "x"])
+            rows = [features(t.as_py(), wanted, first).tobytes() for t in batch.column(0)]
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(rows, pa.binary())], names=["class", "x"])
 
     return run
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
-    """Model from at most ``sample`` labelled rows of each class, weighted to the classes' shares of all usable labels."""
-    spark = docs.sparkSession
-    usable = labels.filter("toxic in (0, 1) and doc_id is not null").filter(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 != 1)
-    ranked = usable.select("doc_id", F.col("toxic").cast("int").alias("toxic"), F.xxhash64("doc_id").alias("_h"))
-    picked = [ranked.filter(F.col("toxic") == y).orderBy("_h", "doc_id").limit(sample) for y in (0, 1)]
-    few = C.materialize(picked[0].union(picked[1]).select("doc_id", "toxic"), "labelled")
-    texts = docs.select("doc_id", "text").join(F.broadcast(few), "doc_id").select(F.col("text").cast("string").alias("text"), "toxic")
-    texts = C.materialize(texts, "labelled-texts")
-    every = {r["toxic"]: r["n"] for r in usable.groupBy(F.col("toxic").cast("int").alias("toxic")).agg(F.count("*").alias("n")).collect()}
-    stands_for = np.array([every.get(k, 0) / max(1, min(every.get(k, 0), sample)) for k in (0, 1)])  # labelled rows for each sampled one
-    sizes = {r["toxic"]: r["n"] for r in texts.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+def _matrix(texts: DataFrame, keys: tuple[str, ...]) -> tuple[np.ndarray, np.ndarray]:
+    """Class and features of every row of (text, class), a bounded sample, in an order of their own."""
+    rows = sorted((r["class"], bytes(r["x"])) for r in texts.mapInArrow(_vectors(keys), "class int, x binary").collect())
+    return np.array([y for y, _ in rows], dtype=np.int64), np.array([np.frombuffer(x) for _, x in rows]).reshape(len(rows), len(keys) + 5)
+
+
+def _remainder(doc_id) -> object:
+    return F.crc32(doc_id.cast("string").cast("binary")) % 3
+
+
+def _share(doc_id, wanted: int, there: int):
+    """Whether an id is among about ``wanted`` of ``there`` rows, by its hash."""
+    return F.pmod(F.xxhash64(doc_id), F.lit(1 << 40)) < int((1 << 40) * min(1.0, wanted / max(1, there)))
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, sample: int) -> tuple[DataFrame, dict[int, int]]:
+    """(doc_id, text, class) of about ``sample`` labelled rows of each class at most, one for each id, and the usable labels of each class."""
+    usable = labels.filter("toxic in (0, 1) and doc_id is not null").filter(_remainder(F.col("doc_id")) != 1).select("doc_id", F.col("toxic").cast("int").alias("class"))
+    every = {r["class"]: r["n"] for r in usable.groupBy("class").agg(F.count("*").alias("n")).collect()}
+    few = [usable.filter((F.col("class") == y) & _share(F.col("doc_id"), sample, every.get(y, 0))).groupBy("doc_id").agg(F.max("class").alias("class")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample) for y in (0, 1)]
+    few = C.materialize(few[0].union(few[1]).groupBy("doc_id").agg(F.max("class").alias("class")), "labelled")
+    texts = docs.select("doc_id", "text").join(F.broadcast(few), "doc_id")  # at most 2 * sample ids
+    texts = texts.groupBy("doc_id", "class").agg(F.min(F.coalesce(F.col("text").cast("string"), F.lit(""))).alias("text"))
+    return C.materialize(texts, "labelled-texts"), every
+
+
+def unlabelled_sample(docs: DataFrame, labelled: DataFrame, rows: int) -> DataFrame:
+    """(text, class): texts of at most ``rows`` documents that are neither held out nor in ``labelled``, class null."""
+    free = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).filter(F.col("doc_id").isNotNull() & (_remainder(F.col("doc_id")) != 1))
+    free = free.join(F.broadcast(labelled.select("doc_id")), "doc_id", "left_anti").filter(_share(F.col("doc_id"), rows, 2 * docs.count() // 3))
+    texts = free.groupBy("doc_id").agg(F.min("text").alias("text")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
+    return C.materialize(texts.select("text", F.lit(None).cast("int").alias("class")), "model-texts")
+
+
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, model_rows: int = MODEL_ROWS) -> Model:
+    """Lexicon from a sample of labelled rows, label model and classifier from documents without their labels."""
+    texts, every = labelled_sample(docs, labels, sample)
+    sizes = {r["class"]: r["n"] for r in texts.groupBy("class").agg(F.count("*").alias("n")).collect()}
     toxic, clean = sizes.get(1, 0), sizes.get(0, 0)
     if not toxic or not clean:
         return Model((), np.zeros(5), 30.0 if toxic else -30.0, np.zeros(5), np.ones(5))
-    mined = texts.mapInArrow(_mine, "entry string, toxic int, n long").groupBy("entry").agg(F.sum(F.expr("if(toxic = 1, n, 0)")).alias("n1"), F.sum(F.expr("if(toxic = 0, n, 0)")).alias("n0"))
-    strong = mined.filter(f"n1 >= 3 and n1 * {clean} > 4 * n0 * {toxic}").orderBy(F.desc(F.expr(f"n1 / {toxic} - n0 / {clean}")), "entry").limit(20_000)
+    mined = texts.select("text", "class").mapInArrow(_mine, "entry string, toxic int, n long").groupBy("entry").agg(F.sum(F.expr("if(toxic = 1, n, 0)")).alias("n1"), F.sum(F.expr("if(toxic = 0, n, 0)")).alias("n0"))
+    strong = mined.filter(f"n1 >= 3 and (n1 + 0.5) * {clean + 1} > 4 * (n0 + 0.5) * {toxic + 1}")  # what ``gain`` asks for; of a bounded sample
     keys = tuple(pick_keys(strong.toPandas(), toxic, clean))
-    rows = texts.mapInArrow(_vectors(keys), "toxic int, x array<double>").toPandas()
-    x, y = np.array(rows["x"].tolist()), rows["toxic"].to_numpy()
-    order = np.lexsort((*x.T[:3], y))
-    x, y = x[order], y[order]
-    weight = stands_for[y] / stands_for[y].mean()
-    post = label_model(votes(x, len(keys), y), float(weight @ y / weight.sum()), weight=weight)
-    return Model(keys, *fit_linear(x, post, len(keys), weight=weight))
+    y, x = _matrix(texts.select("text", "class"), keys)
+    known = votes(x, len(keys))
+    expected = np.stack([(known[y == c].sum(axis=0) + 0.5) / ((y == c).sum() + 1) for c in (0, 1)])
+    seen = unlabelled_sample(docs, texts, model_rows).withColumn("class", F.lit(0))
+    _, free = _matrix(seen, keys)
+    x = free if len(free) else x
+    prior = every[1] / (every[0] + every[1])
+    _, post = fit_label_model(votes(x, len(keys)), prior, expected)
+    return Model(keys, *fit_linear(x, post))
 
 
 def _score(model) -> object:
@@ -232,23 +299,21 @@ def _score(model) -> object:
     return run
 
 
-def score(docs: DataFrame, model: Model, text: str = "text", score_column: str = "toxicity_score") -> DataFrame:
-    """``docs`` with a score from 0 to 1."""
+def score(docs: DataFrame, model: Model, text: str = "text", score_column: str = "toxicity_score", keep: list[str] | None = None) -> DataFrame:
+    """``docs`` (or its columns ``keep``) with a score from 0 to 1."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    quoted = [F.col(f"`{c}`") for c in docs.columns]
+    kept = docs.columns if keep is None else keep
+    quoted = [F.col(f"`{c}`") for c in kept]
     places = [f"c{i}" for i in range(len(quoted))]  # names may clash
     wide = docs.select(*[c.alias(p) for c, p in zip(quoted, places, strict=True)], F.col(f"`{text}`").cast("string").alias("_text"))
     schema = T.StructType([*wide.schema.fields[:-1], T.StructField("toxicity_score", T.DoubleType())])
-    return wide.mapInArrow(_score(shared), schema).toDF(*docs.columns, score_column)
+    return wide.mapInArrow(_score(shared), schema).toDF(*kept, score_column)
 
 
 def op10_toxicity_weak(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Score of every document."""
     docs = C.table(spark, sf_dir, "documents").select("doc_id", "text")
     model = fit(docs, C.table(spark, sf_dir, "labels"))
-    slim = docs.select("doc_id", "text")
-    scored = slim.select("doc_id", F.col("text").alias("text"))
-    shared = spark.sparkContext.broadcast(model)
-    found = scored.mapInArrow(_score(shared), "doc_id long, toxicity_score double")
+    found = score(docs, model, keep=["doc_id"])
     held_out = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1
     return found.select("doc_id", F.coalesce(held_out, F.lit(False)).alias("held_out"), F.col("toxicity_score").alias("score"), F.when(F.col("toxicity_score") >= CUT, 1).otherwise(0).cast("int").alias("predicted"))

@@ -19,7 +19,7 @@ def test_capped_sample_keeps_the_prior(spark):
             words[5] = "vile"
         rows.append((i, " ".join(words)))
         labels.append((i, int(toxic)))
-    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(2).localCheckpoint()
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(2).cache()
     labels = spark.createDataFrame(labels, "doc_id long, toxic int")
     probe = "vile " + " ".join(["blm", "clm", "dlm", "flm"] * 10)
     found = []

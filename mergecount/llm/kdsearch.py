@@ -1,23 +1,29 @@
 """Exact top-k search by inner product: a KD-tree per shard, best-first.
 
-Vectors are dealt to shards of about ``SHARD_ROWS`` by a hash of their id, so equal or clustered
-vectors spread evenly. A shard's tree splits at the median of the widest side of a node's tight
-bounding box until ``LEAF`` rows are left or all are equal; it is stored as one row. Queries go in
-blocks of about ``BLOCK`` rows. Each block first searches one shard; the kth best (score, id) found
-there is a bound for all others. Then every block meets every shard's tree once (a stated query set
-against all rows, in blocks), and a query descends best-first by the largest inner product that a
-box admits, until no box can beat its current kth. Results of all shards meet per query.
+Vectors are dealt to cells of space, the leaves of median splits of a bounded sample (``SAMPLE``; it only
+decides where rows go), and each cell is cut by a hash of the id into shards of about ``SHARD_ROWS``, so
+equal or clustered vectors spread evenly. A shard's tree splits at the median of the widest side of a
+node's tight bounding box until ``LEAF`` rows are left or all are equal; it is stored as one row.
+Queries are dealt to blocks of about ``BLOCK`` rows in the same cells.
+
+Each block first searches a shard of its own cell; the kth best (score, id) found there bounds all that
+follows. Then blocks and shards are paired by their boxes alone: a shard whose box admits no inner product
+that reaches the least kth of a block is dropped before any vector moves. A block's vectors go once to
+each group of ``GROUP`` shards that it still needs, meet the shards there one after another, and carry
+the kth best from shard to shard. Within a tree a query takes leaves best-first, by the largest
+inner product that their boxes admit, until none can beat its current kth. Results of all groups meet
+per query. ``visited`` counts what was looked at. Where boxes can't tell vectors apart (64 independent
+dimensions), every leaf has to be looked at and the search is a blocked product of all pairs.
 
 Edge cases: vectors that are null, or hold null or non-finite components, take no part; vectors are
 compared with those of the same number of components; ties go to the smaller id; an id that occurs
 in several rows is searched once for each of them, and never finds itself; fewer than k candidates
 give all; an empty table gives an empty result; other columns are ignored. Components are scaled to
-integers and scores are exact while they fit in 63 bits.
+integers; scores are exact, and a component whose products could pass 63 bits raises.
 """
 
 from __future__ import annotations
 
-import heapq
 import pickle
 from collections.abc import Iterator
 from typing import NamedTuple
@@ -30,83 +36,124 @@ from pyspark.sql import Window as W
 
 from . import common as C
 
-SCALE, K, SHARD_ROWS, LEAF, BLOCK = 1024, 10, 4096, 256, 1024
-LEAST = -(1 << 63)
+SCALE, K, SHARD_ROWS, LEAF, BLOCK, GROUP, SAMPLE = 1024, 10, 4096, 256, 1024, 64, 32_768
+LEAST, LAST = -(1 << 63), (1 << 63) - 1
 
 
 class Tree(NamedTuple):
     ids: np.ndarray
     vectors: np.ndarray
+    begin: np.ndarray  # of each leaf
+    end: np.ndarray
     lo: np.ndarray
     hi: np.ndarray
-    begin: np.ndarray
-    end: np.ndarray
-    child: np.ndarray  # left child, 0 for a leaf; the right one follows it
     least_id: np.ndarray
 
 
+def _narrow(v: np.ndarray) -> np.ndarray:
+    """The same integers in the smallest type that holds them."""
+    top = int(np.abs(v).max(initial=0))
+    return v.astype(np.int16 if top < 1 << 15 else np.int32 if top < 1 << 31 else np.int64)
+
+
 def build(ids: np.ndarray, vectors: np.ndarray, leaf: int = LEAF) -> Tree:
+    """Median splits at the widest side of tight boxes; the leaves in the order of their rows."""
     order = np.lexsort((ids,))
-    spans, boxes, child, k = [(0, len(ids))], [], [], 0
-    while k < len(spans):
-        a, b = spans[k]
+    spans, leaves = [(0, len(ids))], []
+    while spans:
+        a, b = spans.pop()
         own = vectors[order[a:b]]
         lo, hi = own.min(axis=0), own.max(axis=0)
-        boxes.append((lo, hi, ids[order[a:b]].min()))
         side = hi - lo
         if b - a <= leaf or not side.any():
-            child.append(0)
-        else:
-            mid = (b - a) // 2
-            order[a:b] = order[a:b][np.argpartition(own[:, int(side.argmax())], mid)]
-            child.append(len(spans))
-            spans += [(a, a + mid), (a + mid, b)]
-        k += 1
-    begin, end = np.array(spans).T
-    return Tree(ids[order], vectors[order], *(np.array([x[i] for x in boxes]) for i in (0, 1)), begin, end, np.array(child), np.array([x[2] for x in boxes]))
+            leaves.append((a, b, lo, hi, ids[order[a:b]].min()))
+            continue
+        mid = (b - a) // 2
+        order[a:b] = order[a:b][np.argpartition(own[:, int(side.argmax())], mid)]
+        spans += [(a, a + mid), (a + mid, b)]
+    return Tree(ids[order], _narrow(vectors[order]), *(np.array([x[i] for x in leaves]) for i in range(5)))
 
 
 def exact_type(tree_max: int, query_max: int, dims: int):
     """Doubles are exact (and faster) while all sums stay below 2**53."""
-    return np.float64 if dims * max(1, tree_max) * max(1, query_max) < 1 << 53 else np.int64
-
-
-def search(tree: Tree, ids: np.ndarray, queries: np.ndarray, kth: np.ndarray, kth_id: np.ndarray, k: int = K) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """For each query the ids and scores of its best candidates here that are not beyond (kth, kth_id), best first."""
+    most = dims * max(1, tree_max) * max(1, query_max)
+    if most >= 1 << 63:
+        raise OverflowError("scores of these vectors can pass 63 bits: use a smaller scale")
+    return np.float64 if most < 1 << 53 else np.int64
+
+
+class Best:
+    """The k best (score, id) of each query so far, best first, and the limit that others must reach."""
+
+    def __init__(self, kth: np.ndarray, kth_id: np.ndarray, k: int):
+        self.scores, self.ids = np.full((len(kth), k), LEAST), np.full((len(kth), k), LAST)
+        self.limit, self.limit_id, self.visited = kth.copy(), kth_id.copy(), 0
+
+    def offer(self, q: np.ndarray, ids: np.ndarray, scores: np.ndarray) -> None:
+        """Candidates ``scores`` [query, id] for the queries ``q``; LEAST for none."""
+        k = self.scores.shape[1]
+        all_scores = np.concatenate([self.scores[q], scores], axis=1)
+        floor = np.maximum(np.partition(all_scores, -k, axis=1)[:, -k], np.maximum(self.limit[q], LEAST + 1))
+        row, column = np.nonzero(all_scores >= floor[:, None])
+        value = all_scores[row, column]
+        one = np.where(column < k, self.ids[q[row], np.minimum(column, k - 1)], ids[np.maximum(column - k, 0)])
+        order = np.lexsort((one, -value, row))
+        row, value, one = row[order], value[order], one[order]
+        place = np.arange(len(row)) - np.searchsorted(row, row)
+        kept = place < k
+        new_scores, new_ids = np.full((len(q), k), LEAST), np.full((len(q), k), LAST)
+        new_scores[row[kept], place[kept]], new_ids[row[kept], place[kept]] = value[kept], one[kept]
+        self.scores[q], self.ids[q] = new_scores, new_ids
+        last, last_id = new_scores[:, -1], new_ids[:, -1]
+        closer = (last > self.limit[q]) | (last == self.limit[q]) & (last_id < self.limit_id[q])
+        self.limit[q], self.limit_id[q] = np.where(closer, last, self.limit[q]), np.where(closer, last_id, self.limit_id[q])
+
+
+def search(tree: Tree, ids: np.ndarray, queries: np.ndarray, best: Best) -> None:
+    """Offers what a tree has to ``best``: every query takes its leaves best-first, all queries of a leaf at once."""
     if not len(queries):
         return
     kind = exact_type(int(np.abs(tree.vectors).max(initial=0)), int(np.abs(queries).max(initial=0)), queries.shape[1])
-    vectors, lo, hi = tree.vectors.astype(kind), tree.lo.astype(kind), tree.hi.astype(kind)
-    wide = queries.astype(kind)
-    bounds = np.maximum(wide, 0) @ hi.T + np.minimum(wide, 0) @ lo.T
-    for q in range(len(queries)):
-        limit, limit_id = (int(kth[q]), int(kth_id[q]))
-        best_ids, best = np.empty(0, np.int64), np.empty(0, np.int64)
-        bound, heap = bounds[q], [(-bounds[q][0], 0)]
-        while heap:
-            top, node = heapq.heappop(heap)
-            if -top < limit:
-                break
-            if -top == limit and tree.least_id[node] > limit_id:
-                continue
-            left = tree.child[node]
-            if left:
-                for c in (left, left + 1):
-                    if bound[c] >= limit:
-                        heapq.heappush(heap, (-bound[c], c))
-                continue
-            a, b = tree.begin[node], tree.end[node]
-            scores = vectors[a:b] @ wide[q]
-            own = np.flatnonzero((scores >= limit) & (tree.ids[a:b] != ids[q]))
-            if not len(own):
-                continue
-            all_ids = np.concatenate([best_ids, tree.ids[a:b][own]])
-            all_scores = np.concatenate([best, scores[own].astype(np.int64)])
-            keep = np.lexsort((all_ids, -all_scores))[:k]
-            best_ids, best = all_ids[keep], all_scores[keep]
-            if len(best) == k and (best[-1] > limit or best[-1] == limit and best_ids[-1] < limit_id):
-                limit, limit_id = int(best[-1]), int(best_ids[-1])
-        yield q, best_ids, best
+    vectors, wide = tree.vectors.astype(kind), queries.astype(kind)
+    bounds = (np.maximum(wide, 0) @ tree.hi.astype(kind).T + np.minimum(wide, 0) @ tree.lo.astype(kind).T).astype(np.int64)
+    order = np.argsort(-bounds, axis=1, kind="stable")
+    alive = np.arange(len(queries))
+    for turn in range(order.shape[1]):
+        leaf = order[alive, turn]
+        bound = bounds[alive, leaf]
+        alive, leaf, bound = (x[bound >= best.limit[alive]] for x in (alive, leaf, bound))  # later leaves have lower bounds
+        if not len(alive):
+            break
+        worth = (bound > best.limit[alive]) | (tree.least_id[leaf] <= best.limit_id[alive])
+        best.visited += int(worth.sum())
+        for one in np.unique(leaf[worth]):
+            q = alive[worth & (leaf == one)]
+            a, b = tree.begin[one], tree.end[one]
+            scores = (wide[q] @ vectors[a:b].T).astype(np.int64)
+            scores[tree.ids[a:b][None, :] == ids[q][:, None]] = LEAST
+            best.offer(q, tree.ids[a:b], scores)
+
+
+def split_space(sample: np.ndarray, depth: int) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Axis and median of every node, level by level."""
+    cell, levels = np.zeros(len(sample), dtype=np.int64), []
+    for d in range(depth):
+        axis, median = np.zeros(1 << d, dtype=np.int64), np.zeros(1 << d)
+        for node in range(1 << d):
+            own = sample[cell == node]
+            if len(own):
+                axis[node] = int((own.max(axis=0) - own.min(axis=0)).argmax())
+                median[node] = np.median(own[:, axis[node]])
+        levels.append((axis, median))
+        cell = cell * 2 + (sample[np.arange(len(sample)), axis[cell]] > median[cell])
+    return levels
+
+
+def cell_of(levels: list[tuple[np.ndarray, np.ndarray]], vectors: np.ndarray) -> np.ndarray:
+    cell, rows = np.zeros(len(vectors), dtype=np.int64), np.arange(len(vectors))
+    for axis, median in levels:
+        cell = cell * 2 + (vectors[rows, axis[cell]] > median[cell])
+    return cell
 
 
 def whole_vectors(table: DataFrame, key: str, vector: str, scale: int = SCALE) -> DataFrame:
@@ -144,67 +191,155 @@ def _groups(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[tuple[tupl
         yield now, pa.Table.from_batches(held)
 
 
+_PACKED = "dims int, part long, lo array<long>, hi array<long>, kth long, blob binary"
+
+
+def _packed_batch(dims: int, part: int, vectors: np.ndarray, kth: int, content) -> pa.RecordBatch:
+    sides = [pa.array([v.astype(np.int64).tolist()], pa.list_(pa.int64())) for v in (vectors.min(axis=0), vectors.max(axis=0))]
+    columns = [pa.array([dims], pa.int32()), pa.array([part], pa.int64()), *sides, pa.array([kth], pa.int64()), pa.array([pickle.dumps(content, protocol=5)], pa.binary())]
+    return pa.RecordBatch.from_arrays(columns, names=["dims", "part", "lo", "hi", "kth", "blob"])
+
+
 def _packed(make) -> object:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for (dims, part), rows in _groups(batches, 2):
             rows = rows.combine_chunks()
             ids = np.asarray(rows.column("id").to_numpy(), dtype=np.int64)
-            blob = pickle.dumps(make(ids, _matrix(rows.column("v").combine_chunks(), dims)), protocol=5)
-            yield pa.RecordBatch.from_arrays([pa.array([dims], pa.int32()), pa.array([part], pa.int64()), pa.array([blob], pa.binary())], names=["dims", "part", "blob"])
+            vectors = _matrix(rows.column("v").combine_chunks(), dims)
+            yield _packed_batch(dims, part, vectors, LEAST, make(ids, vectors))
 
     return run
 
 
-def _parts(vectors: DataFrame, parts: int, seed: int, make, name: str) -> DataFrame:
-    dealt = vectors.select("dims", F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(parts)).alias("part"), "id", "v")
+def _in_cells(vectors: DataFrame, planes, name: str) -> DataFrame:
+    """(dims, cell, id, v) in the shared folder; ``planes``: broadcast splits by number of components."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            dims = np.asarray(batch.column(1).to_numpy(zero_copy_only=False))
+            cell = np.zeros(len(dims), dtype=np.int64)
+            for d in np.unique(dims):
+                rows = np.flatnonzero(dims == d)
+                cell[rows] = cell_of(planes.value.get(int(d), []), _matrix(batch.column(2).take(pa.array(rows)), int(d)))
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(cell), batch.column(0), batch.column(2)], names=["dims", "cell", "id", "v"])
+
+    return C.materialize(vectors.select("id", "dims", "v").mapInArrow(run, "dims int, cell long, id long, v array<long>"), name)
+
+
+def _parts(rows: DataFrame, size: int, make, name: str) -> DataFrame:
+    """One packed row for each part: a cell, or a part of a cell of over ``size`` rows by the hash of the id."""
+    parts = rows.groupBy("dims", "cell").agg(F.ceil(F.count("*") / size).alias("parts"))
+    dealt = rows.join(parts, ["dims", "cell"]).select("dims", (F.col("cell") * (1 << 31) + F.pmod(F.xxhash64("id", F.lit(name)), F.col("parts"))).alias("part"), "id", "v")
     sorted_rows = dealt.repartition("part", "dims").sortWithinPartitions("dims", "part")
-    return C.materialize(sorted_rows.mapInArrow(_packed(make), "dims int, part long, blob binary"), name)
+    return C.materialize(sorted_rows.mapInArrow(_packed(make), _PACKED), name)
+
 
+def _at_home(k: int):
+    """Rows (dims, block, queries, tree): the block with the kth best that the tree gives."""
 
-def _bounded(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for dims, block, queries, tree in zip(*[batch.column(i) for i in range(4)], strict=True):
                 ids, q, kth, kth_id = pickle.loads(queries.as_py())
-                for i, found, scores in search(pickle.loads(tree.as_py()), ids, q, kth, kth_id, k):
-                    if len(found) == k:
-                        kth[i], kth_id[i] = scores[-1], found[-1]
-                blob = pickle.dumps((ids, q, kth, kth_id), protocol=5)
-                yield pa.RecordBatch.from_arrays([pa.array([dims.as_py()], pa.int32()), pa.array([block.as_py()], pa.int64()), pa.array([blob], pa.binary())], names=["dims", "part", "blob"])
+                best = Best(kth, kth_id, k)
+                if tree.as_py() is not None:
+                    search(pickle.loads(tree.as_py()), ids, q, best)
+                yield _packed_batch(dims.as_py(), block.as_py(), q, int(best.limit.min()), (ids, q, best.limit, best.limit_id))
 
     return run
 
 
+def _needed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (dims, part, group, lo, hi, kth, shards) of blocks: those with shards of the group whose boxes reach the block's least kth, and these shards."""
+    for batch in batches:
+        out, parts = [], []
+        for i in range(batch.num_rows):
+            lo, hi = (np.array(batch.column(c)[i].as_py(), dtype=np.float64) for c in (3, 4))
+            shards = batch.column(6)[i].as_py()
+            los, his = (np.array([x[c] for x in shards], dtype=np.float64) for c in ("lo", "hi"))
+            most = np.maximum(np.maximum(lo * los, lo * his), np.maximum(hi * los, hi * his)).sum(axis=1)
+            most = most + np.abs(most) * 1e-9 + 1  # doubles may round
+            own = [x["part"] for x, m in zip(shards, most, strict=True) if m >= batch.column(5)[i].as_py()]
+            if own:
+                out.append(i)
+                parts.append(own)
+        kept = [batch.column(c).take(pa.array(out, pa.int64())) for c in range(3)]
+        yield pa.RecordBatch.from_arrays([*kept, pa.array(parts, pa.list_(pa.int64()))], names=["dims", "block", "group", "parts"])
+
+
 def _found(k: int):
+    """Rows (dims, block, group, queries, tree), those of a block and group in a row: its k best there, kth carried from tree to tree."""
+    kinds = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64()]
+    names = ["dims", "block", "no", "query_id", "vec_id", "score", "visited"]
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, ids, q, best = None, None, None, None
+
+        def done() -> pa.RecordBatch:
+            no, place = np.nonzero(best.scores > LEAST)
+            rows = len(no) + 1  # the first row has the count alone
+            lead = lambda x, first: np.concatenate([[first], x])
+            columns = [np.full(rows, now[0]), np.full(rows, now[1]), lead(no, -1), lead(ids[no], 0), lead(best.ids[no, place], 0), lead(best.scores[no, place], 0), lead(np.zeros(len(no)), best.visited)]
+            return pa.RecordBatch.from_arrays([pa.array(c.astype(np.int64)).cast(t) for c, t in zip(columns, kinds, strict=True)], names=names)
+
         for batch in batches:
-            for dims, block, queries, tree in zip(*[batch.column(i) for i in range(4)], strict=True):
-                ids, q, kth, kth_id = pickle.loads(queries.as_py())
-                rows = [(i, a, s) for i, found, scores in search(pickle.loads(tree.as_py()), ids, q, kth, kth_id, k) for a, s in zip(found, scores, strict=True)]
-                no, vec, score = (np.array(x, dtype=np.int64) for x in (zip(*rows, strict=True) if rows else ([], [], [])))
-                names = ["dims", "block", "no", "query_id", "vec_id", "score"]
-                yield pa.RecordBatch.from_arrays([pa.array([dims.as_py()] * len(rows), pa.int32()), pa.array([block.as_py()] * len(rows), pa.int64()), *map(pa.array, (no, ids[no], vec, score))], names=names)
+            for dims, block, group, queries, tree in zip(*[batch.column(i) for i in range(5)], strict=True):
+                key = (dims.as_py(), block.as_py(), group.as_py())
+                if key != now:
+                    if now is not None:
+                        yield done()
+                    now = key
+                    ids, q, kth, kth_id = pickle.loads(queries.as_py())
+                    best = Best(kth, kth_id, k)
+                search(pickle.loads(tree.as_py()), ids, q, best)
+        if now is not None:
+            yield done()
 
     return run
 
 
-def top_k(vectors: DataFrame, queries: DataFrame, k: int = K) -> DataFrame:
+def _met(vectors: DataFrame, queries: DataFrame, k: int, leaf: int) -> tuple[DataFrame, int]:
+    """What every block finds in every group of shards that it needs, and the number of vectors."""
+    spark = vectors.sparkSession
+    total = vectors.count()
+    depth = max(0, min(12, (-(-total // SHARD_ROWS) - 1).bit_length()))  # at least 8 rows of a full sample in a cell
+    share = F.pmod(F.xxhash64("id", F.lit("sample")), F.lit(1 << 40)) < int((1 << 40) * min(1.0, SAMPLE / max(1, total)))
+    seen: dict[int, list] = {}
+    for r in vectors.filter(share).select("dims", "v").limit(SAMPLE).collect() if depth else []:
+        seen.setdefault(r["dims"], []).append(r["v"])
+    planes = spark.sparkContext.broadcast({d: split_space(np.array(v, dtype=np.int64).reshape(len(v), d), depth if d else 0) for d, v in seen.items()})
+
+    index = _parts(_in_cells(vectors, planes, "vector-cells"), SHARD_ROWS, lambda ids, v: build(ids, v, leaf), "trees").withColumnRenamed("blob", "tree")
+    fresh = lambda ids, v: (ids, _narrow(v), np.full(len(ids), LEAST), np.full(len(ids), LAST))
+    sets = _parts(_in_cells(queries, planes, "query-cells"), BLOCK, fresh, "query-blocks").withColumnRenamed("part", "block")
+    cell = lambda c: F.shiftright(c, 31)
+    homes = index.groupBy("dims", cell("part").alias("cell")).agg(F.min("part").alias("part")).join(index.select("dims", "part", "tree"), ["dims", "part"])
+    home = sets.withColumn("cell", cell("block")).join(homes.select("dims", "cell", "tree"), ["dims", "cell"], "left").select("dims", "block", "blob", "tree")
+    bounded = C.materialize(home.mapInArrow(_at_home(k), _PACKED), "query-bounds").withColumnRenamed("part", "block")
+
+    groups = max(1, -(-index.count() // GROUP))
+    group = F.pmod(F.xxhash64("part"), F.lit(groups)).alias("group")
+    boxes = index.select("dims", group, F.struct("part", "lo", "hi").alias("box")).groupBy("dims", "group").agg(F.collect_list("box").alias("shards"))  # about GROUP each
+    every = bounded.select("dims", "block", "lo", "hi", "kth", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(groups - 1).cast("long"))).alias("group"))
+    pairs = every.join(boxes, ["dims", "group"]).select("dims", "block", "group", "lo", "hi", "kth", "shards")
+    needed = C.materialize(pairs.mapInArrow(_needed, "dims int, block long, group long, parts array<long>"), "block-groups")
+    sent = needed.join(bounded.select("dims", "block", "blob"), ["dims", "block"])
+    trees = index.select("dims", group, "part", "tree").hint("merge")
+    met = sent.join(trees, ["dims", "group"]).filter(F.array_contains("parts", F.col("part"))).select("dims", "block", "group", "blob", "tree")
+    return met.mapInArrow(_found(k), "dims int, block long, no long, query_id long, vec_id long, score long, visited long"), total
+
+
+def top_k(vectors: DataFrame, queries: DataFrame, k: int = K, leaf: int = LEAF) -> DataFrame:
     """(query_id, rank, vec_id, score): the k best rows of ``vectors`` for each row of ``queries`` (both from whole_vectors)."""
-    shards = max(1, -(-vectors.count() // SHARD_ROWS))
-    blocks = max(1, -(-queries.count() // BLOCK))
-    index = _parts(vectors, shards, 1, build, "trees").withColumnRenamed("blob", "tree")
-    fresh = lambda ids, v: (ids, v, np.full(len(ids), LEAST), np.full(len(ids), (1 << 63) - 1))
-    sets = _parts(queries, blocks, 2, fresh, "query-blocks").withColumnRenamed("part", "block")
-    columns = ["dims", "block", "blob", "tree"]
-    home = sets.withColumn("part", F.pmod(F.col("block"), F.lit(shards))).join(index, ["dims", "part"], "left")
-    seeded = home.filter("tree is not null").select(columns).mapInArrow(_bounded(k), "dims int, part long, blob binary")
-    bare = home.filter("tree is null").select("dims", F.col("block").alias("part"), "blob")
-    bounded = C.materialize(seeded.union(bare), "query-bounds").withColumnRenamed("part", "block")
-    cells = bounded.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))))
-    met = cells.join(index, ["dims", "part"]).select(columns)
-    found = met.mapInArrow(_found(k), "dims int, block long, no long, query_id long, vec_id long, score long")
+    found, _ = _met(vectors, queries, k, leaf)
     rank = F.row_number().over(W.partitionBy("dims", "block", "no").orderBy(F.desc("score"), "vec_id"))
-    return found.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return found.filter("no >= 0").withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+
+def visited(vectors: DataFrame, queries: DataFrame, k: int = K, leaf: int = LEAF) -> float:
+    """Share of all pairs of queries and leaves (of ``leaf`` rows) that a search looks at after the home shard."""
+    found, total = _met(vectors, queries, k, leaf)
+    return (found.agg(F.sum("visited")).first()[0] or 0) * leaf / max(1, queries.count() * total)
 
 
 def op2_kdtree_topk(spark: SparkSession, sf_dir: str) -> DataFrame:

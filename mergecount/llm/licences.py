@@ -1,7 +1,7 @@
 """Licence scan: sparse TF-IDF cosine to templates, then inheritance from the nearest directory.
 
 Templates are usual notices and whole licence texts (``licence_texts``, their ``TERMS`` weightiest terms). Units of a file are its whole
-text, every line, and every block of adjacent lines; lines and blocks that deny a licence
+text, every line, and every block of two or more adjacent lines (but the whole); lines and blocks that deny a licence
 (``DENIED``) are left out. A unit's vector has (1 + ln tf) * idf for each of its terms, with document
 frequencies counted over all files; terms that no template has get the largest idf. The cosine to each
 template comes from a join of the unit's terms with the templates' (a fixed, small table). A file whose
@@ -138,7 +138,8 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
     telling, can = F.lit(telling_terms([r[:4] for r in known_rows])), reach(known_rows, math.log(total + 1.0) + 1.0)
     tells = lambda x: F.arrays_overlap(terms(x), telling)
     kept = lambda x: can(x, MIN_HEADER) & ~F.lower(x).rlike(DENIED)
-    lines = F.filter(F.array_distinct(F.concat(F.split("text", LINES), F.split("text", BLOCKS))), kept)
+    blocks = F.filter(F.split("text", BLOCKS), lambda x: (x != F.col("text")) & x.rlike("[\\r\\n]"))
+    lines = F.filter(F.array_distinct(F.concat(F.split("text", LINES), blocks)), kept)
     marked = named.filter(tells(F.col("text"))).select("path", "text", F.concat(F.array(F.when(can(F.col("text"), MIN_FILE), F.col("text"))), lines).alias("all"))
     marked = marked.filter((F.size("all") > 1) | F.col("all")[0].isNotNull()).dropDuplicates(["path", "text"])
     units = marked.select("path", F.posexplode("all").alias("unit", "words")).filter("words is not null")
@@ -256,7 +257,7 @@ def oracle() -> str:
     tw0 as (select template, licence, term, (ln(tf) + 1.0) * idf w from t join idf using (term)),
     tw as (select template, licence, term, w / sqrt(sum(w * w) over (partition by template)) w from tw0),
     units as (select path, 0 unit, text words from p union all
-      select path, row_number() over (partition by path) unit, words from (select distinct path, unnest(list_concat(regexp_split_to_array(text, '{LINES}'), regexp_split_to_array(text, '{BLOCKS}'))) words from p) where not regexp_matches(lower(words), '{DENIED}')),
+      select path, row_number() over (partition by path) unit, words from (select distinct path, unnest(list_concat(regexp_split_to_array(text, '{LINES}'), list_filter(regexp_split_to_array(text, '{BLOCKS}'), lambda x: x <> text and regexp_matches(x, '[\\r\\n]')))) words from p) where not regexp_matches(lower(words), '{DENIED}')),
     c0 as (select path, unit, term, count(*) tf from (select path, unit, unnest({tok('words')}) term from units) group by all),
     c as (select path, unit, term, (ln(tf) + 1.0) * coalesce(idf, ln(n + 1.0) + 1.0) v from c0 left join idf using (term), nn),
     norms as (select path, unit, sqrt(sum(v * v)) norm from c group by all),

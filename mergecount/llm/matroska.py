@@ -6,11 +6,12 @@ Matroska byte string: variable-length element ids and sizes (unknown sizes of se
 too), tracks, clusters, SimpleBlocks and BlockGroups with no, Xiph, fixed-size or EBML lacing, and
 cues. Packets carry track, timestamp, key flag, lacing kind and byte range in the file.
 
-Every row is worked on by itself: no shuffle, bounded by the largest file of one row.
+Every row is worked on by itself: no shuffle, bounded by the largest file of one row. The query writes the
+column to the shared folder and reads it back.
 
 Edge cases: null media give no packets; null texts are empty; an empty text is one frame of blanks;
-truncated or unknown elements end the parse with what is whole (``strict`` raises instead); repeated
-rows give equal results; empty tables give empty results; other columns are ignored.
+truncated or unknown elements, and laces that don't fit in their block, end the parse with what is whole
+(``strict`` raises instead); repeated rows give equal results; empty tables give empty results; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -144,6 +145,8 @@ def _laced(data: bytes, at: int, end: int, kind: int) -> list[tuple[int, int]]:
             before = at
             value, at, _ = _vint(data, at, False)
             sizes.append(value if i == 0 else sizes[-1] + value - ((1 << (7 * (at - before) - 1)) - 1))
+    if at > end or any(size < 0 for size in sizes) or at + sum(sizes) > end:
+        raise ValueError(f"the laced frames at byte {at} don't fit in their block")
     frames = []
     for size in sizes:
         frames.append((at, size))
@@ -315,6 +318,6 @@ def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def op3_matroska_column(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every document's text stored as Matroska audio, read back from its packets, and described."""
-    media = to_matroska(C.table(spark, sf_dir, "documents"))
+    """Every document's text stored as a column of Matroska audio, read back from its packets, and described."""
+    media = C.materialize(to_matroska(C.table(spark, sf_dir, "documents")), "media")
     return media.mapInArrow(_digest, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, packets long")

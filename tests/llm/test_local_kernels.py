@@ -160,23 +160,16 @@ def test_stars_connect_what_pairs_connect():
 @given(st.integers(1, 60), st.integers(1, 4), st.integers(0, 2**32))
 def test_tree_search_is_exact(n, dims, seed):
     rng = np.random.default_rng(seed)
-    v = rng.integers(-3, 4, (n, dims))
-    ids = rng.permutation(n * 2)[:n].astype(np.int64)
-    tree = kdsearch.build(ids, v, leaf=4)
-    kth, kth_id = np.full(n, kdsearch.LEAST), np.full(n, 2**62)
-    for q, found, scores in kdsearch.search(tree, ids, v, kth, kth_id, k=5):
-        expected = sorted(((-int(v[q] @ v[i]), int(ids[i])) for i in range(n) if i != q))[:5]
-        assert [(-int(s), int(i)) for i, s in zip(found, scores, strict=True)] == expected
-
-
-def test_label_model_discounts_correlated_voters_and_keeps_good_ones():
-    rng = np.random.default_rng(0)
-    y = rng.random(2000) < 0.2
-    good = [np.where(rng.random(2000) < 0.9, y, ~y) for _ in range(3)]
-    noise = rng.random(2000) < 0.5
-    lexicon = np.column_stack([*good, noise, noise, noise]).astype(np.int8)
-    pad = np.zeros((2000, 5), dtype=np.int8)
-    given_label = np.where(rng.random(2000) < 0.5, np.where(y, 1, -1), 0).astype(np.int8)
-    post = toxicity.label_model(np.column_stack([lexicon, pad, np.zeros(2000, np.int8), given_label]), 0.2)
-    hidden = given_label == 0
-    assert ((post > 0.5) == y)[hidden].mean() > 0.9
+    v = rng.integers(-3, 4, (n, dims)) if seed % 2 else rng.integers(-2000, 2000, (n, dims))
+    ids = rng.permutation(n * 2)[:n]
+    q = np.arange(0, n, 3)
+    best = kdsearch.Best(np.full(len(q), kdsearch.LEAST), np.full(len(q), kdsearch.LAST), 4)
+    half = n // 2  # two trees, one after the other
+    for own in (slice(0, half), slice(half, n)):
+        if n and len(ids[own]):
+            kdsearch.search(kdsearch.build(ids[own], v[own], leaf=8), ids[q], v[q], best)
+    for i, j in enumerate(q):
+        scores = v @ v[j]
+        expected = sorted(((-int(s), int(x)) for s, x in zip(scores, ids, strict=True) if x != ids[j]))[:4]
+        got = [(-int(s), int(x)) for s, x in zip(best.scores[i], best.ids[i], strict=True) if s > kdsearch.LEAST]
+        assert got == expected

@@ -24,7 +24,7 @@ def exact_bitmap(df: DataFrame, key: str) -> DataFrame:
 
 
 def bit_pattern_cells(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = ()) -> DataFrame:
-    """(group..., tab, bin, pattern): OR of one bit per level. Merges by OR."""
+    """(group..., tab, bin, pattern): OR of one bit per level (levels over 62 count as 62). Merges by OR."""
     rows = levels_and_bins(df, key, seed, list(group))
     return rows.groupBy(*group, "tab", "bin").agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.least("level", F.lit(62)))).alias("pattern"))
 
@@ -44,7 +44,7 @@ def max_level(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = ())
 
 
 def binned_levels(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = ()) -> DataFrame:
-    """Binned levels without a cut; a separate rough count (median of largest levels) sets the threshold at the end."""
+    """Binned levels without a cut; a rough count (median of the tables' largest levels) sets the threshold at the end."""
     raw = cells.raw_cells(df, key, seed, group)
     tops = raw.groupBy(*group, "tab").agg(F.max("level").alias("_top"))
     rough = tops.groupBy(*group).agg(F.floor(F.median("_top")).cast("int").alias("_rough"))
@@ -66,9 +66,13 @@ def built_in(df: DataFrame, key: str, group: list[str] = (), rsd: float = 0.02,
     )
 
 
-def sampling(df: DataFrame, key: str, share: float, seed: int = 7) -> DataFrame:
-    """Extrapolates the distinct keys of a row sample as if all keys were equally frequent; fails on skewed keys."""
-    rows = df.filter(F.col(key).isNotNull()).filter(F.pmod(F.xxhash64(F.monotonically_increasing_id(), F.lit(seed)), F.lit(1_000_000)) < int(share * 1_000_000))
+def sampling(df: DataFrame, key: str, share: float, seed: int = 7, rows_by: list[str] = ()) -> DataFrame:
+    """Extrapolates the distinct keys of a row sample as if all keys were equally frequent; fails on skewed keys.
+
+    Rows are picked by a hash of the columns ``rows_by`` (all of them by default), so another layout of the input picks the same.
+    """
+    one = F.xxhash64(*(rows_by or df.columns), F.lit(seed))
+    rows = df.filter(F.col(key).isNotNull()).filter(F.pmod(one, F.lit(1_000_000)) < int(share * 1_000_000))
     counts = rows.groupBy(key).agg(F.count("*").alias("n"))
     stats = counts.agg(F.count("*").alias("found"), F.sum(F.when(F.col("n") == 1, 1).otherwise(0)).alias("once"), F.sum("n").alias("rows"))
     return stats.select("found", "once", (F.col("found") / (1 - (1 - F.lit(share)) * F.col("once") / F.greatest(F.col("rows"), F.lit(1)))).alias("estimate"))

@@ -35,7 +35,8 @@ def _one(col: Column, kind: T.DataType) -> tuple[Column, bool]:
     if isinstance(kind, T.TimestampType):
         return F.unix_micros(col), True
     if isinstance(kind, T.TimestampNTZType):
-        return F.unix_micros(col.cast("timestamp")), True
+        # microseconds of the wall clock, whatever time zone the session has
+        return (F.unix_date(col.cast("date")).cast("long") * 86_400_000_000 + _clock_micros(col)), True
     if isinstance(kind, T.DecimalType) and kind.precision <= 18:
         return (col * F.lit(10**kind.scale).cast("decimal(19,0)")).cast("long"), True
     if isinstance(kind, (T.FloatType, T.DoubleType)):
@@ -43,6 +44,10 @@ def _one(col: Column, kind: T.DataType) -> tuple[Column, bool]:
     return F.xxhash64(_canonical(col, kind)), False
 
 
+def _clock_micros(col: Column) -> Column:
+    return F.hour(col).cast("long") * 3_600_000_000 + F.minute(col).cast("long") * 60_000_000 + (F.date_part(F.lit("SECOND"), col) * 1_000_000).cast("long")
+
+
 def _canonical(col: Column, kind: T.DataType) -> Column:
     """One form for equal values: 0.0 for -0.0, one NaN, maps as sorted entries."""
     if isinstance(kind, (T.FloatType, T.DoubleType)):
@@ -59,4 +64,5 @@ def _canonical(col: Column, kind: T.DataType) -> Column:
 def key256(df: DataFrame, *columns: str) -> Column:
     """256-bit digest (binary) of the columns in canonical form."""
     parts = [_canonical(F.col(c), df.schema[c].dataType).cast("string") for c in columns]
-    return F.unhex(F.sha2(F.concat_ws("\u0001", *[F.coalesce(p, F.lit("\u0002")) for p in parts]).cast("binary"), 256))
+    sized = [F.coalesce(F.concat(F.length(p).cast("string"), F.lit(":"), p), F.lit("-")) for p in parts]  # lengths keep neighbours apart
+    return F.unhex(F.sha2(F.concat(*sized).cast("binary"), 256))

@@ -10,14 +10,17 @@ import math
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from ..functions.native import NativeSeed, levels_and_bins
 
 TOP = 64
 
 
-def raw_cells(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = ()) -> DataFrame:
-    """Largest level of every cell."""
+def raw_cells(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = (), repeated: bool = False) -> DataFrame:
+    """Largest level of every cell. ``repeated``: keys stand in many rows; they are made distinct first (one slim shuffle) and hashed once."""
+    if repeated:
+        df = df.filter(F.col(key).isNotNull()).select(*group, key).distinct()
     return levels_and_bins(df, key, seed, list(group)).groupBy(*group, "tab", "bin").agg(F.max("level").alias("level"))
 
 
@@ -55,10 +58,10 @@ def with_cut(cells: DataFrame, seed: NativeSeed, budget: float, group: list[str]
 def estimate(state: DataFrame, seed: NativeSeed, offset: int, group: list[str] = (), at: str = "estimate") -> DataFrame:
     """(group..., estimate, q): median over all l tables; a table that the cut has emptied counts as 0."""
     b, log_b = seed.b, seed.b.bit_length() - 1
-    whole = state.withColumn("_abs", F.col("level") + F.col("q"))
-    top = whole.groupBy(*group, "tab").agg(F.collect_list("_abs").alias("_all"), F.max("_abs").alias("_top"), F.max("q").alias("q"))
+    counts = state.groupBy(*group, "tab", (F.col("level") + F.col("q")).alias("_abs")).agg(F.count("*").alias("_n"), F.max("q").alias("q"))  # one row for each level: partial sums, whatever b is
+    top = counts.groupBy(*group, "tab").agg(F.collect_list(F.struct("_abs", "_n")).alias("_all"), F.max("_abs").alias("_top"), F.max("q").alias("q"))
     s = F.greatest(F.lit(0), F.col("_top") - log_b + offset)
-    hits = F.least(F.size(F.filter("_all", lambda x: x >= F.col("_s"))), F.lit(b - 1))
+    hits = F.least(F.aggregate("_all", F.lit(0).cast("long"), lambda acc, x: acc + F.when(x["_abs"] >= F.col("_s"), x["_n"]).otherwise(0)), F.lit(b - 1))
     per_table = top.withColumn("_s", s).withColumn("_y", F.pow(F.lit(2.0), F.col("_s")) * F.log(1 - hits / F.lit(float(b))) / F.log(F.lit(1 - 1 / b)))
     found = per_table.groupBy(*group).agg(F.collect_list("_y").alias("_ys"), F.max("q").alias("q"))
     empty = F.array_repeat(F.lit(0.0), F.lit(seed.l) - F.size("_ys"))
@@ -88,7 +91,14 @@ def two_pass_cells(df: DataFrame, key: str, seed: NativeSeed, offset: int, group
     return rows.join(top, [*group, "tab"]).filter("level >= _s").groupBy(*group, "tab", "bin").agg(F.max("level").alias("level"))
 
 
-def prefix_merges(cells_by_step: DataFrame, step: str, last: int) -> DataFrame:
-    """Cells of all steps up to each, for integer steps up to ``last`` (each cell goes on to every later step)."""
-    wide = cells_by_step.select(F.explode(F.sequence(F.col(step), F.lit(last))).alias(step), "tab", "bin", "level")
-    return wide.groupBy(step, "tab", "bin").agg(F.max("level").alias("level"))
+def prefix_merges(cells_by_step: DataFrame, step: str, last: int, group: list[str] = ()) -> DataFrame:
+    """Cells of all steps up to each, for integer steps up to ``last``.
+
+    A running maximum for each cell, of which only the steps that raise it are kept; each of these stands
+    for all steps until the next one. Nothing is aggregated again, and what is written out is the result.
+    """
+    by = W.partitionBy(*group, "tab", "bin").orderBy(step)
+    before = F.max("level").over(by.rowsBetween(W.unboundedPreceding, -1))
+    raised = cells_by_step.withColumn("_before", before).filter("_before is null or level > _before")
+    until = F.coalesce(F.lead(step).over(by) - 1, F.lit(last))
+    return raised.withColumn("_until", until).select(*group, F.explode(F.sequence(F.col(step), F.col("_until"))).alias(step), "tab", "bin", "level")

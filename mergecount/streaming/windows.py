@@ -29,11 +29,17 @@ def window_cells(events: DataFrame, time: str, key: str, seed: NativeSeed, lengt
 
 
 def session_cells(events: DataFrame, time: str, key: str, seed: NativeSeed, gap: str, by: list[str], late: str | None = None) -> DataFrame:
-    """Cells per session of the columns ``by``."""
+    """Cells (window, by..., tab, bin, level) per session of the columns ``by``; batch or streaming.
+
+    A session keeps the set of its cells' levels, at most tables x bins x levels entries however many keys it has.
+    """
     rows = _watermarked(events, time, late)
-    sessions = rows.groupBy(F.session_window(time, gap), *by).agg(F.collect_set(key).alias("_keys"))
-    one = sessions.select(F.col("session_window").alias("window"), *by, F.explode("_keys").alias(key))
-    return levels_and_bins(one, key, seed, ["window", *by]).groupBy("window", *by, "tab", "bin").agg(F.max("level").alias("level"))
+    levels = levels_and_bins(rows, key, seed, [time, *by])
+    sessions = levels.groupBy(F.session_window(time, gap), *by).agg(F.collect_set(F.struct("tab", "bin", "level")).alias("_cells"))
+    best = F.array_sort("_cells")  # by table, bin and level: a cell's last entry is its largest
+    last = F.filter(best, lambda x, i: F.coalesce((F.get(best, i + 1)["tab"] != x["tab"]) | (F.get(best, i + 1)["bin"] != x["bin"]), F.lit(True)))
+    one = sessions.select(F.col("session_window").alias("window"), *by, F.explode(last).alias("_c"))
+    return one.select("window", *by, "_c.tab", "_c.bin", "_c.level")
 
 
 def window_estimates(state: DataFrame, seed: NativeSeed, budget: float, offset: int) -> DataFrame:
@@ -54,14 +60,6 @@ def longer_windows(state: DataFrame, length: str) -> DataFrame:
     return state.groupBy(F.window("window.start", length).alias("window"), "tab", "bin").agg(F.max("level").alias("level"))
 
 
-def running(daily: DataFrame, order: str, group: list[str] = ()) -> DataFrame:
-    """Cells of all days up to each: a running maximum per cell, for days on which the cell is present."""
-    from pyspark.sql import Window as W
-
-    w = W.partitionBy(*group, "tab", "bin").orderBy(order).rowsBetween(W.unboundedPreceding, 0)
-    return daily.withColumn("level", F.max("level").over(w))
-
-
 def exact_stream(events: DataFrame, time: str, key: str, length: str, late: str) -> DataFrame:
     """Exact yardstick: rows that repeat a key within the watermark and window are dropped, the rest is counted."""
     rows = _watermarked(events, time, late).withColumn("window", F.window(time, length))

@@ -18,6 +18,9 @@ from pyspark.sql import Window as W
 #: Keys that are broadcast as hot ones at most, and buckets of a stored table (the limit that Spark sets).
 HOT, MOST_BUCKETS = 10_000, 100_000
 
+#: Bytes of a stored row group: what a writing task holds.
+ROW_GROUP = 16 << 20
+
 #: ASCII whitespace is what separates words in every contract of this package.
 WORD = "[^\\x20\\x09-\\x0D]+"
 
@@ -46,7 +49,7 @@ def materialize(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
     """Write to the shared folder and read back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/mergecount-llm/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", codec).parquet(path)
+    df.write.option("compression", codec).option("parquet.block.size", ROW_GROUP).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -147,7 +150,7 @@ def stored_by_task(df: DataFrame, name: str) -> tuple[DataFrame, int]:
     was = spark.conf.get(writers)
     spark.conf.set(writers, "4")
     try:
-        rows.write.option("path", path).option("compression", "zstd").bucketBy(n, "_slot").saveAsTable(table)
+        rows.write.option("path", path).option("compression", "zstd").option("parquet.block.size", ROW_GROUP).bucketBy(n, "_slot").saveAsTable(table)
     finally:
         spark.conf.set(writers, was)
     stored = spark.table(table)

@@ -9,10 +9,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .. import bounds, packed
-from ..nested import derive_nested, init_nested, route
+from ..nested import NestedSeed, derive_nested, nested_seed, route
 from ..operators.partial import estimates, sketch_by
-from ..params import SketchParams, derive
-from ..sketch import estimate_levels
+from ..operators.setops import overlap
+from ..params import derive
 from .encode import key64
 from .seeding import Seed, init
 
@@ -28,40 +28,31 @@ def distinct_estimate(df: DataFrame, columns: str | list[str], eps: float, delta
     if route(64, delta) == "single":
         seed = init(derive(64, eps, delta, "practical", **practical), entropy)
         return estimates(sketch_by(keyed, "_key64", seed, group), seed).select(*group, "estimate")
-    nested = derive_nested(64, eps, delta, "practical", **practical)
-    parts = None
-    for copy, seed in enumerate(init_nested(nested, entropy)):
-        one = estimates(sketch_by(keyed, "_key64", seed, group), seed).select(*group, "estimate", F.lit(copy).alias("copy"))
-        parts = one if parts is None else parts.union(one)
-    return parts.groupBy(*group).agg(F.median("estimate").alias("estimate"))
+    seed = nested_seed(derive_nested(64, eps, delta, "practical", **practical), entropy)
+    return estimates(sketch_by(keyed, "_key64", seed, group), seed).select(*group, "estimate")
 
 
-def register(spark: SparkSession, seed: Seed) -> None:
-    """SQL functions sketch_estimate, sketch_merge, sketch_info, sketch_union_agg, and table functions sketch_cells, space_report."""
-    params: SketchParams = seed.params
+def _value(sketch) -> float:
+    found = sketch.estimate()
+    return found if isinstance(found, float) else found.value
+
+
+def register(spark: SparkSession, seed: Seed | NestedSeed) -> None:
+    """SQL functions sketch_estimate, sketch_merge, sketch_union_agg, sketch_intersection, sketch_difference (of either kind of sketch),
+    sketch_info, and table functions sketch_cells (of single sketches), space_report."""
+    from ..operators.partial import _empty, _unpack
 
     @F.pandas_udf("double")
     def sketch_estimate(blobs: pd.Series) -> pd.Series:
-        out = []
-        for blob in blobs:
-            if blob is None:
-                out.append(None)
-                continue
-            levels, q, fp = packed.decode(bytes(blob))
-            if fp != seed.fingerprint:
-                raise ValueError("a sketch of another seed or shape")
-            out.append(estimate_levels(levels, q, params).value)
-        return pd.Series(out, dtype="float64")
+        return pd.Series([None if x is None else _value(_unpack(seed, bytes(x))) for x in blobs], dtype="float64")
 
     def merged(blobs) -> bytes:
-        from ..sketch import Context, Sketch
-
-        context, total = Context.of(seed), None
+        total = None
         for blob in blobs:
             if blob is not None:
-                one = Sketch.unpack(context, bytes(blob))
+                one = _unpack(seed, bytes(blob))
                 total = one if total is None else total.merge(one)
-        return (total or Sketch(context)).pack()
+        return (total or _empty(seed)).pack()
 
     @F.pandas_udf("binary")
     def sketch_merge(a: pd.Series, b: pd.Series) -> pd.Series:
@@ -71,6 +62,14 @@ def register(spark: SparkSession, seed: Seed) -> None:
     def sketch_union_agg(blobs: pd.Series) -> bytes:
         return merged(blobs)
 
+    @F.pandas_udf("double")
+    def sketch_intersection(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([overlap(seed, bytes(x), bytes(y))[0] for x, y in zip(a, b, strict=True)])
+
+    @F.pandas_udf("double")
+    def sketch_difference(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([overlap(seed, bytes(x), bytes(y))[1] for x, y in zip(a, b, strict=True)])
+
     @F.pandas_udf("codec string, seed_fp long, l int, b int, q int")
     def sketch_info(blobs: pd.Series) -> pd.DataFrame:
         return pd.DataFrame([packed.info(bytes(x)) for x in blobs])[["codec", "seed_fp", "l", "b", "q"]]
@@ -86,7 +85,7 @@ def register(spark: SparkSession, seed: Seed) -> None:
             for name in bounds.SPACE:
                 yield name, bounds.MERGEABLE[name], bounds.space_formula(name, int(bits), float(eps), float(delta))
 
-    for name, f in (("sketch_estimate", sketch_estimate), ("sketch_merge", sketch_merge), ("sketch_union_agg", sketch_union_agg), ("sketch_info", sketch_info)):
+    for name, f in (("sketch_estimate", sketch_estimate), ("sketch_merge", sketch_merge), ("sketch_union_agg", sketch_union_agg), ("sketch_intersection", sketch_intersection), ("sketch_difference", sketch_difference), ("sketch_info", sketch_info)):
         spark.udf.register(name, f)
     spark.udtf.register("sketch_cells", F.udtf(SketchCells, returnType="tab int, bin int, level int"))
     spark.udtf.register("space_report", F.udtf(SpaceReport, returnType="algorithm string, mergeable boolean, formula double"))

@@ -7,16 +7,21 @@ copies' medians. Copies share nothing but the draw.
 
 from __future__ import annotations
 
+import hashlib
 import math
-from dataclasses import dataclass
+import struct
+from dataclasses import dataclass, replace
 
 import numpy as np
 
+from . import cuts
 from .functions.expander import WalkSpace
 from .functions.seeding import Seed, draw, minus_log_delta, seed_bits
 from .params import SketchParams, derive
 from .sketch import Context, Sketch
 
+_COUNT = struct.Struct(">I")
+
 
 @dataclass(frozen=True)
 class NestedParams:
@@ -57,39 +62,100 @@ def init_nested(p: NestedParams, entropy: int | str) -> list[Seed]:
     return [Seed(p.inner, p.inner_mode, v & ((1 << bits) - 1), bits) for v in space.unrank(draw(entropy, space.bits, "nested"))]
 
 
+@dataclass(frozen=True)
+class NestedSeed:
+    """The draw of a run of the nested sketch: the seeds of all copies. Sketches of different draws never merge."""
+
+    params: NestedParams
+    seeds: tuple[Seed, ...]
+
+    @property
+    def fingerprint(self) -> int:
+        text = f"{self.params.m},{self.params.delta},{self.params.cuts}|" + ",".join(str(s.fingerprint) for s in self.seeds)
+        return int.from_bytes(hashlib.sha256(text.encode()).digest()[:8], "big", signed=True)
+
+    @property
+    def bits(self) -> int:
+        return outer_space(self.params).bits
+
+
+def nested_seed(params: NestedParams, entropy: int | str) -> NestedSeed:
+    return NestedSeed(params, tuple(init_nested(params, entropy)))
+
+
+def apply_shared_cut(parts: list[Sketch], limit: int) -> None:
+    """One cut for all copies: the least at which all tables together fit one budget."""
+    q = max(p.q for p in parts)
+    whole = np.concatenate([cuts.apply_cut(p.levels, q - p.q) for p in parts])
+    more = cuts.required_cut(whole, limit)
+    for p in parts:
+        p.levels, p.q = cuts.apply_cut(p.levels, q + more - p.q), q + more
+
+
 class NestedSketch:
-    def __init__(self, params: NestedParams, seeds: list[Seed], parts: list[Sketch] | None = None):
+    """m copies of the single-cut sketch; the state is a function of the set of keys alone.
+
+    With ``cuts = 'shared'`` the copies keep levels uncut and ``pack`` and ``estimate`` see them at one common cut.
+    """
+
+    def __init__(self, params: NestedParams, seeds: list[Seed] | tuple[Seed, ...], parts: list[Sketch] | None = None):
         self.params, self.seeds = params, seeds
-        self.parts = parts or [Sketch(Context.of(s)) for s in seeds]
+        if params.cuts == "table":
+            raise ValueError("a cut for each table has no packed form: see operators.nested_cells")
+        self.parts = parts or [Sketch(self._context(s)) for s in seeds]
+
+    def _context(self, seed: Seed) -> Context:
+        return Context.of(replace(seed, params=replace(seed.params, budget=1e9)) if self.params.cuts == "shared" else seed)
 
     def update(self, keys: np.ndarray) -> NestedSketch:
+        keys = np.unique(keys)
         for part in self.parts:
             part.update(keys)
-        return self._share()
+        return self
 
     def merge(self, other: NestedSketch) -> NestedSketch:
         for mine, theirs in zip(self.parts, other.parts, strict=True):
             mine.merge(theirs)
-        return self._share()
+        return self
 
-    def _share(self) -> NestedSketch:
+    def _cut(self) -> list[Sketch]:
+        parts = [Sketch(p.context, p.levels.copy(), p.q) for p in self.parts]
         if self.params.cuts == "shared":
-            from .cuts import apply_cut
-
-            q = max(p.q for p in self.parts)
-            for p in self.parts:
-                p.levels, p.q = apply_cut(p.levels, q - p.q), q
-        return self
+            apply_shared_cut(parts, self.params.m * self.params.inner.space_limit)
+        return parts
 
     def estimate(self) -> float:
-        return float(np.median([p.estimate().value for p in self.parts]))
+        return float(np.median([p.estimate().value for p in self._cut()]))
+
+    def pack(self, codec: str = "gamma") -> bytes:
+        """All copies in one blob: their number, then each with its length."""
+        blobs = [p.pack(codec) for p in self.parts]
+        return _COUNT.pack(len(blobs)) + b"".join(_COUNT.pack(len(b)) + b for b in blobs)
+
+    @classmethod
+    def unpack(cls, seed: NestedSeed, data: bytes) -> NestedSketch:
+        empty = cls(seed.params, seed.seeds)
+        (m,), at, parts = _COUNT.unpack_from(data), _COUNT.size, []
+        if m != seed.params.m:
+            raise ValueError("sketches of different seeds or shapes do not merge")
+        for part in empty.parts:
+            (size,) = _COUNT.unpack_from(data, at)
+            parts.append(Sketch.unpack(part.context, data[at + _COUNT.size : at + _COUNT.size + size]))
+            at += _COUNT.size + size
+        return cls(seed.params, seed.seeds, parts)
 
     def cut_bits(self) -> int:
-        """Bits of all cut levels: of one, of each copy, or of each table."""
-        each = max(1, math.ceil(math.log2(self.params.inner.d + 1)))
-        return each * {"shared": 1, "copy": self.params.m, "table": self.params.m * self.params.inner.l}[self.params.cuts]
+        """Bits of all cut levels."""
+        return cut_bits(self.params.cuts, self.params.m, self.params.inner.l, self.params.inner.d)
+
+
+def cut_bits(kind: str, m: int, l: int, d: int = 64) -> int:  # noqa: E741
+    """Bits of all cut levels: of one, of each copy, or of each table."""
+    return max(1, math.ceil(math.log2(d + 1))) * {"shared": 1, "copy": m, "table": m * l}[kind]
 
 
-def route(bits: int, delta: float) -> str:
-    """'single' for delta >= 1 / ln n, else 'nested'."""
+def route(bits: int, delta: float, m_bits: int | None = None) -> str:
+    """'single' for delta >= 1 / ln n, else 'nested'; 'exact' if the key columns have at most ``m_bits`` <= 10 bits: a bitmap is smaller than any sketch."""
+    if m_bits is not None and m_bits <= 10:
+        return "exact"
     return "single" if delta >= 1 / (bits * math.log(2)) else "nested"

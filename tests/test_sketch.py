@@ -138,10 +138,17 @@ def test_nested():
     parts = nested.NestedSketch(p, seeds).update(keys[:500]).merge(nested.NestedSketch(p, seeds).update(keys[300:]))
     assert [a.pack() for a in whole.parts] == [a.pack() for a in parts.parts]
     assert measures.relative_error(whole.estimate(), 900) < 0.4
-    sizes = [nested.NestedSketch(nested.NestedParams(p.inner, 3, 1e-6, "walk_16", c), seeds).cut_bits() for c in ("shared", "copy", "table")]
+    sizes = [nested.cut_bits(c, 3, 3) for c in ("shared", "copy", "table")]
     assert sizes[0] < sizes[1] < sizes[2]
     shared = nested.NestedSketch(nested.NestedParams(p.inner, 3, 1e-6, "walk_16", "shared"), seeds).update(keys)
-    assert len({a.q for a in shared.parts}) == 1
+    cut = shared._cut()
+    total = sum(cuts.total_bits(a.levels) for a in cut)
+    raw = np.concatenate([a.levels for a in shared.parts])
+    assert len({a.q for a in cut}) == 1 and total <= 3 * p.inner.space_limit  # one budget over all copies,
+    assert cut[0].q == 0 or cuts.total_bits(cuts.apply_cut(raw, cut[0].q - 1)) > 3 * p.inner.space_limit  # and no cut above the least
+    seed = nested.nested_seed(p, 1)
+    assert nested.NestedSketch.unpack(seed, whole.pack()).pack() == parts.pack()
+    assert nested.route(64, 1e-6, 8) == "exact"
 
 
 def test_rough_tracked_depends_on_order_and_never_merges():

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.native import NativeSeed, levels_and_bins
+from ..functions.native import NativeSeed, ideal_levels_and_bins, levels_and_bins
 from ..operators import cells
 
 #: Fixed value: correction of the mean position of the lowest unset bit.
@@ -23,15 +23,18 @@ def exact_bitmap(df: DataFrame, key: str) -> DataFrame:
     return buckets.agg(F.sum(F.expr("bitmap_count(bits)")).alias("distinct"))
 
 
-def bit_pattern_cells(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = ()) -> DataFrame:
+def bit_pattern_cells(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = (), ideal: bool = False) -> DataFrame:
     """(group..., tab, bin, pattern): OR of one bit per level (levels over 62 count as 62). Merges by OR."""
-    rows = levels_and_bins(df, key, seed, list(group))
+    rows = ideal_levels_and_bins(df, key, seed.l, seed.b, list(group)) if ideal else levels_and_bins(df, key, seed, list(group))
     return rows.groupBy(*group, "tab", "bin").agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.least("level", F.lit(62)))).alias("pattern"))
 
 
-def bit_pattern(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = ()) -> DataFrame:
-    """Oldest counter: the mean position of the lowest unset bit over the bins of table 0 (absent bins count 0)."""
-    patterns = bit_pattern_cells(df, key, NativeSeed(1, seed.b, seed.entropy), group)
+def bit_pattern(df: DataFrame, key: str, seed: NativeSeed, group: list[str] = (), ideal: bool = False) -> DataFrame:
+    """Oldest counter: the mean position of the lowest unset bit over the bins of table 0 (absent bins count 0).
+
+    It assumes ideal hash functions: ``ideal`` takes xxHash for them, else pairwise maps that SQL can repeat stand in.
+    """
+    patterns = bit_pattern_cells(df, key, NativeSeed(1, seed.b, seed.entropy), group, ideal)
     lowest = F.bit_count(F.col("pattern").bitwiseAND(F.lit(-1).cast("long").bitwiseXOR(F.col("pattern") + 1)))
     total = patterns.groupBy(*group).agg(F.sum(lowest).alias("_sum"))
     return total.select(*group, F.round(seed.b / PHI * F.pow(F.lit(2.0), F.col("_sum") / seed.b), 6).alias("estimate"))

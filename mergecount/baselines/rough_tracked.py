@@ -9,6 +9,7 @@ expander walk and keeps the rough states as differences from a common base (the
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,14 +19,26 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..cuts import cell_bits
+from ..functions.expander import WalkSpace
 from ..functions.families import LevelHash
 from ..functions.seeding import Seed, draw
-from ..params import SketchParams
 from ..sketch import Context, rho_inv
 
 ROUGH = 9
 
 
+def rough_hashes(context: Context) -> list[list[LevelHash]]:
+    """Level functions of each table's rough counters: drawn one by one, or along a walk where the tables' own are."""
+    p, mask = context.params, (1 << context.params.d) - 1
+    if context.seed.mode == "independent":
+        numbers = [draw(context.fingerprint, 2 * p.d, f"rough-{i}") for i in range(p.l * ROUGH)]
+    else:
+        space = WalkSpace(2 * p.d, math.log(16), p.l * ROUGH)
+        numbers = space.unrank(draw(context.fingerprint, space.bits, "rough-walk"))
+    made = [LevelHash([x & mask, x >> p.d], p.d) for x in numbers]
+    return [made[t * ROUGH : (t + 1) * ROUGH] for t in range(p.l)]
+
+
 class RoughTracked:
     def __init__(self, context: Context):
         p = context.params
@@ -34,7 +47,7 @@ class RoughTracked:
         self.cut = np.zeros(p.l, dtype=np.int64)
         self.failed = np.zeros(p.l, dtype=bool)
         self.rough = np.full((p.l, ROUGH), -1, dtype=np.int64)
-        self.hashes = [[LevelHash([draw(context.fingerprint, p.d, f"rough-{t}-{r}-a"), draw(context.fingerprint, p.d, f"rough-{t}-{r}-b")], p.d) for r in range(ROUGH)] for t in range(p.l)]
+        self.hashes = rough_hashes(context)
 
     def add(self, keys: np.ndarray) -> RoughTracked:
         """Keys in order of arrival. A cut moves at every key that raises the rough estimate."""
@@ -73,13 +86,17 @@ class RoughTracked:
         if not delta_coded:
             return self.rough.size * whole
         base = np.median(self.rough, axis=None).astype(int)
-        return whole + int((2 * cell_bits(np.abs(self.rough - base)) + 2).sum())
+        return whole + int((2 * cell_bits(np.abs(self.rough - base) - 1) + 2).sum())  # a gamma code of difference + 1, and a sign
+
+    def bits(self, delta_coded: bool) -> int:
+        """Bits of the whole state: offsets in the self-delimiting code, cuts, rough states."""
+        return int((2 * cell_bits(self.levels) + 1).sum()) + self.context.params.l * self.context.params.d.bit_length() + self.rough_bits(delta_coded)
 
 
 def by_group(df: DataFrame, key: str, order: str, seed: Seed, group: list[str]) -> DataFrame:
-    """(group..., estimate, failed_tables): keys folded in order, one task for each group (there is no other way)."""
+    """(group..., estimate, failed_tables, bits, delta_bits): keys folded in order, one task for each group (there is no other way)."""
     rows = df.filter(F.col(key).isNotNull()).select(*group, F.col(order).alias("_order"), F.col(key).cast("long").alias("_key"))
-    schema = T.StructType([*[rows.schema[g] for g in group], T.StructField("estimate", T.DoubleType()), T.StructField("failed_tables", T.IntegerType())])
+    schema = T.StructType([*[rows.schema[g] for g in group], T.StructField("estimate", T.DoubleType()), T.StructField("failed_tables", T.IntegerType()), T.StructField("bits", T.LongType()), T.StructField("delta_bits", T.LongType())])
     dealt = rows.repartition(*group).sortWithinPartitions(*group, "_order")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -89,7 +106,7 @@ def by_group(df: DataFrame, key: str, order: str, seed: Seed, group: list[str])
 
         def done() -> pa.RecordBatch:
             columns = [pa.array([v], kinds[i]) for i, v in enumerate(now)]
-            return pa.RecordBatch.from_arrays([*columns, pa.array([held.estimate()]), pa.array([int(held.failed.sum())], pa.int32())], names=[*group, "estimate", "failed_tables"])
+            return pa.RecordBatch.from_arrays([*columns, pa.array([held.estimate()]), pa.array([int(held.failed.sum())], pa.int32()), pa.array([held.bits(False)], pa.int64()), pa.array([held.bits(True)], pa.int64())], names=[*group, "estimate", "failed_tables", "bits", "delta_bits"])
 
         for batch in batches:
             kinds = [batch.column(i).type for i in range(len(group))]
@@ -109,7 +126,3 @@ def by_group(df: DataFrame, key: str, order: str, seed: Seed, group: list[str])
 
     return dealt.mapInArrow(run, schema)
 
-
-def variants(params: SketchParams) -> dict[str, str]:
-    """Seed mode of each variant: one draw per copy, or a walk."""
-    return {"copies": "independent", "walk": "walk_16"}

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -38,8 +39,6 @@ def set_estimates(pairs: DataFrame, seed, a: str = "a", b: str = "b") -> DataFra
 
     ``slack``: what an error of one per cent in each part can add to a difference.
     """
-    import pandas as pd
-
     @F.pandas_udf("in_both double, only_a double, only_b double, in_either double, slack double")
     def found(left: pd.Series, right: pd.Series) -> pd.DataFrame:
         rows = []

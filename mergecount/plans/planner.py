@@ -4,8 +4,6 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
-
 from ..params import SketchParams
 
 CELL_ROW_BYTES = 24
@@ -28,6 +26,3 @@ def choose(params: SketchParams, tasks: int, groups: int, rows: int | None = Non
     cell_bytes = cell_rows * CELL_ROW_BYTES
     return Choice("cells" if cell_bytes <= packed else "packed", cell_rows, cell_bytes, int(packed))
 
-
-def choose_for(df: DataFrame, params: SketchParams, groups: int) -> Choice:
-    return choose(params, df.rdd.getNumPartitions(), groups)

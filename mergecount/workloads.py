@@ -2,25 +2,21 @@
 
 from __future__ import annotations
 
-import math
+import atexit
+import shutil
+import tempfile
 import uuid
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bounds, cuts, measures, nested
+from . import bounds, cuts
 from .baselines import counters
-from .baselines.rough_tracked import by_group
 from .functions import seeding
 from .functions.encode import key64
-from .functions.expander import Graph
 from .functions.native import NativeSeed, ideal_levels_and_bins, levels_and_bins
 from .operators import cells, nested_cells, partial, rollup, setops
 from .params import SketchParams, derive, independence
-from .plans.planner import choose
-from .sketch import Context, Sketch
-from .sources import store
 from .sources.tables import read
 from .streaming import windows
 
@@ -338,20 +334,10 @@ def ideal_hash_within(spark, sf):
     return _within(found, _lineitem(spark, sf).groupBy("l_returnflag").agg(F.countDistinct("l_partkey").alias("exact")), ["l_returnflag"])
 
 
-def nested_within(spark, sf):
-    p = nested.derive_nested(64, 0.3, 1e-6, inner=SketchParams(5, 256, 8), m=5)
-    rows = _lineitem(spark, sf).select("l_partkey")
-    parts = None
-    for seed in nested.init_nested(p, "nested"):
-        one = partial.estimates(partial.sketch_by(rows, "l_partkey", seed), seed).select("estimate")
-        parts = one if parts is None else parts.union(one)
-    return _within(parts.agg(F.median("estimate").alias("estimate")), rows.agg(F.countDistinct("l_partkey").alias("exact")), [])
-
-
 def stream_within(spark, sf):
     """Daily users from a streaming query over the events, replayed batches included."""
     source = read(spark, sf, "events")
-    base = _shared(spark) + f"/mergecount-stream-{uuid.uuid4().hex}"
+    base = shared_folder(spark) + f"/mergecount-stream-{uuid.uuid4().hex}"
     source.select("ts", "user_id").repartition(3).write.parquet(f"{base}/in")
     stream = spark.readStream.schema(spark.read.parquet(f"{base}/in").schema).option("maxFilesPerTrigger", 1).parquet(f"{base}/in")
     state = windows.window_cells(stream, "ts", "user_id", PARITY, "1 day", late="40 days")
@@ -367,156 +353,24 @@ def stream_within(spark, sf):
     return joined.select("day", "exact", (F.abs(F.col("estimate") - F.col("exact")) <= 0.5 * F.col("exact")).alias("within"))
 
 
-def _shared(spark: SparkSession) -> str:
-    path = spark.conf.get("spark.checkpoint.dir", None)
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share (spark.checkpoint.dir); a temporary one only where it is unset."""
+    sc = spark.sparkContext
+    path = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
     if path:
         return path
-    import tempfile
-
-    return tempfile.mkdtemp(prefix="mergecount-")
+    known = sc._jsc.sc().getCheckpointDir()
+    if known.isDefined():
+        return known.get()
+    own = tempfile.mkdtemp(prefix="mergecount-")
+    atexit.register(shutil.rmtree, own, True)
+    sc.setCheckpointDir(own)
+    return own
 
 
 # -- rows only -----------------------------------------------------------------------------------------------
 
 
-def baseline_comparison(spark, sf):
-    """All counters on one key: estimate, relative error, merge support."""
-    rows = _lineitem(spark, sf).select("l_orderkey")
-    seed = kwise_seed()
-    exact = rows.agg(F.countDistinct("l_orderkey").cast("double").alias("estimate")).withColumn("method", F.lit("exact"))
-    many = [exact]
-    for name, found in (
-        ("single_cut", partial.estimates(partial.sketch_by(rows, "l_orderkey", seed), seed)),
-        ("single_cut_independent", partial.estimates(partial.sketch_by(rows, "l_orderkey", seeding.init(KWISE, "b6", "independent")), seeding.init(KWISE, "b6", "independent"))),
-        ("pairwise_bins", _estimate(rows, "l_orderkey")),
-        ("bit_pattern", counters.bit_pattern(rows, "l_orderkey", PARITY)),
-        ("max_level", counters.max_level(rows, "l_orderkey", PARITY)),
-        ("binned_levels", counters.binned_levels(rows, "l_orderkey", PARITY)),
-    ):
-        many.append(found.select("estimate").withColumn("method", F.lit(name)))
-    built = counters.built_in(rows, "l_orderkey")
-    for name in ("hll_plus", "hll_sketch", "theta"):
-        many.append(built.select(F.col(name).cast("double").alias("estimate")).withColumn("method", F.lit(name)))
-    many.append(counters.sampling(rows, "l_orderkey", 0.1).select("estimate").withColumn("method", F.lit("sampling")))
-    out = many[0]
-    for more in many[1:]:
-        out = out.unionByName(more)
-    truth = rows.agg(F.countDistinct("l_orderkey").alias("exact")).withColumn("_one", F.lit(1))
-    return out.withColumn("_one", F.lit(1)).join(truth, "_one").select("method", "estimate", "exact", (F.abs(F.col("estimate") - F.col("exact")) / F.col("exact")).alias("error"))
-
-
-def rough_tracked_baseline(spark, sf):
-    """The sequential counter with copies, by event type in order of arrival."""
-    return by_group(read(spark, sf, "events"), "user_id", "event_id", seeding.init(SketchParams(5, 256, 8, budget=3.0), "rough", "independent"), ["event_type"])
-
-
-def walk_seeded_baseline(spark, sf):
-    return by_group(read(spark, sf, "events"), "user_id", "event_id", seeding.init(SketchParams(5, 256, 8, budget=3.0), "rough", "walk_16"), ["event_type"])
-
-
-def seed_report(spark, sf):
-    """Seed bits by mode and size."""
-    rows = []
-    for log_b in (8, 10, 12):
-        for l in (9, 12):
-            p = SketchParams(l, 2**log_b, independence(2**log_b))
-            rows += [(log_b, l, mode, seeding.seed_bits(p, mode)) for mode in seeding.MODES]
-    return spark.createDataFrame(rows, "log_b int, l int, mode string, seed_bits long")
-
-
-def event_frequencies(spark, sf):
-    """How often the events of the analysis hold in each table, on distinct parts (a bounded dimension)."""
-    keys = np.array([r[0] for r in _lineitem(spark, sf).select("l_suppkey").distinct().collect()], dtype=np.uint64)
-    context = Context.of(kwise_seed())
-    rows = []
-    for t, triple in enumerate(context.triples):
-        e = measures.events(keys, triple, KWISE, 0.5)
-        rows.append((t, int(e["threshold"]), *(bool(e[k]) for k in ("load_ok", "sample_ok", "no_collision", "hits_ok", "sample_small", "hits_small", "slope_ok"))))
-    return spark.createDataFrame(rows, "tab int, threshold int, load_ok boolean, sample_ok boolean, no_collision boolean, hits_ok boolean, sample_small boolean, hits_small boolean, slope_ok boolean")
-
-
-def failure_sweep(spark, sf):
-    """Failure rate at 30 per cent over 40 draws, for growing sets; each draw is a task."""
-    p = SketchParams(5, 256, 8)
-    sizes = [30, 300, 3000]
-
-    def run(batches):
-        import pandas as pd
-
-        for pdf in batches:
-            out = []
-            for draw in pdf["id"]:
-                context = Context(seeding.init(p, f"sweep-{draw}"))
-                for n in sizes:
-                    e = Sketch(context).update(np.arange(n, dtype=np.uint64) * np.uint64(2654435761)).estimate()
-                    out.append((int(n), float(e.value), int(e.q), bool(e.cut_ok)))
-            yield pd.DataFrame(out, columns=["n", "estimate", "q", "cut_ok"])
-
-    draws = spark.range(0, 40, 1, 8).mapInPandas(run, "n long, estimate double, q int, cut_ok boolean")
-    off = (F.abs(F.col("estimate") - F.col("n")) > 0.3 * F.col("n")).cast("int")
-    return draws.groupBy("n").agg(F.count("*").alias("draws"), F.sum(off).alias("failures"), F.round(F.sqrt(F.avg(F.pow(F.col("estimate") / F.col("n") - 1, 2))), 4).alias("rms"), F.max("q").alias("q"), F.min("cut_ok").alias("cut_ok"))
-
-
-def walk_tail(spark, sf):
-    """Walks on an explicit graph over the customers: observed tails beside the bounds."""
-    flags = [r[0] == "BUILDING" for r in read(spark, sf, "customer").select("c_mktsegment").orderBy("c_custkey").limit(1024).collect()]
-    f = np.zeros(1024)
-    f[: len(flags)] = flags
-    graph = Graph(10, math.log(16))
-    mu, lam, rng = float(f.mean()), 1 / 16, np.random.default_rng(11)
-    table = np.array([[graph.step(v, e) for e in range(8)] for v in range(1024)])
-
-    def hop(v, e):
-        for i in range(graph.steps):
-            v = table[v, (e >> (3 * i)) & 7]
-        return v
-
-    rows = []
-    for length in (4, 8, 16):
-        for g in (0.5, 0.75):
-            seen = bounds.walk_tail_mc(f, hop, 1 << min(62, graph.edge_bits), length, g, 4000, rng)
-            rows.append((length, g, mu, seen, bounds.tail_kl(mu, lam, g, length), bounds.tail_log(mu, lam, g, length)))
-    return spark.createDataFrame(rows, "length int, share double, mu double, observed double, tail_kl double, tail_log double")
-
-
-def sketch_store(spark, sf):
-    """Base sketches by ship year, written, read back with pruning, merged to flags."""
-    seed = kwise_seed()
-    path = _shared(spark) + f"/mergecount-store-{uuid.uuid4().hex}"
-    base = partial.sketch_by(_lineitem(spark, sf).withColumn("year", F.year("l_shipdate")), "l_partkey", seed, ["l_returnflag", "year"])
-    store.write(base, path, seed, ["year"])
-    return store.rollup(spark, path, seed, ["l_returnflag"], "year >= 1995").select("l_returnflag", "estimate", "q", "packed_bytes", "profile")
-
-
-def cut_sharing_ablation(spark, sf):
-    """Nested sketches whose copies share one cut, have their own, or have one per table (bits only): estimate and bits of cuts."""
-    keys = np.array([r[0] for r in _lineitem(spark, sf).select("l_suppkey").distinct().collect()], dtype=np.uint64)
-    rows = []
-    for kind in ("shared", "copy", "table"):
-        p = nested.derive_nested(64, 0.3, 1e-6, inner=SketchParams(5, 64, 8), m=5, cuts=kind)
-        sketch = nested.NestedSketch(p, nested.init_nested(p, "ablation")).update(keys)
-        rows.append((kind, float(sketch.estimate()), len(keys), sketch.cut_bits()))
-    return spark.createDataFrame(rows, "cuts string, estimate double, exact long, cut_bits long")
-
-
-def communication(spark, sf):
-    """Bytes moved at the start and end of a run, for growing numbers of processes."""
-    seed = kwise_seed()
-    blob = partial.sketch_by(_lineitem(spark, sf), "l_partkey", seed).first()["sketch"]
-    rows = [(p, *measures.comm_bytes(seed.bits, len(blob), p).values()) for p in (1, 8, 1000)]
-    return spark.createDataFrame(rows, "processes long, start long, end long, merges long")
-
-
-def form_choice(spark, sf):
-    """Shuffled bytes of both forms for growing task counts."""
-    rows = []
-    for tasks in (8, 1000, 100_000):
-        for groups in (1, 1000):
-            c = choose(KWISE, tasks, groups)
-            rows.append((tasks, groups, c.form, c.cell_bytes, c.packed_bytes))
-    return spark.createDataFrame(rows, "tasks int, groups int, form string, cell_bytes long, packed_bytes long")
-
-
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return main_estimate_pairwise(spark, sf_dir)
 
@@ -526,18 +380,20 @@ QUERIES = (
     nested_estimate_pairwise, merge_partitions, merge_overlap, merge_duplicates, prune_keeps_estimate, cube_by_merge, rollup_by_merge, exact_cube, top_segments,
     occupancy_curve, worked_example_cut, space_table, derived_sizes, tail_bounds_grid, bitpattern_baseline, maxlevel_baseline, binned_levels_baseline, sketch_bits,
     exact_overlap, keys_without_orders, adversarial_split, window_distinct_exact, window_distinct_pairwise, longer_windows_by_merge, json_key_distinct, two_pass_estimate, running_distinct_by_merge,
-    kwise_within, main_within, skew_within, double_key_within, tokens_within, texts_within, union_within, seq_equals_par, ideal_hash_within, nested_within, stream_within,
-    baseline_comparison, rough_tracked_baseline, walk_seeded_baseline, seed_report, event_frequencies, failure_sweep, walk_tail, sketch_store, cut_sharing_ablation, communication, form_choice,
+    kwise_within, main_within, skew_within, double_key_within, tokens_within, texts_within, union_within, seq_equals_par, ideal_hash_within, stream_within,
 )
 
 
 def queries() -> dict:
-    return {q.__name__: q for q in QUERIES}
+    from .experiments import QUERIES as MORE
+
+    return {q.__name__: q for q in (*QUERIES, *MORE)}
 
 
 def oracle_sql() -> dict[str, str]:
+    from .experiments_sql import ORACLES as MORE
     from .workloads_sql import ORACLES
 
-    return dict(ORACLES())
+    return {**ORACLES(), **MORE()}
 
 

@@ -563,6 +563,17 @@ def sliding_stream_within(spark, sf):
     return found.join(exact, "day").select("day", "exact", (F.abs(F.col("estimate") - F.col("exact")) <= 0.5 * F.col("exact")).alias("within"))
 
 
+def packed_stream_within(spark, sf):
+    """Users of each day from a stream whose state is one packed sketch a day."""
+    base, seed = shared_folder(spark) + f"/mergecount-stream-{uuid.uuid4().hex}", kwise_seed()
+    state = windows.packed_stream(_replayed(spark, sf, base), "ts", "user_id", seed, "1 day")
+    state.writeStream.outputMode("update").option("checkpointLocation", f"{base}/checkpoint").foreachBatch(lambda batch, no: batch.write.mode("overwrite").parquet(f"{base}/out/batch={no}")).trigger(availableNow=True).start().awaitTermination()
+    changed = spark.read.parquet(f"{base}/out").select("window_start", "sketch")
+    found = partial.estimates(partial.merge_by(changed, seed, ["window_start"]), seed).select(F.timestamp_seconds("window_start").cast("string").alias("day"), "estimate")
+    exact = read(spark, sf, "events").groupBy(F.window("ts", "1 day")).agg(F.countDistinct("user_id").alias("exact")).select(F.col("window.start").cast("string").alias("day"), "exact")
+    return _within(found, exact, ["day"])
+
+
 def session_stream(spark, sf):
     """Sessions of each event type (a gap of two hours ends one) from a stream: their number and users, exact while they are few."""
     base = shared_folder(spark) + f"/mergecount-stream-{uuid.uuid4().hex}"
@@ -610,5 +621,5 @@ QUERIES = (
     cardinality_sweep, cut_margin_sweep, column_space, operation_counts, level_tails, event_frequencies, balls_thrown, cost_drops, cut_forms_agree, estimate_at_any_cut, cut_sharing_ablation,
     communication_measured, seed_report, form_choice, tail_bounds_more, inverse_tables, asof_purchase_view, distinct_in_ranges, baseline_comparison, baseline_bits, nested_within, nested_store_within, sketch_store_within,
     packed_cube_within, stored_sets_within, texts_by_source_within, urls_within, turns_by_role_within, conversations_shared_within, rough_tracked_within, accuracy_sweep, accuracy_sweep_within,
-    walk_tail, deviation_walk, sliding_stream_within, session_stream, dedup_stream_exact, late_rows_stream,
+    walk_tail, deviation_walk, sliding_stream_within, packed_stream_within, session_stream, dedup_stream_exact, late_rows_stream,
 )

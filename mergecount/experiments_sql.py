@@ -118,6 +118,7 @@ def ORACLES() -> dict[str, str]:
         "walk_tail": f"select set_name, length, true tail_ok, true hitting_ok from (values ('segment'), ('rare')) s(set_name), (values {', '.join(f'({x})' for x in WALK_LENGTHS)}) l(length)",
         "deviation_walk": "select length, round(exp(-length), 9) bound, true as within, true \"unbounded\" from (values (4), (8)) l(length)",
         "sliding_stream_within": f"select d::VARCHAR as day, count(distinct user_id) exact, true as within from (select unnest([{day}, {day} - interval 1 day]) d, user_id from events) group by 1",
+        "packed_stream_within": f"select {day}::VARCHAR as day, count(distinct user_id) exact, true as within from events group by 1",
         "session_stream": "select event_type, count(*) sessions from (select event_type, ts, ts >= coalesce(lag(ts) over (partition by event_type order by ts), ts - interval 3 hour) + interval 2 hour fresh from events) where fresh group by event_type",
         "dedup_stream_exact": f"select {day}::VARCHAR as day, count(distinct user_id) users from events group by 1",
         "late_rows_stream": "select true late_rows_left_out",

@@ -18,11 +18,13 @@ from .seeding import Seed, init
 
 
 def distinct_estimate(df: DataFrame, columns: str | list[str], eps: float, delta: float, group: list[str] = (), entropy: int | str = 1, **practical) -> DataFrame:
-    """(group..., estimate): distinct values of one or more columns, by the single-cut sketch if delta >= 1 / ln n, else by the nested one.
+    """(group..., estimate): distinct values of one or more columns, exact if it can have at most 256, by the single-cut sketch if delta >= 1 / ln n, else by the nested one.
 
     Sizes are of the practical profile: the accuracy is that measured in the tests, not the proved one.
     """
     names = [columns] if isinstance(columns, str) else list(columns)
+    if len(names) == 1 and route(64, delta, {"boolean": 1, "tinyint": 8}.get(dict(df.dtypes)[names[0]])) == "exact":
+        return df.groupBy(*group).agg(F.countDistinct(names[0]).cast("double").alias("estimate"))
     key, _ = key64(df, *names)
     keyed = df.select(*group, key.alias("_key64"))
     if route(64, delta) == "single":

@@ -3,14 +3,14 @@
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 
 from . import cuts, packed
 from .functions.families import Triple
 from .functions.seeding import Seed
-from .params import SketchParams
+from .params import SketchParams, independence
 
 
 def rho(r, b: int):
@@ -24,10 +24,11 @@ def rho_inv(hits, b: int):
 
 
 def rho_inv_table(b: int, tolerance: float) -> np.ndarray:
-    """rho_inv for hits 0 to 41 b / 60, rounded to a grid so that every relative error is at most ``tolerance``."""
+    """rho_inv for hits 0 to 41 b / 60, rounded to so many binary digits that every relative error is at most ``tolerance``."""
     hits = np.arange(0, 41 * b // 60 + 1)
     exact = rho_inv(hits, b)
-    grid = np.maximum(exact * tolerance, 1e-12)
+    digits = math.ceil(math.log2(1 / tolerance)) - 1
+    grid = np.exp2(np.floor(np.log2(np.maximum(exact, 1.0))) - digits)
     return np.where(hits == 0, 0.0, np.round(exact / grid) * grid)
 
 
@@ -80,7 +81,7 @@ class Sketch:
         return self.compress()
 
     def update_wide(self, keys: list[int]) -> Sketch:
-        """Adds keys of any width as integers (universes beyond 64 bits, such as digests): one at a time."""
+        """Adds keys of any width as integers (universes beyond 64 bits, such as digests): one at a time. Levels over 127 above the cut count as 127."""
         for t, triple in enumerate(self.context.triples):
             for x in keys:
                 level = triple.level(x)
@@ -107,10 +108,13 @@ class Sketch:
         return self.compress()
 
     # -- results --------------------------------------------------------------
-    def estimate(self, at_cut: int | None = None) -> Estimate:
-        """Median over the tables of the scaled inverse occupancy; ``at_cut`` forces a higher cut."""
+    def estimate(self, at_cut: int | None = None, inverse: np.ndarray | None = None) -> Estimate:
+        """Median over the tables of the scaled inverse occupancy; ``at_cut`` forces a higher cut, ``inverse`` is a table (``rho_inv_table``) to look it up in.
+
+        A rounded inverse costs accuracy, which four times the bins (``four_times_bins``) make up for.
+        """
         levels, q = (self.levels, self.q) if at_cut is None else (cuts.apply_cut(self.levels, at_cut - self.q), at_cut)
-        return estimate_levels(levels, q, self.context.params)
+        return estimate_levels(levels, q, self.context.params, inverse)
 
     def pack(self, codec: str = "gamma") -> bytes:
         return packed.encode(self.levels, self.q, self.context.fingerprint, codec)
@@ -123,11 +127,19 @@ class Sketch:
         return cls(context, levels.copy(), q)
 
 
-def estimate_levels(levels: np.ndarray, q: int, p: SketchParams) -> Estimate:
+def four_times_bins(p: SketchParams) -> SketchParams:
+    """The same sketch with 4 b bins and the independence that they need, for estimates by a rounded inverse."""
+    return replace(p, b=4 * p.b, k=independence(4 * p.b))
+
+
+def estimate_levels(levels: np.ndarray, q: int, p: SketchParams, inverse: np.ndarray | None = None) -> Estimate:
     absolute = levels.astype(np.int64) + q
     s = np.maximum(0, absolute.max(axis=1) - p.log_b + p.offset)
     hits = ((absolute >= s[:, None]) & (levels >= 0)).sum(axis=1) if q else (absolute >= s[:, None]).sum(axis=1)
-    values = np.exp2(s) * rho_inv(hits, p.b)
+    balls = rho_inv(hits, p.b)
+    if inverse is not None:  # hits beyond the table are exact
+        balls = np.where(hits < len(inverse), inverse[np.minimum(hits, len(inverse) - 1)], balls)
+    values = np.exp2(s) * balls
     return Estimate(float(np.median(values)), q, s, hits, values, bool((hits >= p.b).any()), bool((s >= q).all()))
 
 

@@ -7,12 +7,13 @@ windows, or from stored packed sketches that are merged to longer windows.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.native import NativeSeed, levels_and_bins
+from ..functions.seeding import Seed
 from ..operators import cells
 
 
@@ -60,6 +61,28 @@ def longer_windows(state: DataFrame, length: str) -> DataFrame:
     return state.groupBy(F.window("window.start", length).alias("window"), "tab", "bin").agg(F.max("level").alias("level"))
 
 
+def packed_stream(events: DataFrame, time: str, key: str, seed: Seed, length: str) -> DataFrame:
+    """(window_start, sketch) of windows that a trigger changes, update mode: the state of a window is one packed sketch.
+
+    The state has a fixed size whatever the window's keys; it is kept for late rows as long as the query runs.
+    """
+    keyed = events.filter(F.col(key).isNotNull()).select(F.window(time, length)["start"].cast("timestamp").cast("long").alias("_start"), F.col(key).cast("long").alias("_key"))
+
+    def update(name: tuple, parts: Iterator, state) -> Iterator:
+        import pandas as pd
+
+        from ..sketch import Context, Sketch
+
+        context = Context.of(seed)
+        sketch = Sketch.unpack(context, bytes(state.get[0])) if state.exists else Sketch(context)
+        for part in parts:
+            sketch.update(part["_key"].to_numpy().astype("int64").view("uint64"))
+        state.update((sketch.pack(),))
+        yield pd.DataFrame({"window_start": [name[0]], "sketch": [sketch.pack()]})
+
+    return keyed.groupBy("_start").applyInPandasWithState(update, "window_start long, sketch binary", "sketch binary", "update", "NoTimeout")
+
+
 def exact_stream(events: DataFrame, time: str, key: str, length: str, late: str) -> DataFrame:
     """Exact yardstick: rows that repeat a key within the watermark and window are dropped, the rest is counted."""
     rows = _watermarked(events, time, late).withColumn("window", F.window(time, length))

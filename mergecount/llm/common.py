@@ -45,10 +45,15 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
+def run_dir(spark: SparkSession) -> str:
+    """This application's own folder in the shared one."""
+    return f"{shared_dir(spark)}/mergecount-llm/{spark.sparkContext.applicationId}"
+
+
 def materialize(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
     """Write to the shared folder and read back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/mergecount-llm/{name}-{uuid.uuid4().hex}"
+    path = f"{run_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", codec).option("parquet.block.size", ROW_GROUP).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -145,7 +150,7 @@ def stored_by_task(df: DataFrame, name: str) -> tuple[DataFrame, int]:
     n = max(1, n)
     slots = F.from_json(F.lit(json.dumps(slot_values(n))), F.lit("array<int>"))  # folded to one literal
     rows = df.select("*", F.get(slots, F.spark_partition_id()).alias("_slot"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("_row"))
-    table, path = f"mergecount_{uuid.uuid4().hex}", f"{shared_dir(spark)}/mergecount-llm/{name}-{uuid.uuid4().hex}"
+    table, path = f"mergecount_{uuid.uuid4().hex}", f"{run_dir(spark)}/{name}-{uuid.uuid4().hex}"
     writers = "spark.sql.maxConcurrentOutputFileWriters"  # a task has one bucket: with this no sort comes before the write
     was = spark.conf.get(writers)
     spark.conf.set(writers, "4")
@@ -174,6 +179,6 @@ def numbered(df: DataFrame, name: str, number: str = "_row") -> DataFrame:
 
 
 def cleanup(spark: SparkSession) -> None:
-    """Deletes all that ``materialize`` has left in the shared folder; call it when no result is read any more."""
-    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/mergecount-llm")
+    """Deletes all that this application has left in the shared folder (other runs' tables stay); call it when no result is read any more."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(run_dir(spark))
     path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)

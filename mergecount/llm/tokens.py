@@ -8,7 +8,7 @@ import struct
 import numpy as np
 
 #: Words kept by a worker; a full cache is emptied.
-CACHE_WORDS = 80_000
+CACHE_WORDS = 200_000
 #: Characters for which Python's lower() and split() agree with the tokenizer's own steps.
 PLAIN = re.compile(r"[\t\n\r\x20-\x7e\xa1-\xb1\xb4-\xb8\xba\xbb\xbf-ɏ]*")
 #: The tokenizer's pieces, for plain characters.

@@ -75,3 +75,43 @@ def test_recall_of_the_bands():
             total += 1
             met += bool(set(jaccard.band_keys(a)) & set(jaccard.band_keys(b)))
     assert met >= 299
+
+
+def test_intersections_by_products(monkeypatch):
+    rng = np.random.default_rng(6)
+    monkeypatch.setattr(jaccard, "_COLUMNS", 7)
+    sets = [np.unique(rng.integers(0, 60, n).astype(np.uint64)) for n in (0, 1, 5, 30, 30, 55)] + [np.zeros(0, dtype=np.uint64)]
+    expected = [[len(np.intersect1d(a, b)) if i != j or len(a) else 0 for j, b in enumerate(sets)] for i, a in enumerate(sets)]
+    got = jaccard.overlaps(sets)
+    for i in range(len(sets)):
+        for j in range(len(sets)):
+            assert i == j or got[i, j] == expected[i][j]
+
+
+@pytest.mark.parametrize("cell", [3, 512])
+def test_cells_of_any_size_give_the_same_components(spark, monkeypatch, cell):
+    """A crowd of half similar texts with one key: cut in many cells or in one."""
+    monkeypatch.setattr(jaccard, "CELL", cell)
+    rng = np.random.default_rng(9)
+    base = [f"w{i}" for i in range(60)]
+    texts = []
+    for i in range(60):
+        words = list(base)
+        for at in rng.choice(60, rng.integers(1, 4), replace=False):
+            words[at] = f"x{rng.integers(0, 6)}"
+        texts.append((i, " ".join(words)))
+    got = jaccard.near_duplicates(spark.createDataFrame(texts, "doc_id long, text string"), "doc_id", "text", 5, 0.8).collect()
+    root = list(range(60))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    sets = [jaccard.shingle_set(t.encode(), 5) for _, t in texts]
+    for i in range(60):
+        for j in range(i):
+            if jaccard.similarity_of(sets[i], sets[j]) >= 0.8:
+                a, b = sorted((find(i), find(j)))
+                root[b] = a
+    assert {r["doc_id"]: r["component_id"] for r in got} == {i: find(i) for i in range(60)}

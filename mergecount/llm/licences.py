@@ -121,7 +121,7 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
 
     # Document frequencies of the templates' terms over all files.
     wanted = F.lit([r["term"] for r in vocabulary.orderBy("term").collect()])
-    sizes = named.select(F.explode(F.concat(F.array(F.lit("")), F.array_intersect(F.coalesce(terms(F.col("text")), F.array().cast("array<string>")), wanted))).alias("term")).groupBy("term").agg(F.count("*").alias("df"))
+    sizes = named.select(F.explode_outer(F.concat(F.array(F.lit("")), F.array_intersect(F.coalesce(terms(F.col("text")), F.array().cast("array<string>")), wanted))).alias("term")).groupBy("term").agg(F.count("*").alias("df"))
     sizes = C.materialize(sizes, "term-counts")
     total = sizes.filter("term = ''").agg(F.coalesce(F.max("df"), F.lit(0))).first()[0]
     rare = F.log(F.lit(total + 1.0)) + 1.0
@@ -140,10 +140,11 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
     kept = lambda x: can(x, MIN_HEADER) & ~F.lower(x).rlike(DENIED)
     blocks = F.filter(F.split("text", BLOCKS), lambda x: (x != F.col("text")) & x.rlike("[\\r\\n]"))
     lines = F.filter(F.array_distinct(F.concat(F.split("text", LINES), blocks)), kept)
-    marked = named.filter(tells(F.col("text"))).select("path", "text", F.concat(F.array(F.when(can(F.col("text"), MIN_FILE), F.col("text"))), lines).alias("all"))
-    marked = marked.filter((F.size("all") > 1) | F.col("all")[0].isNotNull()).dropDuplicates(["path", "text"])
-    units = marked.select("path", F.posexplode("all").alias("unit", "words")).filter("words is not null")
-    counts = units.select("path", "unit", F.explode(terms(F.col("words"))).alias("term")).groupBy("path", "unit", "term").agg(F.count("*").alias("tf"))
+    # Outer, and not filtered before: a filter on the array would have it made twice.
+    every = F.concat(F.array(F.when(can(F.col("text"), MIN_FILE), F.col("text"))), lines)
+    units = named.filter(tells(F.col("text"))).select("path", F.posexplode_outer(every).alias("unit", "words"))
+    units = units.filter("words is not null").dropDuplicates(["path", "unit", "words"])
+    counts = units.select("path", "unit", F.explode_outer(terms(F.col("words"))).alias("term")).filter("term is not null").groupBy("path", "unit", "term").agg(F.count("*").alias("tf"))
     counts = counts.join(F.broadcast(idf), "term", "left").withColumn("v", weight * F.coalesce(F.col("idf"), rare))
     norms = counts.groupBy("path", "unit").agg(F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("norm"))
     dots = counts.join(F.broadcast(weights), "term").groupBy("path", "unit", "template", "licence").agg(F.sum(F.col("v") * F.col("w")).alias("dot"))

@@ -154,7 +154,7 @@ def taken_texts(docs: DataFrame, mixed: DataFrame, block: int = BLOCK, on: str =
     nothing = F.array().cast("array<string>")
     full = (whole + F.when(rest == F.col("_mixsize"), 1).otherwise(0)).cast("int")
     copies = F.concat(F.array_repeat("text", full), F.when((rest > 0) & (rest < F.col("_mixsize")), begun).otherwise(nothing))
-    rows = joined.withColumn("_copy", F.explode(copies))
+    rows = joined.withColumn("_copy", F.explode_outer(copies)).filter("_copy is not null")  # outer: an inferred filter would make the copies twice
     length = F.when(F.col("_copy") == F.col("text"), F.col("n_chars")).otherwise(F.length("_copy")).cast("long")
     new = {"text": F.col("_copy"), "n_chars": length}
     return rows.select(*[new.get(c, F.col(c)).alias(c) for c in docs.columns if c == "doc_id" or c != on])

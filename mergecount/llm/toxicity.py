@@ -88,14 +88,13 @@ def entry_counts(counts: Counter, wanted: dict[str, int] | None = None, first: s
 def features(text: str | None, wanted: dict[str, int], first: set[str]) -> np.ndarray:
     """Shares (log of 1 + share per thousand) of the entries, then patterns: lexicon share and hits, capitals, marks, symbols."""
     text = text or ""
-    counts, n, caps = word_counts(text)
+    words = _WORDS.findall(text)
+    n, caps = len(words), sum(len(w) > 1 for w in words if w.isupper())
     x, hits = np.zeros(len(wanted) + 5), 0
-    found = entry_counts(counts, wanted, first)
-    for e, k in found.items():
-        x[wanted[e]] = k
-    for word, k in counts.items():
-        if word[:3] in first and any(e in found for e in entries(word)):
-            hits += k
+    for word, k in Counter(w for w in map(str.lower, words) if w[:3] in first).items():  # few words begin like an entry
+        own = [wanted[e] for e in entries(word) if e in wanted]
+        x[own] += k
+        hits += k if own else 0
     size, chars = max(n, 1), max(len(text), 1)
     x[: len(wanted)] = np.log1p(1000 * x[: len(wanted)] / size)
     x[-5:] = np.log1p(1000 * hits / size), np.log1p(hits), caps / size, text.count("!") / chars, len(_SYMBOLS.findall(text)) / size

@@ -107,14 +107,18 @@ def prefix_sums(df: DataFrame, group: list[str], bucket: str, order: list[Column
 def join_hot(rows: DataFrame, lookup: DataFrame, on: str, total: int, count: str = "_n", floor: int = 64) -> DataFrame:
     """``rows`` joined with the one row that ``lookup`` has for each value of ``on``; ``count`` in it says how many rows have that value.
 
-    Values with over total / HOT rows are HOT at most, so their lookup rows are broadcast and their rows
-    stay where they are; all other values are joined by Spark's choice, and none of them is a large part of
-    ``rows``. Both parts are read from ``rows``: materialize it.
+    Values with over total / HOT rows are HOT at most (so the driver may know them): their lookup rows are
+    broadcast and their rows stay where they are. All other values are joined by Spark's choice, and none of
+    them is a large part of ``rows``. Where there are hot values ``rows`` is read twice: materialize it.
     """
     limit = max(floor, total // HOT)
-    hot, rest = lookup.filter(F.col(count) > limit), lookup.filter(F.col(count) <= limit)
-    many = rows.join(F.broadcast(hot), on)
-    return many.unionByName(rows.join(F.broadcast(hot.select(on)), on, "left_anti").join(rest, on))
+    lookup = materialize(lookup, "lookup")
+    hot = [r[0] for r in lookup.filter(F.col(count) > limit).select(on).collect()]
+    if not hot:
+        return rows.join(lookup, on)
+    among = F.col(on).isin(hot)
+    many = rows.filter(among).join(F.broadcast(lookup.filter(F.col(count) > limit)), on)
+    return many.unionByName(rows.filter(~among).join(lookup.filter(F.col(count) <= limit), on))
 
 
 def _murmur3(values: np.ndarray) -> np.ndarray:

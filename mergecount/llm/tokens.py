@@ -16,6 +16,17 @@ PIECES = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\w\s]|_)+")
 _OPEN: dict[int, "WordTokenizer"] = {}
 
 
+class _Words(dict):
+    """Ids by word; a word that isn't there yet is learned."""
+
+    def __init__(self, learn):
+        super().__init__()
+        self.learn = learn
+
+    def __missing__(self, word: str) -> bytes:
+        return self.learn(word)
+
+
 class WordTokenizer:
     """A tokenizer whose pieces never cross white space and that drops it (as word_bpe_49k.json does).
 
@@ -31,7 +42,7 @@ class WordTokenizer:
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4")
         self.code = "H" if self.dtype.itemsize == 2 else "I"
-        self.words: dict[str, bytes] = {}
+        self.words = _Words(self._learn)
         self.model = self.tokenizer.model
         shown = [*range(33, 127), *range(161, 173), *range(174, 256)]  # bytes that stand for themselves; the others follow from 256 on
         self.letters = {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in shown)}
@@ -51,7 +62,7 @@ class WordTokenizer:
         """Ids of a word of plain characters, piece by piece."""
         pieces = PIECES.findall(word)
         if len(pieces) > 1:
-            out = b"".join([self.words.get(p) or self._learn(p) for p in pieces])
+            out = b"".join(map(self.words.__getitem__, pieces))
         else:
             ids = [t.id for t in self.model.tokenize(word if word.isascii() else self._bytes_as_letters(word))]
             out = struct.pack(f"<{len(ids)}{self.code}", *ids)
@@ -66,12 +77,6 @@ class WordTokenizer:
         """Ids of the whole text as little-endian ``dtype``."""
         if not PLAIN.fullmatch(text) or any(s in text for s in self.special):
             return self._whole(text)
-        words = text.lower().split()
-        try:
-            return b"".join([self.words[w] for w in words])
-        except KeyError:
-            pass
         if len(self.words) > CACHE_WORDS:
             self.words.clear()
-        known, learn = self.words.get, self._learn
-        return b"".join([known(w) or learn(w) for w in words])
+        return b"".join(map(self.words.__getitem__, text.lower().split()))

@@ -48,8 +48,8 @@ def events(keys: np.ndarray, triple: Triple, p: SketchParams, eps: float) -> dic
     }
 
 
-def max_level_tail(count: int, k: int) -> float:
-    """Bound of the chance that the largest of ``count`` levels is over ld count + k, or below ld count - k - 1."""
+def max_level_tail(k: int) -> float:
+    """Bound of the chance that the largest of n levels is over ld n + k, or below ld n - k - 1, for any n."""
     return 2.0**-k
 
 

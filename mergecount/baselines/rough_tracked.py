@@ -31,7 +31,8 @@ def rough_hashes(context: Context) -> list[list[LevelHash]]:
     """Level functions of each table's rough counters: drawn one by one, or along a walk where the tables' own are."""
     p, mask = context.params, (1 << context.params.d) - 1
     if context.seed.mode == "independent":
-        numbers = [draw(context.fingerprint, 2 * p.d, f"rough-{i}") for i in range(p.l * ROUGH)]
+        pair = lambda t, r: (draw(context.fingerprint, p.d, f"rough-{t}-{r}-{x}") for x in "ab")
+        numbers = [a | b << p.d for t in range(p.l) for r in range(ROUGH) for a, b in [pair(t, r)]]
     else:
         space = WalkSpace(2 * p.d, math.log(16), p.l * ROUGH)
         numbers = space.unrank(draw(context.fingerprint, space.bits, "rough-walk"))

@@ -230,7 +230,7 @@ def _parts(rows: DataFrame, size: int, make, name: str) -> DataFrame:
     """One packed row for each part: a cell, or a part of a cell of over ``size`` rows by the hash of the id."""
     parts = rows.groupBy("dims", "cell").agg(F.ceil(F.count("*") / size).alias("parts"))
     dealt = rows.join(parts, ["dims", "cell"]).select("dims", (F.col("cell") * (1 << 31) + F.pmod(F.xxhash64("id", F.lit(name)), F.col("parts"))).alias("part"), "id", "v")
-    sorted_rows = dealt.repartition("part", "dims").sortWithinPartitions("dims", "part")
+    sorted_rows = dealt.repartitionByRange("dims", "part").sortWithinPartitions("dims", "part")  # ranges of parts are even, hashes of few parts are not
     return C.materialize(sorted_rows.mapInArrow(_packed(make), _PACKED), name)
 
 

@@ -27,15 +27,18 @@ class NestedNativeSeed:
         return NativeSeed(self.l, self.b, self.entropy)
 
 
-def raw_cells(df: DataFrame, key: str, seed: NestedNativeSeed, group: list[str] = ()) -> DataFrame:
+def raw_cells(df: DataFrame, key: str, seed: NestedNativeSeed, group: list[str] = (), repeated: bool = False) -> DataFrame:
+    """Largest level of every cell of every copy, all from one scan. ``repeated``: as in ``cells.raw_cells``."""
+    if repeated:
+        df = df.filter(F.col(key).isNotNull()).select(*group, key).distinct()
     flat = levels_and_bins(df, key, seed.flat(), list(group))
     split = flat.select(*group, F.floor(F.col("tab") / seed.l).cast("int").alias("copy"), F.pmod("tab", F.lit(seed.l)).alias("tab"), "bin", "level")
     return split.groupBy(*group, "copy", "tab", "bin").agg(F.max("level").alias("level"))
 
 
-def estimate(df: DataFrame, key: str, seed: NestedNativeSeed, budget: float, offset: int, group: list[str] = ()) -> DataFrame:
+def estimate(df: DataFrame, key: str, seed: NestedNativeSeed, budget: float, offset: int, group: list[str] = (), repeated: bool = False) -> DataFrame:
     """(group..., estimate): median over copies of the medians over tables."""
-    raw = raw_cells(df, key, seed, group)
+    raw = raw_cells(df, key, seed, group, repeated)
     state = cells.with_cut(raw, seed.inner(), budget, [*group, "copy"])
     inner = cells.estimate(state, seed.inner(), offset, [*group, "copy"], "inner")
     return inner.groupBy(*group).agg(F.round(F.median("inner"), 6).alias("estimate"))

@@ -75,13 +75,13 @@ def cut_cells(spark, sf):
     return cells.with_cut(cells.raw_cells(_lineitem(spark, sf), "l_orderkey", PARITY, ["l_returnflag"]), PARITY, BUDGET, ["l_returnflag"])
 
 
-def _estimate(df: DataFrame, key: str, group: list[str] = ()) -> DataFrame:
-    state = cells.with_cut(cells.raw_cells(df, key, PARITY, group), PARITY, BUDGET, group)
+def _estimate(df: DataFrame, key: str, group: list[str] = (), repeated: bool = False) -> DataFrame:
+    state = cells.with_cut(cells.raw_cells(df, key, PARITY, group, repeated), PARITY, BUDGET, group)
     return cells.estimate(state, PARITY, OFFSET, group)
 
 
 def main_estimate_pairwise(spark, sf):
-    return _estimate(_lineitem(spark, sf), "l_partkey", FLAGS)
+    return _estimate(_lineitem(spark, sf), "l_partkey", FLAGS, repeated=True)
 
 
 def composite_estimate_pairwise(spark, sf):
@@ -90,7 +90,7 @@ def composite_estimate_pairwise(spark, sf):
 
 
 def nested_estimate_pairwise(spark, sf):
-    return nested_cells.estimate(_lineitem(spark, sf), "l_partkey", NESTED, BUDGET, OFFSET, FLAGS)
+    return nested_cells.estimate(_lineitem(spark, sf), "l_partkey", NESTED, BUDGET, OFFSET, FLAGS, repeated=True)
 
 
 def merge_partitions(spark, sf):

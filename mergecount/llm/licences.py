@@ -6,8 +6,8 @@ text, every line, and every block of two or more adjacent lines (but the whole);
 frequencies counted over all files; terms that no template has get the largest idf. The cosine to each
 template comes from a join of the unit's terms with the templates' (a fixed, small table). A file whose
 best line or block reaches ``MIN_HEADER`` has that licence by its header; a file whose whole text
-reaches ``MIN_FILE`` is a licence file, which states the licence of its directory; the higher score is the
-file's own. Files without a licence of their own take that of the nearest ancestor directory that has a
+reaches ``MIN_FILE`` is a licence file, which states the licence of its directory. A file near a whole
+licence text has that licence; else the higher score of header and file is its own. Files without a licence of their own take that of the nearest ancestor directory that has a
 licence file: directories are reduced to distinct ones, joined with their ancestors, and the deepest
 match is joined back.
 
@@ -42,7 +42,7 @@ MIN_HEADER, MIN_FILE = 0.55, 0.4
 DENIED = "(not|never|no longer) ([a-z]+ ){0,2}(licen[sc]ed|released|available|distributed) (under|by|on)"
 LINES, BLOCKS = "[\\r\\n]+", "\\r?\\n[ \\t#*/;-]*\\r?\\n"
 #: Terms kept of a template of over LONG words.
-TERMS, LONG = 96, 150
+TERMS, LONG = 96, 100
 #: Places of the table of template terms, and the largest (1 + ln x)^2 / x.
 PLACES, STEEP = 1024, 4 / math.e
 TERM = "[a-z0-9]+(?:[.][0-9]+)*"
@@ -107,6 +107,11 @@ def term_table() -> list[tuple[int, str, str, int]]:
     return out
 
 
+def long_templates() -> list[int]:
+    """Numbers of the whole licence texts among the templates."""
+    return [i for i, (_, text) in enumerate(templates()) if len(re.findall(TERM, text.lower())) > LONG]
+
+
 def template_terms(spark: SparkSession) -> DataFrame:
     """(template, licence, term, tf) of the fixed templates."""
     return spark.createDataFrame(term_table(), "template int, licence string, term string, tf int")
@@ -148,11 +153,14 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
     counts = counts.join(F.broadcast(idf), "term", "left").withColumn("v", weight * F.coalesce(F.col("idf"), rare))
     norms = counts.groupBy("path", "unit").agg(F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("norm"))
     dots = counts.join(F.broadcast(weights), "term").groupBy("path", "unit", "template", "licence").agg(F.sum(F.col("v") * F.col("w")).alias("dot"))
-    cosines = dots.join(norms, ["path", "unit"]).select("path", "unit", "licence", F.round(F.col("dot") / F.col("norm"), 4).alias("score"))
+    cosines = dots.join(norms, ["path", "unit"]).select("path", "unit", "template", "licence", F.round(F.col("dot") / F.col("norm"), 4).alias("score"))
     own = cosines.groupBy("path").agg(
         F.max(F.when((F.col("unit") > 0) & (F.col("score") >= MIN_HEADER), F.struct("score", F.translate("licence", _FORWARD, _BACKWARD).alias("order"), "licence"))).alias("header"),
         F.max(F.when((F.col("unit") == 0) & (F.col("score") >= MIN_FILE), F.struct("score", F.translate("licence", _FORWARD, _BACKWARD).alias("order"), "licence"))).alias("file"),
+        F.max(F.when((F.col("unit") == 0) & F.col("template").isin(long_templates()) & (F.col("score") >= MIN_FILE), F.struct("score", F.translate("licence", _FORWARD, _BACKWARD).alias("order"), "licence"))).alias("whole"),
     )
+    # Lines of a whole licence text quote notices of other licences: what the whole text is like counts first.
+    own = own.withColumn("file", F.coalesce("whole", "file"))
     own = C.materialize(own.filter("header is not null or file is not null"), "own-licences")
 
     folder = lambda c: F.regexp_extract(c, "^(.*)/[^/]*$", 1)
@@ -168,7 +176,7 @@ def scan(files: DataFrame, path: str = "path", text: str = "text") -> DataFrame:
     nearest = C.materialize(folders.join(nearest, "folder", "left"), "directory-licences")
 
     joined = C.join_hot(files_of, nearest, "folder", files_of.count()).join(own, "path", "left")
-    by_file = F.col("file").isNotNull() & (F.col("header").isNull() | (F.col("file.score") > F.col("header.score")))
+    by_file = F.col("file").isNotNull() & (F.col("whole").isNotNull() | F.col("header").isNull() | (F.col("file.score") > F.col("header.score")))
     joined = joined.withColumn("mine", F.when(by_file, F.col("file")).otherwise(F.col("header")))
     how = F.when(by_file, "file").when(F.col("header").isNotNull(), "header").when(F.col("near").isNotNull(), "directory")
     return joined.select(
@@ -247,6 +255,7 @@ def oracle() -> str:
     quote = lambda s: "'" + s.replace("'", "''") + "'"
     values = ", ".join(f"({i}, {quote(name)}, {quote(term)}, {tf})" for i, name, term, tf in term_table())
     tok = lambda c: f"regexp_extract_all(lower({c}), '{TERM}')"
+    long = ", ".join(map(str, long_templates()))
     return f"""
     with f as (select '/' || coalesce(replace(source, '/', '_'), 'null') || '/' || coalesce(replace(lang, '/', '_'), 'null') as folder, doc_id, coalesce(text, '') as text from documents),
     p as (select *, folder || '/' || doc_id as path from f),
@@ -263,11 +272,13 @@ def oracle() -> str:
     c as (select path, unit, term, (ln(tf) + 1.0) * coalesce(idf, ln(n + 1.0) + 1.0) v from c0 left join idf using (term), nn),
     norms as (select path, unit, sqrt(sum(v * v)) norm from c group by all),
     dots as (select path, unit, template, licence, sum(v * w) dot from c join tw using (term) group by all),
-    cosines as (select path, unit, licence, round(dot / norm, 4) score from dots join norms using (path, unit)),
-    own as (select path, min_by(licence, (-score, licence)) filter (unit > 0 and score >= {MIN_HEADER}) hl, max(score) filter (unit > 0 and score >= {MIN_HEADER}) hs,
-      min_by(licence, (-score, licence)) filter (unit = 0 and score >= {MIN_FILE}) fl, max(score) filter (unit = 0 and score >= {MIN_FILE}) fs from cosines group by path),
+    cosines as (select path, unit, template, licence, round(dot / norm, 4) score from dots join norms using (path, unit)),
+    own0 as (select path, min_by(licence, (-score, licence)) filter (unit > 0 and score >= {MIN_HEADER}) hl, max(score) filter (unit > 0 and score >= {MIN_HEADER}) hs,
+      min_by(licence, (-score, licence)) filter (unit = 0 and score >= {MIN_FILE}) fl, max(score) filter (unit = 0 and score >= {MIN_FILE}) fs,
+      min_by(licence, (-score, licence)) filter (unit = 0 and score >= {MIN_FILE} and template in ({long})) wl, max(score) filter (unit = 0 and score >= {MIN_FILE} and template in ({long})) ws from cosines group by path),
+    own as (select path, hl, hs, coalesce(wl, fl) fl, coalesce(ws, fs) fs, wl from own0),
     stated as (select folder, path, doc_id, fl licence, fs score from own join p using (path) where fl is not null qualify row_number() over (partition by folder order by fs desc, path) = 1),
-    mine as (select *, fl is not null and (hl is null or fs > hs) by_file from own)
+    mine as (select *, fl is not null and (wl is not null or hl is null or fs > hs) by_file from own)
     select p.doc_id, p.path, coalesce(case when by_file then fl else hl end, s.licence) licence,
       case when by_file then 'file' when hl is not null then 'header' when s.licence is not null then 'directory' end how,
       case when by_file then fs when hl is not null then hs else s.score end score,

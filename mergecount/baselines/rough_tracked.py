@@ -95,8 +95,11 @@ class RoughTracked:
 
 
 def by_group(df: DataFrame, key: str, order: str, seed: Seed, group: list[str]) -> DataFrame:
-    """(group..., estimate, failed_tables, bits, delta_bits): keys folded in order, one task for each group (there is no other way)."""
-    rows = df.filter(F.col(key).isNotNull()).select(*group, F.col(order).alias("_order"), F.col(key).cast("long").alias("_key"))
+    """(group..., estimate, failed_tables, bits, delta_bits): keys folded in order, one task for each group (there is no other way).
+
+    A key that comes again changes no state (maxima only grow, and its own were taken), so a group's task gets each key once, at its first place.
+    """
+    rows = df.filter(F.col(key).isNotNull()).groupBy(*group, F.col(key).cast("long").alias("_key")).agg(F.min(order).alias("_order")).select(*group, "_order", "_key")
     schema = T.StructType([*[rows.schema[g] for g in group], T.StructField("estimate", T.DoubleType()), T.StructField("failed_tables", T.IntegerType()), T.StructField("bits", T.LongType()), T.StructField("delta_bits", T.LongType())])
     dealt = rows.repartition(*group).sortWithinPartitions(*group, "_order")
 

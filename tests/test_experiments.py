@@ -130,3 +130,27 @@ def test_keys_of_neighbouring_columns_stay_apart(spark):
         found.append(clock.select(key64(clock, "t")[0].alias("k")).first()["k"])
     spark.conf.set("spark.sql.session.timeZone", "UTC")
     assert found == [1711852200000001] * 3
+
+
+def test_a_group_of_the_sequential_counter_gets_each_key_once(spark, monkeypatch):
+    """Repeats change nothing, and do not reach the task that folds a group; null groups and null keys as before."""
+    from mergecount.baselines import rough_tracked
+    from mergecount.sketch import Context
+
+    seed = seeding.init(SketchParams(3, 64, 6, budget=4.0), "repeats", "walk_16")
+    rng = random.Random(3)
+    rows = [(rng.choice([1, 2, None]), rng.choice([None, *range(150)]), i) for i in range(4000)]
+    found = rough_tracked.by_group(spark.createDataFrame(rows, "g int, k int, o int"), "k", "o", seed, ["g"])
+    for r in found.collect():
+        keys = np.array([k for g, k, _ in rows if g == r["g"] and k is not None], dtype=np.uint64)
+        one = rough_tracked.RoughTracked(Context.of(seed)).add(keys)
+        assert (r["estimate"], r["failed_tables"], r["bits"], r["delta_bits"]) == (one.estimate(), int(one.failed.sum()), one.bits(False), one.bits(True))
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "Aggregate" in plan and plan.index("MapInArrow") < plan.index("Aggregate")
+
+
+def test_counters_share_keys_that_are_made_once(spark, sf):
+    """Every method but the exact, built-in and sampled counts reads the stored keys, not the rows."""
+    rows_too = ("exact", "hll_plus", "hll_sketch", "theta", "sampling")
+    for name, df in experiments._all_methods(spark, sf).items():
+        assert any("lineitem" in f for f in df.inputFiles()) == (name in rows_too), name

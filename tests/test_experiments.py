@@ -154,3 +154,19 @@ def test_counters_share_keys_that_are_made_once(spark, sf):
     rows_too = ("exact", "hll_plus", "hll_sketch", "theta", "sampling")
     for name, df in experiments._all_methods(spark, sf).items():
         assert any("lineitem" in f for f in df.inputFiles()) == (name in rows_too), name
+
+
+def test_a_large_update_raises_its_cut_early(monkeypatch):
+    """One call hashes only some keys to bins; its state is that of many calls, and of the definition."""
+    from mergecount import sketch as module
+
+    context = Context.of(seeding.init(SketchParams(3, 64, 6), "early"))
+    keys = np.arange(200_000, dtype=np.uint64) * np.uint64(experiments.ODD)
+    hashed, many = [], type(context.triples[0].bins).many
+    monkeypatch.setattr(type(context.triples[0].bins), "many", lambda self, x: (hashed.append(len(x)), many(self, x))[1])
+    one = Sketch(context).update(keys)
+    assert sum(hashed) < len(keys)
+    parts = Sketch(context)
+    for at in range(0, len(keys), 777):
+        parts.update(keys[at : at + 777])
+    assert one.pack() == parts.pack() == module.direct(context, keys).pack()

@@ -170,3 +170,18 @@ def test_a_large_update_raises_its_cut_early(monkeypatch):
     for at in range(0, len(keys), 777):
         parts.update(keys[at : at + 777])
     assert one.pack() == parts.pack() == module.direct(context, keys).pack()
+
+
+def test_a_sessions_cells_are_sorted_once(spark):
+    """Not anew for every entry, which made a session of n entries take n sorts; sessions merge early only where asked."""
+    from mergecount.functions.native import NativeSeed
+    from mergecount.streaming import windows
+
+    rows = spark.createDataFrame([(1, 0, 5), (1, 50, 6)], "g int, t int, k long").withColumn("at", F.timestamp_seconds("t"))
+    plan = windows.session_cells(rows, "at", "k", NativeSeed(2, 64, "s"), "100 seconds", ["g"])._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("sort_array(") + plan.count("array_sort(") == 1
+    name = "spark.sql.streaming.sessionWindow.merge.sessions.in.local.partition"
+    was = spark.conf.get(name)
+    with windows.sessions_merged_early(spark):
+        assert spark.conf.get(name) == "true"
+    assert spark.conf.get(name) == was

@@ -8,7 +8,7 @@ from . import bounds
 from .baselines.counters import PHI
 from .functions.native import NativeSeed
 from .params import C_BIN, C_REP
-from .workloads import BUDGET, GRID, NESTED, OFFSET, PARITY, TAILS
+from .workloads import ACCURACIES, BUDGET, GRID, NESTED, OFFSET, PARITY, TAILS
 
 FLAGS = ["l_returnflag", "l_linestatus"]
 JOINED = "(select r_name, n_name, c_mktsegment, o_custkey from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey)"
@@ -151,7 +151,8 @@ def ORACLES() -> dict[str, str]:
         "occupancy_curve": f"select r, round({b} * (1 - pow({1 - 1 / b!r}, r)), 6) hits, round(abs(ln(1 - least(r, {b - 1}) / {float(b)}) / ln({1 - 1 / b!r})), 6) balls from range(0, 513) t(r)",
         "worked_example_cut": "select c::INTEGER cut, floor(log2(greatest(23 - c, -1) + 2))::INTEGER bits from range(0, 26) t(c)",
         "space_table": " union all ".join(f"select '{name}' algorithm, bits::INTEGER bits, eps::DOUBLE eps, delta::DOUBLE delta, round({sql}, 3) formula from (select *, bits * ln(2) n, ln(1 / delta::DOUBLE) d from (values {grid}) v(bits, eps, delta))".replace("eps * eps", "eps::DOUBLE * eps::DOUBLE") for name, sql in SPACE_SQL.items()),
-        "derived_sizes": f"select eps::DOUBLE eps, delta::DOUBLE delta, ceil({C_REP} * ln(2 / delta::DOUBLE))::INTEGER l, ceil(log2({float(C_BIN)}::DOUBLE / (eps::DOUBLE * eps::DOUBLE)))::INTEGER log_b, 'proof' profile from (values (0.5, 0.1), (0.1, 0.05), (0.01, 0.01)) v(eps, delta)",
+        "derived_sizes": f"""select l_returnflag, bits::INTEGER bits, eps, delta, ceil({C_REP} * ln(2 / delta))::INTEGER l, ceil(log2({float(C_BIN)}::DOUBLE / (eps * eps)))::INTEGER log_b, 'proof' profile, delta * bits * ln(2) >= 1 single
+          from (select l_returnflag, length(bin(max(l_partkey))) bits from lineitem where l_partkey is not null group by 1), (values {', '.join(f'({e}::DOUBLE, {d}::DOUBLE)' for e, d in ACCURACIES)}) v(eps, delta)""",
         "tail_bounds_grid": f"""with v as (select mu::DOUBLE mu, lam::DOUBLE lam, g::DOUBLE g, l::INTEGER l, mu::DOUBLE + lam::DOUBLE x from (values {_tail_rows()}) t(mu, lam, g, l)),
           w as (select *, g * ln(g / x) + (1 - g) * ln((1 - g) / (1 - x)) k from v)
           select mu, lam, g, l, round(k, 9) kl, round(exp(-l * k), 9) tail_kl, round(exp(-l * (g * ln(1 / x) - 2 / exp(1.0))), 9) tail_log, round(exp(-2 * l * pow(g - mu - lam, 2)), 9) tail_quadratic,

@@ -185,3 +185,16 @@ def test_a_sessions_cells_are_sorted_once(spark):
     with windows.sessions_merged_early(spark):
         assert spark.conf.get(name) == "true"
     assert spark.conf.get(name) == was
+
+
+#: Queries that once made their data up or read a table beside Spark.
+ON_TABLES = ("derived_sizes",)
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_reads_a_given_table(spark, sf, sql, name):
+    """Spark reads it, and the rows are those of the SQL."""
+    con, oracles = sql
+    found = workloads.queries()[name](spark, sf)
+    assert any(f.endswith(("/lineitem.parquet", "/orders.parquet")) for f in found.inputFiles())
+    assert plain(found.toPandas()) == plain(con.sql(oracles[name]).df())

@@ -8,7 +8,7 @@ from . import bounds
 from .baselines.counters import PHI
 from .functions.native import NativeSeed
 from .params import C_BIN, C_REP
-from .workloads import ACCURACIES, BUDGET, GRID, NESTED, OFFSET, PARITY, TAILS
+from .workloads import ACCURACIES, BUDGET, GRID, NESTED, OCCUPANCY, OFFSET, PARITY, TAILS
 
 FLAGS = ["l_returnflag", "l_linestatus"]
 JOINED = "(select r_name, n_name, c_mktsegment, o_custkey from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey)"
@@ -148,7 +148,9 @@ def ORACLES() -> dict[str, str]:
         "rollup_by_merge": estimate_sql(_sets(["r_name", "n_name", "c_mktsegment"], [("r_name", "n_name", "c_mktsegment"), ("r_name", "n_name"), ("r_name",), ()], JOINED, "o_custkey"), ["g"]),
         "exact_cube": "select l_returnflag, l_linestatus, count(distinct l_partkey) parts, grouping(l_returnflag, l_linestatus)::INTEGER gid from lineitem group by cube (l_returnflag, l_linestatus)",
         "top_segments": estimate_sql(f"select n_name, c_mktsegment, o_custkey k from {JOINED}", ["n_name", "c_mktsegment"]) + " order by estimate desc, n_name, c_mktsegment limit 5",
-        "occupancy_curve": f"select r, round({b} * (1 - pow({1 - 1 / b!r}, r)), 6) hits, round(abs(ln(1 - least(r, {b - 1}) / {float(b)}) / ln({1 - 1 / b!r})), 6) balls from range(0, 513) t(r)",
+        "occupancy_curve": f"select kind, r, count(*) owners, round({b} * (1 - pow({1 - 1 / b!r}, r)), 6) hits, round(abs(ln(1 - least(r, {b - 1}) / {float(b)}) / ln({1 - 1 / b!r})), 6) balls from ("
+        + " union all ".join(f"select '{kind}' kind, count(*) r from {t} where {k} is not null group by {k}" for kind, t, k in OCCUPANCY)
+        + ") group by kind, r",
         "worked_example_cut": "select c::INTEGER cut, floor(log2(greatest(23 - c, -1) + 2))::INTEGER bits from range(0, 26) t(c)",
         "space_table": " union all ".join(f"select '{name}' algorithm, bits::INTEGER bits, eps::DOUBLE eps, delta::DOUBLE delta, round({sql}, 3) formula from (select *, bits * ln(2) n, ln(1 / delta::DOUBLE) d from (values {grid}) v(bits, eps, delta))".replace("eps * eps", "eps::DOUBLE * eps::DOUBLE") for name, sql in SPACE_SQL.items()),
         "derived_sizes": f"""select l_returnflag, bits::INTEGER bits, eps, delta, ceil({C_REP} * ln(2 / delta))::INTEGER l, ceil(log2({float(C_BIN)}::DOUBLE / (eps * eps)))::INTEGER log_b, 'proof' profile, delta * bits * ln(2) >= 1 single

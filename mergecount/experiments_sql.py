@@ -59,7 +59,7 @@ def ORACLES() -> dict[str, str]:
     inverse = lambda h: f"ln(1 - least({h}, {b - 1}) / {float(b)}) / ln({1 - 1 / b!r})"
     tails = ", ".join(f"({mu}, {lam}, {g}, {length})" for mu, lam, g, length in MORE_TAILS)
     methods = ", ".join(f"('{name}', {str(merges).lower()})" for name, merges, _ in METHODS)
-    drops = ", ".join(f"({v}, {c})" for v in range(41) for c in range(1, v + 2) if math.floor(math.log2(max(v - c, -1) + 2)) < math.floor(math.log2(max(v - c + 1, -1) + 2)))
+    drops = ", ".join(f"({v}, {c})" for v in range(65) for c in range(1, v + 2) if math.floor(math.log2(max(v - c, -1) + 2)) < math.floor(math.log2(max(v - c + 1, -1) + 2)))
     keys = " union all ".join(f"select '{name}' which, count(distinct {c}) exact from {t}" for name, t, c in SWEEP_KEYS)
     day = "date_trunc('day', ts)::TIMESTAMP"
     comm = " union all ".join(
@@ -88,7 +88,7 @@ def ORACLES() -> dict[str, str]:
             r <= {2 * b / 3!r} sample_small, hits <= {41 * b / 60!r} hits_small, {inverse('hits + 1')} - {inverse('hits')} < 4 slope_ok from p""",
         "balls_thrown": f"""with {hashed(f'select r, id * {ODD} k from range(512) i(id) join (values (16), (32), (64), (128), (256), (512)) s(r) on id < r', ['r'], MANY)}, h as (select r, tab, count(distinct bin) hits from hashed group by all)
           select r, round(avg(hits), 6) mean_hits, min(hits) least, max(hits) most, round({b} * (1 - pow({1 - 1 / b!r}, r)), 6) curve from h group by r""",
-        "cost_drops": f"select * from (values {drops}) v(level, cut)",
+        "cost_drops": f"with {celled(lineitem('l_orderkey', []), [], PARITY)}, n as (select level, count(*) cells from cells group by level) select level, n.cells, cut from n join (values {drops}) v(level, cut) using (level)",
         "cut_forms_agree": f"with {cut(lineitem('l_orderkey', FLAG), FLAG, PARITY)} select l_returnflag, q, true agree from cuts",
         "estimate_at_any_cut": f"with {at_cuts} select l_returnflag, cut, estimate from final",
         "cut_sharing_ablation": _shared_cuts(),

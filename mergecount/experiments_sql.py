@@ -94,8 +94,9 @@ def ORACLES() -> dict[str, str]:
         "cut_sharing_ablation": _shared_cuts(),
         "communication_measured": comm,
         "seed_report": _seed_bits(),
-        "form_choice": f"""with v as (select tasks, g groups, tasks * g * {KWISE.l * KWISE.b}::BIGINT * {CELL_ROW_BYTES} cell_bytes, floor(tasks * g * ({KWISE.l * KWISE.b} * {2 * KWISE.budget + 1} / 8 + 32))::BIGINT packed_bytes
-          from (values {', '.join(f'({t})' for t in FORM_TASKS)}) t(tasks), (values {', '.join(f'({g})' for g in FORM_GROUPS)}) x(g)) select tasks, groups, case when cell_bytes <= packed_bytes then 'cells' else 'packed' end form, cell_bytes, packed_bytes from v""",
+        "form_choice": f"""with n as ({' union all '.join(f"select '{name}' grouping_, count(*) g from (select distinct {', '.join(c) or '1'} from lineitem)" for name, c in FORM_GROUPS)}),
+          v as (select grouping_, g groups, tasks, tasks * g * {KWISE.l * KWISE.b}::BIGINT * {CELL_ROW_BYTES} cell_bytes, floor(tasks * g * ({KWISE.l * KWISE.b} * {2 * KWISE.budget + 1} / 8 + 32))::BIGINT packed_bytes from n, (values {', '.join(f'({t})' for t in FORM_TASKS)}) t(tasks))
+          select grouping_ "grouping", groups, tasks, case when cell_bytes <= packed_bytes then 'cells' else 'packed' end form, cell_bytes, packed_bytes from v""",
         "tail_bounds_more": f"""with v as (select mu::DOUBLE mu, lam::DOUBLE lam, g::DOUBLE g, l::INTEGER l, mu::DOUBLE + 2 * lam::DOUBLE p, mu::DOUBLE + g::DOUBLE - 2 * lam::DOUBLE x, mu::DOUBLE + lam::DOUBLE m, mu::DOUBLE + g::DOUBLE y from (values {tails}) t(mu, lam, g, l)),
           w as (select *, exp(-l * (x * ln(x / p) + (1 - x) * ln((1 - x) / (1 - p)))) older0, exp(-l * (y * ln(y / m) + (1 - y) * ln((1 - y) / (1 - m)))) newer from v)
           select mu, lam, g, l, round(older0, 9) older, round(pow(mu * (1 - lam) + lam, 3), 9) hitting_exact, round(pow(m, 3), 9) hitting, round(exp(-l * (1 - lam) * g * g / 4), 9) gap, round(g * ln(1 / m) - 2 / exp(1.0), 9) kl_lower, ceil(4 * ln(1e6) / ln(1 / mu))::INTEGER repetitions, newer <= older0 sharper from w""",

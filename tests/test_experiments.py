@@ -188,7 +188,7 @@ def test_a_sessions_cells_are_sorted_once(spark):
 
 
 #: Queries that once made their data up or read a table beside Spark.
-ON_TABLES = ("derived_sizes", "occupancy_curve", "cost_drops")
+ON_TABLES = ("derived_sizes", "occupancy_curve", "cost_drops", "form_choice")
 
 
 @pytest.mark.parametrize("name", ON_TABLES)

@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 
 from . import cuts, nested
-from .experiments import DRAWS, FORM_GROUPS, FORM_TASKS, MANY, METHODS, MORE_TAILS, ODD, PROCESSES, SIZES, SWEEP, SWEEP_KEYS, TAIL_SHIFTS, WALK_LENGTHS
+from .experiments import DRAWS, FORM_GROUPS, FORM_TASKS, INVERSE, INVERSE_SIZES, MANY, METHODS, MORE_TAILS, ODD, PROCESSES, SIZES, SWEEP, SWEEP_KEYS, TAIL_SHIFTS, WALK_LENGTHS
 from .functions.native import NativeSeed
 from .params import BASE_LAMBDA
 from .plans.planner import CELL_ROW_BYTES
@@ -21,6 +21,17 @@ def _sweep(seed: NativeSeed = PARITY) -> str:
     return cut(SIZED, ["size"], seed)
 
 
+def _inverse() -> str:
+    """Hits of the flags' parts at each size; the look-up keeps its promise."""
+    sizes = ", ".join(f"({k}, {f}, {(f << k).bit_length() - 1})" for k, f in INVERSE_SIZES)
+    return f"""with {celled(lineitem('l_partkey', FLAG), FLAG, INVERSE)},
+      shapes as (select * from (values {sizes}) v(log_b, factor, bits)),
+      low as (select l_returnflag, log_b, factor, bits, tab, bin & ((1 << bits) - 1) bin, max(level) as level from cells, shapes group by all),
+      over as (select *, greatest(0, max(level) over (partition by l_returnflag, log_b, factor, tab) - bits + {OFFSET}) s from low),
+      h as (select l_returnflag, log_b, factor, tab, count(*) hits from over where level >= s group by all)
+      select l_returnflag, log_b::INTEGER log_b, factor::INTEGER factor, (41 * (factor * pow(2, log_b)::BIGINT) // 60 + 1)::INTEGER entries, ceil(7.5 * ln(factor * pow(2, log_b)) + 16)::INTEGER independence, min(hits) least, max(hits) most, true as within from h group by all"""
+
+
 def _shared_cuts() -> str:
     """Cells of the nested seed, with cuts by three groupings."""
     flat = NESTED.flat()
@@ -100,7 +111,7 @@ def ORACLES() -> dict[str, str]:
         "tail_bounds_more": f"""with v as (select mu::DOUBLE mu, lam::DOUBLE lam, g::DOUBLE g, l::INTEGER l, mu::DOUBLE + 2 * lam::DOUBLE p, mu::DOUBLE + g::DOUBLE - 2 * lam::DOUBLE x, mu::DOUBLE + lam::DOUBLE m, mu::DOUBLE + g::DOUBLE y from (values {tails}) t(mu, lam, g, l)),
           w as (select *, exp(-l * (x * ln(x / p) + (1 - x) * ln((1 - x) / (1 - p)))) older0, exp(-l * (y * ln(y / m) + (1 - y) * ln((1 - y) / (1 - m)))) newer from v)
           select mu, lam, g, l, round(older0, 9) older, round(pow(mu * (1 - lam) + lam, 3), 9) hitting_exact, round(pow(m, 3), 9) hitting, round(exp(-l * (1 - lam) * g * g / 4), 9) gap, round(g * ln(1 / m) - 2 / exp(1.0), 9) kl_lower, ceil(4 * ln(1e6) / ln(1 / mu))::INTEGER repetitions, newer <= older0 sharper from w""",
-        "inverse_tables": "select log_b::INTEGER log_b, f::INTEGER factor, (41 * (f * pow(2, log_b)::BIGINT) // 60 + 1)::INTEGER entries, ceil(7.5 * ln(f * pow(2, log_b)) + 16)::INTEGER independence, true as within from (values (8), (10), (12)) v(log_b), (values (1), (4)) w(f)",
+        "inverse_tables": _inverse(),
         "asof_purchase_view": """select event_id, view_id from (select p.event_id, v.event_id view_id, row_number() over (partition by p.event_id order by v.ts desc nulls last, v.event_id desc) r
           from events p left join events v on v.event_type = 'view' and v.user_id = p.user_id and v.ts <= p.ts where p.event_type = 'purchase') where r = 1""",
         "distinct_in_ranges": "select r, count(distinct l_partkey) parts, count(*) as rows from lineitem join (select r, r * 700 lo, r * 700 + 1000 hi from range(0, 8) t(r)) on l_orderkey >= lo and l_orderkey < hi group by r",

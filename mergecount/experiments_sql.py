@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 
 from . import cuts, nested
-from .experiments import DRAWS, FORM_GROUPS, FORM_TASKS, INVERSE, INVERSE_SIZES, MANY, METHODS, MORE_TAILS, ODD, PROCESSES, SIZES, SWEEP, SWEEP_KEYS, TAIL_SHIFTS, WALK_LENGTHS
+from .experiments import DRAWS, FORM_GROUPS, FORM_TASKS, INVERSE, INVERSE_SIZES, MANY, METHODS, MORE_TAILS, ODD, PROCESSES, SEED_KEYS, SIZES, SWEEP, SWEEP_KEYS, TAIL_SHIFTS, WALK_LENGTHS
 from .functions.native import NativeSeed
 from .params import BASE_LAMBDA
 from .plans.planner import CELL_ROW_BYTES
@@ -58,10 +58,12 @@ def _shared_cuts() -> str:
 
 def _seed_bits() -> str:
     step = -math.log(BASE_LAMBDA)
+    keys = " union all ".join(f"select '{c}' key, max({c}) top from lineitem" for c in SEED_KEYS)
     return f"""
-    with v as (select log_b, l, mode, pow(2, log_b) b, 5 + 2 * log_b pre, ceil(7.5 * ln(pow(2, log_b)) + 16) k from (values (8), (10), (12)) x(log_b), (values (9), (12)) y(l), (values ('walk_16'), ('walk_paper'), ('independent')) z(mode)),
-    s as (select *, 2 * 64 + 2 * greatest(64, pre) + k * pre triple, ceil((case when mode = 'walk_16' then ln(16) else greatest(ln(16), l * pow(ln(l), 3)) end) / {step!r}) steps from v)
-    select log_b::INTEGER log_b, l::INTEGER l, mode, (case when mode = 'independent' then l * triple else triple + triple % 2 + (l - 1) * 3 * steps end)::BIGINT seed_bits from s"""
+    with d as (select key, length(bin(top)) bits from ({keys}) where top is not null),
+    v as (select key, bits, log_b, l, mode, pow(2, log_b) b, 5 + 2 * log_b pre, ceil(7.5 * ln(pow(2, log_b)) + 16) k from d, (values (8), (10), (12)) x(log_b), (values (9), (12)) y(l), (values ('walk_16'), ('walk_paper'), ('independent')) z(mode)),
+    s as (select *, 2 * bits + 2 * greatest(bits, pre) + k * pre triple, ceil((case when mode = 'walk_16' then ln(16) else greatest(ln(16), l * pow(ln(l), 3)) end) / {step!r}) steps from v)
+    select key, bits::INTEGER bits, log_b::INTEGER log_b, l::INTEGER l, mode, (case when mode = 'independent' then l * triple else triple + triple % 2 + (l - 1) * 3 * steps end)::BIGINT seed_bits from s"""
 
 
 def ORACLES() -> dict[str, str]:

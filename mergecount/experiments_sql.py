@@ -5,20 +5,28 @@ from __future__ import annotations
 import math
 
 from . import cuts, nested
-from .experiments import DRAWS, FORM_GROUPS, FORM_TASKS, INVERSE, INVERSE_SIZES, MANY, METHODS, MORE_TAILS, ODD, PROCESSES, SEED_KEYS, SIZES, SWEEP, SWEEP_KEYS, TAIL_SHIFTS, WALK_LENGTHS
+from .experiments import DRAWS, FORM_GROUPS, FORM_TASKS, INVERSE, INVERSE_SIZES, MANY, METHODS, MORE_TAILS, PROCESSES, SEED_KEYS, SHARES, SWEEP, SWEEP_KEYS, TAIL_SHIFTS, WALK_LENGTHS
 from .functions.native import NativeSeed
 from .params import BASE_LAMBDA
 from .plans.planner import CELL_ROW_BYTES
 from .workloads import BUDGET, KWISE, NESTED, OFFSET, PARITY
 from .workloads_sql import WIDTH, _exact, celled, cut, curved, estimated, hashed, lineitem
 
-SIZED = f"select size, id * {ODD} k from range({max(SIZES)}) i(id) join (values {', '.join(f'({n})' for n in SIZES)}) s(size) on id < size"
 RAW_WIDTH = WIDTH.replace("level - q", "level")
 FLAG = ["l_returnflag"]
 
 
-def _sweep(seed: NativeSeed = PARITY) -> str:
-    return cut(SIZED, ["size"], seed)
+def _sized(key: str) -> str:
+    """(share, k): the distinct keys that 2^share divides."""
+    return f"select share, k from (select distinct {key} k from lineitem where {key} is not null) join (values {', '.join(f'({j}, {1 << j})' for j in SHARES)}) s(share, m) on k % m = 0"
+
+
+def _sizes(key: str) -> str:
+    return f"sizes as (select share, count(*) size from ({_sized(key)}) group by share)"
+
+
+def _sweep(key: str, seed: NativeSeed = PARITY) -> str:
+    return cut(_sized(key), ["share"], seed)
 
 
 def _inverse() -> str:
@@ -85,22 +93,22 @@ def ORACLES() -> dict[str, str]:
     overlap = "(select distinct c_custkey k from customer)", "(select distinct o_custkey k from orders where o_orderstatus = 'F')"
     assert cuts.cell_bits(0) == 1
     return {
-        "cardinality_sweep": f"""with {estimated(_sweep(), ['size'], PARITY)},
-          top as (select size, tab, greatest(0, max(level) - {PARITY.b.bit_length() - 1} + {OFFSET}) s from cells group by all), s2 as (select size, min(s) s_min, max(s) s_max from top group by 1)
-          select size, estimate, q, s_min, s_max, q <= s_min cut_ok from final join s2 using (size)""",
-        "cut_margin_sweep": f"with {_sweep()}, m as (select size, q, greatest(0, ceil(log2(size))::INTEGER - {PARITY.b.bit_length() - 1}) q_max from cuts) select size, q, q_max, q <= q_max + {math.ceil(math.log2(8 / BUDGET))} q_near from m",
-        "column_space": f"""with {_sweep(MANY)}, t as (select size, tab, sum({RAW_WIDTH}) bits from state group by all)
-          select size, c::INTEGER c, max(bits) most_bits, round(count(*) filter (bits > (c + 3) * {b}) / {float(MANY.l)}, 6) share, case when c >= 0 then round(pow(2.0, -pow(2.0, c)), 9) else 1.0 end bound from t, range(-2, 3) r(c) group by size, c""",
-        "operation_counts": f"with {celled(SIZED, ['size'], PARITY)} select size, sum({RAW_WIDTH})::BIGINT input_bits, count(*) cells, count(distinct level) levels, (max(level) + 2) * count(distinct level) candidates from cells group by size",
-        "level_tails": f"""with {hashed(SIZED, ['size'], MANY)}, t as (select size, tab, max(level) top from hashed group by all)
+        "cardinality_sweep": f"""with {estimated(_sweep('l_orderkey'), ['share'], PARITY)}, {_sizes('l_orderkey')},
+          top as (select share, tab, greatest(0, max(level) - {PARITY.b.bit_length() - 1} + {OFFSET}) s from cells group by all), s2 as (select share, min(s) s_min, max(s) s_max from top group by 1)
+          select share, size, estimate, q, s_min, s_max, q <= s_min cut_ok from final join s2 using (share) join sizes using (share)""",
+        "cut_margin_sweep": f"with {_sweep('l_orderkey')}, {_sizes('l_orderkey')}, m as (select share, size, q, greatest(0, ceil(log2(size))::INTEGER - {PARITY.b.bit_length() - 1}) q_max from cuts join sizes using (share)) select share, size, q, q_max, q <= q_max + {math.ceil(math.log2(8 / BUDGET))} q_near from m",
+        "column_space": f"""with {_sweep('l_partkey', MANY)}, {_sizes('l_partkey')}, t as (select share, tab, sum({RAW_WIDTH}) bits from state group by all)
+          select share, size, c::INTEGER c, max(bits) most_bits, round(count(*) filter (bits > (c + 3) * {b}) / {float(MANY.l)}, 6) over_share, case when c >= 0 then round(pow(2.0, -pow(2.0, c)), 9) else 1.0 end bound from t join sizes using (share), range(-2, 3) r(c) group by share, size, c""",
+        "operation_counts": f"with {celled(_sized('l_orderkey'), ['share'], PARITY)}, {_sizes('l_orderkey')} select share, size, sum({RAW_WIDTH})::BIGINT input_bits, count(*) cells, count(distinct level) levels, (max(level) + 2) * count(distinct level) candidates from cells join sizes using (share) group by share, size",
+        "level_tails": f"""with {hashed(_sized('l_partkey'), ['share'], MANY)}, {_sizes('l_partkey')}, t as (select size, share, tab, max(level) top from hashed join sizes using (share) group by all)
           select k, count(*) filter (top > log2(size) + k or top < log2(size) - k - 1) off, count(*) tables, pow(2.0, -k) bound, count(*) filter (top > log2(size) + k or top < log2(size) - k - 1) / count(*) <= 2 * pow(2.0, -k) as within from t, (values {shifts}) s(k) group by k""",
         "event_frequencies": f"""with {hashed('select distinct l_partkey k from lineitem', [], MANY)},
           tops as (select tab, count(*) n, greatest(0, max(level) - {log_b} + {OFFSET}) s from hashed group by tab),
           p as (select tab, n, s, count(*) r, count(distinct bin) hits, n / pow(2.0, s) load from hashed join tops using (tab) where level >= s group by tab, n, s)
           select tab, s, r, hits, s = 0 or load between {2.0**-16 * b!r} and {b / 2} load_ok, abs(r - load) <= {0.5 / 3!r} * load sample_ok, abs(hits - {b} * (1 - pow({1 - 1 / b!r}, r))) <= 9 * r / {math.sqrt(b)!r} hits_ok,
             r <= {2 * b / 3!r} sample_small, hits <= {41 * b / 60!r} hits_small, {inverse('hits + 1')} - {inverse('hits')} < 4 slope_ok from p""",
-        "balls_thrown": f"""with {hashed(f'select r, id * {ODD} k from range(512) i(id) join (values (16), (32), (64), (128), (256), (512)) s(r) on id < r', ['r'], MANY)}, h as (select r, tab, count(distinct bin) hits from hashed group by all)
-          select r, round(avg(hits), 6) mean_hits, min(hits) least, max(hits) most, round({b} * (1 - pow({1 - 1 / b!r}, r)), 6) curve from h group by r""",
+        "balls_thrown": f"""with {hashed(_sized('l_partkey'), ['share'], MANY)}, {_sizes('l_partkey')}, h as (select share, tab, count(distinct bin) hits from hashed group by all)
+          select share, size r, round(avg(hits), 6) mean_hits, min(hits) least, max(hits) most, round({b} * (1 - pow({1 - 1 / b!r}, size)), 6) curve from h join sizes using (share) group by share, size""",
         "cost_drops": f"with {celled(lineitem('l_orderkey', []), [], PARITY)}, n as (select level, count(*) cells from cells group by level) select level, n.cells, cut from n join (values {drops}) v(level, cut) using (level)",
         "cut_forms_agree": f"with {cut(lineitem('l_orderkey', FLAG), FLAG, PARITY)} select l_returnflag, q, true agree from cuts",
         "estimate_at_any_cut": f"with {at_cuts} select l_returnflag, cut, estimate from final",

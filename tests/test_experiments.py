@@ -188,7 +188,7 @@ def test_a_sessions_cells_are_sorted_once(spark):
 
 
 #: Queries that once made their data up or read a table beside Spark.
-ON_TABLES = ("derived_sizes", "occupancy_curve", "cost_drops", "form_choice", "inverse_tables", "seed_report")
+ON_TABLES = ("derived_sizes", "occupancy_curve", "cost_drops", "form_choice", "inverse_tables", "seed_report", "balls_thrown", "cardinality_sweep", "column_space", "cut_margin_sweep", "level_tails", "operation_counts")
 
 
 @pytest.mark.parametrize("name", ON_TABLES)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import json
 import math
 import shutil
@@ -58,6 +59,15 @@ def materialize(df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Lets go of what finished steps left with the driver: its shuffles, broadcasts and the heap that they took.
+
+    Spark drops the first two when the driver's garbage is collected, which a heap that may still grow puts off.
+    """
+    gc.collect()  # handles in Python keep plans in the JVM
+    spark.sparkContext._jvm.System.gc()
+
+
 def once(value: Column, use: Callable[[Column], Column]) -> Column:
     """``use`` of a value that is computed once: a lambda's variable, however often ``use`` names it."""
     return F.get(F.transform(F.array(value), use), F.lit(0))

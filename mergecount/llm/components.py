@@ -26,7 +26,8 @@ def connected_components(links: DataFrame, a: str, b: str) -> DataFrame:
     """(node, root): every node that has a link, with the least node that it is connected to.
 
     Large-star and small-star rounds until nothing changes; the number of rounds grows with the
-    logarithm of the number of links. Every half round's table is written to the shared folder.
+    logarithm of the number of links. Every half round's table is written to the shared folder,
+    and the driver keeps nothing of a round that is over.
     """
     u, v = F.greatest(a, b), F.least(a, b)
     tidy = lambda df: df.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
@@ -39,6 +40,7 @@ def connected_components(links: DataFrame, a: str, b: str) -> DataFrame:
         if seen == state:
             break
         total, state = seen[0], seen
+        C.release(now.sparkSession)
     return now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 

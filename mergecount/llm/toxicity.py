@@ -44,6 +44,8 @@ from . import common as C
 
 #: Labelled rows of each class at most, documents of the label model at most, lexicon entries, share of words at which an entry votes.
 SAMPLE, MODEL_ROWS, KEYS, RATE, CUT = 4000, 12_000, 256, 0.002, 0.7
+#: Rows that the fits hold as numbers at once.
+BLOCK = 512
 #: Log-likelihood gain that an entry needs, rows that the prior of a voter's rates is worth, G statistic of an edge (two degrees, 0.001).
 LEAST_RATIO, STRENGTH, EDGE = 8.0, 10.0, 13.8
 PATTERNS = 6
@@ -163,13 +165,40 @@ class LabelModel(NamedTuple):
         return 1 / (1 + np.exp(-np.clip(odds, -30, 30)))
 
 
+class Rows(NamedTuple):
+    """Features that are not zero, row by row (few of a text's are): their places and values."""
+
+    ends: np.ndarray  # where each row begins, and the end of the last
+    place: np.ndarray
+    value: np.ndarray
+    width: int
+
+    def __len__(self) -> int:
+        return len(self.ends) - 1
+
+    def blocks(self) -> Iterator[np.ndarray]:
+        """The rows, all features, ``BLOCK`` rows at a time."""
+        for at in range(0, len(self), BLOCK):
+            ends = self.ends[at : at + BLOCK + 1]
+            x = np.zeros((len(ends) - 1, self.width))
+            x[np.repeat(np.arange(len(x)), np.diff(ends)), self.place[ends[0] : ends[-1]]] = self.value[ends[0] : ends[-1]]
+            yield x
+
+    def votes(self, keys: int) -> np.ndarray:
+        return np.concatenate([np.zeros((0, keys + PATTERNS), dtype=np.uint8), *[votes(x, keys).astype(np.uint8) for x in self.blocks()]])
+
+
+def _parts(rows: int) -> list[slice]:
+    return [slice(at, at + BLOCK) for at in range(0, rows, BLOCK)]
+
+
 def forest(v: np.ndarray, post: np.ndarray) -> np.ndarray:
     """The voter that each voter hangs on: a maximum spanning forest of mutual information within the classes."""
     n, voters = v.shape
     info = np.zeros((voters, voters))
     for w in (post, 1 - post):
         size = w.sum() + 1
-        one, both = (w @ v + 0.5) / size, ((v * w[:, None]).T @ v + 0.25) / size
+        one, both = (sum(w[k] @ v[k] for k in _parts(n)) + 0.5) / size, (sum((v[k] * w[k, None]).T @ v[k] for k in _parts(n)) + 0.25) / size
         cells = ((both, one, one), (one[:, None] - both, one, 1 - one), (one[None, :] - both, 1 - one, one), (1 - one[:, None] - one[None, :] + both, 1 - one, 1 - one))
         for joint, p, q in cells:
             joint = np.maximum(joint, 1e-12)
@@ -188,31 +217,41 @@ def fit_label_model(v: np.ndarray, prior: float, expected: np.ndarray, rounds: i
     """The label model of votes without labels, and its posteriors. ``expected`` [class, voter]: the rates that the prior assumes."""
     alone = np.full(v.shape[1], -1)
     model = LabelModel(prior, alone, np.stack([expected, expected], axis=1))
-    post = model.posterior(v)
+    parts = _parts(len(v))
+    posterior = lambda m: np.concatenate([np.zeros(0), *[m.posterior(v[k]) for k in parts]])
+    post = posterior(model)
     for k in range(rounds):
         parent = forest(v, post) if k % 5 == 0 else model.parent
-        above = (np.where(parent >= 0, v[:, np.maximum(parent, 0)], 0) == 1) & (parent >= 0)
-        rates = np.empty((2, 2, v.shape[1]))
-        for y, w in ((0, 1 - post), (1, post)):
-            for g in (0, 1):
-                on = (above == g) * w[:, None]
-                rates[y, g] = ((on * v).sum(axis=0) + STRENGTH * expected[y]) / (on.sum(axis=0) + STRENGTH)
-        model = LabelModel(prior, parent, rates)
-        moved, post = post, model.posterior(v)
+        cast, seen = np.zeros((2, 2, v.shape[1])), np.zeros((2, 2, v.shape[1]))
+        for part in parts:
+            own = v[part]
+            above = (np.where(parent >= 0, own[:, np.maximum(parent, 0)], 0) == 1) & (parent >= 0)
+            for y, w in ((0, 1 - post[part]), (1, post[part])):
+                for g in (0, 1):
+                    on = (above == g) * w[:, None]
+                    cast[y, g] += (on * own).sum(axis=0)
+                    seen[y, g] += on.sum(axis=0)
+        model = LabelModel(prior, parent, (cast + STRENGTH * expected[:, None]) / (seen + STRENGTH))
+        moved, post = post, posterior(model)
         if k % 5 == 4 and np.abs(moved - post).max() < 1e-4:
             break
     return model, post
 
 
-def fit_linear(x: np.ndarray, y: np.ndarray, ridge: float = 3.0, steps: int = 30) -> tuple[np.ndarray, float, np.ndarray, np.ndarray]:
+def fit_linear(x: Rows, y: np.ndarray, ridge: float = 3.0, steps: int = 30) -> tuple[np.ndarray, float, np.ndarray, np.ndarray]:
     """Logistic regression on soft labels by Newton steps."""
-    mean, scale = x.mean(axis=0), np.maximum(x.std(axis=0), 1e-3)
-    z = np.column_stack([(x - mean) / scale, np.ones(len(x))])
-    w, penalty = np.zeros(z.shape[1]), np.full(z.shape[1], ridge)
+    mean = sum(part.sum(axis=0) for part in x.blocks()) / len(x)
+    scale = np.maximum(np.sqrt(sum(((part - mean) ** 2).sum(axis=0) for part in x.blocks()) / len(x)), 1e-3)
+    w, penalty = np.zeros(x.width + 1), np.full(x.width + 1, ridge)
     penalty[-1] = 1e-6
     for _ in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(z @ w, -30, 30)))
-        step = np.linalg.solve((z * (p * (1 - p))[:, None]).T @ z + np.diag(penalty), z.T @ (y - p) - penalty * w)
+        slope, bend = -penalty * w, np.diag(penalty)
+        for part, own in zip(_parts(len(x)), x.blocks(), strict=True):
+            z = np.column_stack([(own - mean) / scale, np.ones(len(own))])
+            p = 1 / (1 + np.exp(-np.clip(z @ w, -30, 30)))
+            slope += z.T @ (y[part] - p)
+            bend += (z * (p * (1 - p))[:, None]).T @ z
+        step = np.linalg.solve(bend, slope)
         w += step
         if np.abs(step).max() < 1e-6:
             break
@@ -223,16 +262,23 @@ def _vectors(keys: tuple[str, ...]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         wanted, first = {k: i for i, k in enumerate(keys)}, first_letters(keys)
         for batch in batches:
-            rows = [features(t.as_py(), wanted, first).tobytes() for t in batch.column(0)]
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(rows, pa.binary())], names=["class", "x"])
+            place, value = [], []
+            for text in batch.column(0):
+                x = features(text.as_py(), wanted, first)
+                at = np.flatnonzero(x)
+                place.append(at.astype(np.uint16).tobytes())
+                value.append(x[at].tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(place, pa.binary()), pa.array(value, pa.binary())], names=["class", "place", "value"])
 
     return run
 
 
-def _matrix(texts: DataFrame, keys: tuple[str, ...]) -> tuple[np.ndarray, np.ndarray]:
+def _matrix(texts: DataFrame, keys: tuple[str, ...]) -> tuple[np.ndarray, Rows]:
     """Class and features of every row of (text, class), a bounded sample, in an order of their own."""
-    rows = sorted((r["class"], bytes(r["x"])) for r in texts.mapInArrow(_vectors(keys), "class int, x binary").collect())
-    return np.array([y for y, _ in rows], dtype=np.int64), np.array([np.frombuffer(x) for _, x in rows]).reshape(len(rows), len(keys) + 5)
+    rows = sorted((r["class"], bytes(r["place"]), bytes(r["value"])) for r in texts.mapInArrow(_vectors(keys), "class int, place binary, value binary").collect())
+    ends = np.cumsum([0, *[len(place) // 2 for _, place, _ in rows]])
+    place, value = (np.frombuffer(b"".join(r[k] for r in rows), dtype=kind) for k, kind in ((1, np.uint16), (2, np.float64)))
+    return np.array([r[0] for r in rows], dtype=np.int64), Rows(ends, place, value, len(keys) + 5)
 
 
 def _remainder(doc_id) -> object:
@@ -274,13 +320,13 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, model_rows: in
     strong = mined.filter(f"n1 >= 3 and (n1 + 0.5) * {clean + 1} > 4 * (n0 + 0.5) * {toxic + 1}")  # what ``gain`` asks for; of a bounded sample
     keys = tuple(pick_keys(strong.toPandas(), toxic, clean))
     y, x = _matrix(texts.select("text", "class"), keys)
-    known = votes(x, len(keys))
+    known = x.votes(len(keys))
     expected = np.stack([(known[y == c].sum(axis=0) + 0.5) / ((y == c).sum() + 1) for c in (0, 1)])
     seen = unlabelled_sample(docs, texts, model_rows).withColumn("class", F.lit(0))
     _, free = _matrix(seen, keys)
     x = free if len(free) else x
     prior = every[1] / (every[0] + every[1])
-    _, post = fit_label_model(votes(x, len(keys)), prior, expected)
+    _, post = fit_label_model(x.votes(len(keys)), prior, expected)
     return Model(keys, *fit_linear(x, post))
 
 

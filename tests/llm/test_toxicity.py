@@ -2,6 +2,7 @@
 
 import math
 import re
+import tracemalloc
 import zlib
 
 import numpy as np
@@ -104,3 +105,32 @@ def test_labels_of_the_label_models_rows_do_not_matter(spark):
     turned = labels.withColumn("toxic", F.when(held, 1 - F.col("toxic")).otherwise(F.col("toxic")))
     a, b = toxicity.fit(docs, labels), toxicity.fit(docs, turned)
     assert a.keys == b.keys and np.allclose(a.weights, b.weights) and a.bias == b.bias
+
+
+def sparse(x):
+    row, place = np.nonzero(x)
+    return toxicity.Rows(np.searchsorted(row, np.arange(len(x) + 1)), place.astype(np.uint16), x[row, place], x.shape[1])
+
+
+def test_fits_hold_a_block_of_rows_and_equal_the_fit_of_all(monkeypatch):
+    """The driver's share of the limits: 6,000 rows of 261 features are 12.5 MB as numbers, of which the fits held many copies."""
+    rng = np.random.default_rng(6)
+    x = rng.random((6000, 261)) * (rng.random((6000, 261)) < 0.03)
+    x[5] = 0
+    rows, y = sparse(x), rng.random(6000)
+    assert np.array_equal(np.concatenate(list(rows.blocks())), x)
+    tracemalloc.start()
+    model, post = toxicity.fit_label_model(rows.votes(256), 0.1, np.stack([np.full(262, 0.02), np.full(262, 0.1)]), rounds=6)
+    fitted = toxicity.fit_linear(rows, post)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 16e6, peak  # over 80e6 with all rows at once
+    monkeypatch.setattr(toxicity, "BLOCK", 10_000)
+    whole, every = toxicity.fit_label_model(rows.votes(256), 0.1, np.stack([np.full(262, 0.02), np.full(262, 0.1)]), rounds=6)
+    assert np.array_equal(model.parent, whole.parent) and np.allclose(post, every, atol=1e-9)
+    for a, b in zip(fitted, toxicity.fit_linear(rows, post), strict=True):
+        assert np.allclose(a, b, atol=1e-9)
+    w, bias, mean, scale = toxicity.fit_linear(rows, y)
+    assert np.allclose(mean, x.mean(axis=0)) and np.allclose(scale, np.maximum(x.std(axis=0), 1e-3))
+    z = (x - mean) / scale
+    assert np.abs(z.T @ (y - 1 / (1 + np.exp(-(z @ w + bias)))) - 3.0 * w).max() < 1e-5  # no slope is left

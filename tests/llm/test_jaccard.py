@@ -1,6 +1,7 @@
 """The pipeline's near-duplicates: links of 5-word shingle sets at Jaccard 0.8 or more."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from mergecount.llm import jaccard, simhash
@@ -115,3 +116,77 @@ def test_cells_of_any_size_give_the_same_components(spark, monkeypatch, cell):
                 a, b = sorted((find(i), find(j)))
                 root[b] = a
     assert {r["doc_id"]: r["component_id"] for r in got} == {i: find(i) for i in range(60)}
+
+
+def family(rng, n, words=60, most=4):
+    base = [f"w{i}" for i in range(words)]
+    return [edited(rng, base, int(rng.integers(1, most + 1))) for _ in range(n)]
+
+
+def test_a_class_is_dealt_once_however_many_keys_it_has(spark, monkeypatch):
+    """30 keys of the same classes, not all connected: the comparison of all pairs gets a row for each class, not one for each key."""
+
+    def counted(*_):
+        def run(batches):
+            for batch in batches:
+                yield pa.RecordBatch.from_arrays([pa.array([batch.num_rows]), pa.array([-1])], names=["a", "b"])
+
+        return run
+
+    texts = [t.encode() for t in family(np.random.default_rng(5), 40)]
+    crowd = spark.createDataFrame([(k, fp) for k in range(30) for fp in range(40)], "key long, fp long")
+    monkeypatch.setattr(jaccard, "_compare_cells", counted)
+    found = jaccard.links(crowd, spark.createDataFrame(list(enumerate(texts)), "fp long, text binary"), 5, 0.8)
+    assert sum(r["a"] for r in found.filter("b = -1").collect()) == 40
+
+
+@pytest.mark.parametrize("cell,size", [(7, 1 << 23), (1 << 8, 900), (1 << 8, 1 << 23)])
+def test_cells_hold_all_pairs_that_can_be_linked(spark, monkeypatch, cell, size):
+    """Of each group all pairs of two roots whose sizes allow a similarity of 0.8 meet, on two sides or in one chunk; large parts are not dealt to themselves."""
+    monkeypatch.setattr(jaccard, "CELL", cell)
+    monkeypatch.setattr(jaccard, "CELL_BYTES", size)
+    rng = np.random.default_rng(cell)
+    rows = []
+    for fp in range(150):
+        group, n = int(rng.choice([1, 1, 1, 2, 3])), int(rng.choice([0, 1, 4, 5, 20, 25, 64, 80, 100]))
+        root = group * 1000 + int(rng.choice([0, 0, 1, 10 + fp]))
+        rows.append((fp, root, group, n, np.arange(n, dtype=np.uint64).tobytes()))
+    df = spark.createDataFrame(rows, "fp long, root long, group long, size long, set binary")
+    dealt = {}
+    for r in jaccard.cells(df, 0.8).collect():
+        dealt.setdefault((r["group"], r["i"], r["j"]), []).append((r["fp"], r["side"]))
+    met = set()
+    for (_, i, j), own in dealt.items():
+        assert len(own) == len(set(own))
+        met |= {(x, y) for x, a in own for y, b in own if x < y and (i == j or a != b)}
+    pairs = [(a, b) for a in rows for b in rows if a[0] < b[0] and a[2] == b[2]]
+    assert {(a[0], b[0]) for a, b in pairs if a[1] != b[1] and min(a[3], b[3]) >= 0.8 * max(a[3], b[3])} <= met <= {(a[0], b[0]) for a, b in pairs}
+    if cell == 7:
+        of = {r[0]: r for r in rows}
+        many = {(r[1], r[2]) for r in rows if sum(x[1:3] == r[1:3] for x in rows) > cell}
+        assert many and not any(of[x][1:3] == of[y][1:3] and of[x][1:3] in many for x, y in met)
+        assert len(met) < len(pairs) / 2
+
+
+@pytest.mark.parametrize("cell", [8, 40])
+def test_wide_groups_equal_brute_force(spark, monkeypatch, cell):
+    """Families with parts larger than a cell, texts of other sizes that contain a family's text, and a pair at exactly 0.8."""
+    monkeypatch.setattr(jaccard, "CELL", cell)
+    rng = np.random.default_rng(12)
+    texts = family(rng, 90) + family(rng, 40, 70)
+    base = [f"w{i}" for i in range(60)]
+    texts += [" ".join(base[:n]) for n in (30, 36, 48, 49)] + [" ".join(base + [f"y{i}" for i in range(n)]) for n in (5, 14, 30)]
+    docs = list(enumerate(texts))
+    crowd = spark.createDataFrame([(k, fp) for k in range(3) for fp, _ in docs if fp % 4 != k], "key long, fp long")
+    found = jaccard.links(crowd, spark.createDataFrame([(i, t.encode()) for i, t in docs], "fp long, text binary"), 5, 0.8).collect()
+    root = list(range(len(docs)))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for r in found:
+        a, b = sorted((find(r["a"]), find(r["b"])))
+        root[b] = a
+    assert {i: find(i) for i, _ in docs} == brute_components(docs)
